@@ -157,3 +157,41 @@ def merge_spans(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndar
     new[1:] = start[1:] > reach[:-1]
     last = np.append(np.flatnonzero(new)[1:] - 1, len(start) - 1)
     return start[new], reach[last]
+
+
+def whole_groups(batches, by: tuple[str, ...], rows: int):
+    """Batches of about that many rows that never part a group; the input is sorted by the columns ``by``."""
+    held: list[pa.RecordBatch] = []
+    count = 0
+
+    def joined() -> pa.RecordBatch:
+        return pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+
+    for b in batches:
+        if not b.num_rows:
+            continue
+        held.append(b)
+        count += b.num_rows
+        if count >= rows:
+            whole = joined()
+            edge = np.flatnonzero(borders(whole, by)) + 1
+            if len(edge):
+                done, begin = int(edge[-1]), 0
+                for stop in [*edge[np.searchsorted(edge, np.arange(rows, done, rows))].tolist(), done]:
+                    if stop > begin:
+                        yield whole.slice(begin, stop - begin)
+                        begin = stop
+                held, count = [whole.slice(done)], whole.num_rows - done
+            else:
+                held = [whole]
+    if held:
+        yield joined()
+
+
+def borders(batch: pa.RecordBatch, by: tuple[str, ...]) -> np.ndarray:
+    """Whether each row but the last differs from the next in the columns ``by``."""
+    out = np.zeros(batch.num_rows - 1, dtype=bool)
+    for c in by:
+        x = batch.column(c).to_numpy(zero_copy_only=False)
+        out |= x[1:] != x[:-1]
+    return out

@@ -6,8 +6,8 @@ every component left out of it brings together all pairs under that distance, an
 Candidates are confirmed on the full shingle sets.
 
 No group is expanded into its pairs. Texts with equal sets are one representative; a bucket first links its
-members to three centres; only members that are still in different components then meet, with size and
-signature distance tested inside the join.
+members to three centres; only members that are still in different components then meet, with size,
+signature distance and the sets' least hashes tested in blocks, so that only likely links leave the bucket.
 """
 
 from __future__ import annotations
@@ -25,8 +25,12 @@ PARTS = 10
 SIZE = 5
 BITS = 12
 ERRORS = 1
-#: Distance beyond which a candidate isn't confirmed. At similarity 0.8 a pair's distance is about 10 of 50, and beyond 28 fewer than once in 10**9.
-FAR = 28
+#: Distance beyond which a candidate isn't confirmed. At similarity 0.8 a pair's distance is about 10 of 50, and beyond 26 fewer than once in 10**6.
+FAR = 26
+#: Least shingle hashes of a set that a join compares; a set of no more is whole there.
+LOW = 256
+#: Members of a bucket that a task compares at once.
+BLOCK = 2048
 PERCENT = 80
 
 _seeds = np.random.default_rng(64).integers(0, 2**63, (2, PARTS * SIZE), dtype=np.int64).astype(K.U)
@@ -84,11 +88,93 @@ def size_fits(a, b, percent: int):
     return (100 * F.least(a, b) >= percent * F.greatest(a, b))
 
 
+def chosen(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """id and text of the documents named in ids."""
+    ids = F.broadcast(ids) if small_enough(ids) else ids
+    return docs.select(F.col("doc_id").cast("long").alias("id"), "text").join(ids, "id", "left_semi")
+
+
+def least_hashes(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
+    """rep and the LOW least shingle hashes (32 bits of them) of each document named in ids."""
+
+    def run(batches):
+        for batch in batches:
+            for part in K.slices(batch, "text"):
+                sets, at = K.shingle_sets(*K.text_buffer(part.column("text")), width)
+                n = np.minimum(np.diff(at), LOW)
+                where = np.repeat(at[:-1] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+                short = ((sets[where] >> K.U(32)).astype(np.int64) - (1 << 31)).astype(np.int32)
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(n))).astype(np.int32)), pa.array(short))
+                yield pa.RecordBatch.from_arrays([part.column("id"), lists], ["rep", "low"])
+
+    return chosen(docs, ids).mapInArrow(run, "rep long, low array<int>").dropDuplicates(["rep"])
+
+
+def likely(low: list[np.ndarray], n: np.ndarray, i: int, js: np.ndarray, percent: int) -> np.ndarray:
+    """Whether set i may be as similar as asked to the sets js: exact but for hash ties where both are whole in LOW, else from the hashes up to the lesser of the two last ones, five deviations below."""
+    x = low[i]
+    flat, size = np.concatenate([low[j] for j in js]), np.array([len(low[j]) for j in js])
+    first = np.cumsum(size) - size
+    same = np.add.reduceat(np.isin(flat, x), first, dtype=np.int64)
+    limit = np.minimum(x[-1], flat[first + size - 1])
+    mine = np.searchsorted(x, limit, side="right")
+    theirs = np.add.reduceat(flat <= np.repeat(limit, size), first, dtype=np.int64)
+    share = percent / 100
+    slack = 5 * (share * (1 - share) / LOW) ** 0.5
+    whole = (n[i] <= LOW) & (n[js] <= LOW)
+    return np.where(whole, 100 * (same + 1) >= percent * (n[i] + n[js] - same - 1), same + 1 >= (share - slack) * (mine + theirs - same - 1))
+
+
+def met(a: np.ndarray, b: np.ndarray, slot: int) -> np.ndarray:
+    """[a, b] whether two signatures are within FAR and this bucket is the first that they share."""
+    differ = np.stack([(a[:, None, p * SIZE : (p + 1) * SIZE] != b[None, :, p * SIZE : (p + 1) * SIZE]).sum(2, dtype=np.int8) for p in range(PARTS)], 2)
+    part, out = divmod(slot, SIZE)
+    first = ~(differ[:, :, :part] <= ERRORS).any(2) & ((differ[:, :, part] == ERRORS) | (out == 0))
+    return first & (differ.sum(2) <= FAR)
+
+
+def pairs_apart(rows: DataFrame, percent: int) -> DataFrame:
+    """Likely links between members of a bucket that are in different components.
+
+    rows: key, rep, component, n, sig, low. A bucket of more than BLOCK members is dealt over tasks by
+    pairs of blocks, each member going to as many tasks as there are blocks.
+    """
+    size = rows.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    dealt = rows.join(size, "key").withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("bi", F.least("own", "other")).withColumn("bj", F.greatest("own", "other"))
+    by = ("key", "bi", "bj")
+    dealt = dealt.select(*by, "own", "rep", "component", "n", "sig", "low").repartition(*by).sortWithinPartitions(*by)
+
+    def run(batches):
+        for batch in K.whole_groups(batches, by, 2048):
+            col = {c: batch.column(c).to_numpy(zero_copy_only=False) for c in ("key", "bi", "bj", "own", "rep", "component", "n")}
+            sig = batch.column("sig").flatten().to_numpy(zero_copy_only=False).reshape(-1, PARTS * SIZE)
+            low = [np.asarray(x) for x in batch.column("low").to_numpy(zero_copy_only=False)]
+            edge = np.concatenate(([0], np.flatnonzero(K.borders(batch, by)) + 1, [batch.num_rows]))
+            left, right = [], []
+            for s, e in zip(edge[:-1].tolist(), edge[1:].tolist()):
+                slot = int(col["key"][s]) >> (BITS * (SIZE - 1))
+                for f in range(s, e, 128):
+                    i = np.arange(f, min(f + 128, e))
+                    ok = met(sig[i], sig[s:e], slot) & (col["component"][i][:, None] != col["component"][s:e]) & (col["rep"][i][:, None] < col["rep"][s:e])
+                    ok &= 100 * np.minimum(col["n"][i][:, None], col["n"][s:e]) >= percent * np.maximum(col["n"][i][:, None], col["n"][s:e])
+                    if col["bi"][s] != col["bj"][s]:
+                        ok &= col["own"][i][:, None] != col["own"][s:e]
+                    for k in np.flatnonzero(ok.any(1)):
+                        js = s + np.flatnonzero(ok[k])
+                        js = js[likely(low, col["n"], f + int(k), js, percent)]
+                        left.append(np.full(len(js), col["rep"][f + k]))
+                        right.append(col["rep"][js])
+            if left:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(left)), pa.array(np.concatenate(right))], ["a", "b"])
+
+    return dealt.mapInArrow(run, "a long, b long").distinct()
+
+
 def confirmed(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> DataFrame:
     """The pairs (a, b) whose full sets are as similar as asked."""
     ids = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
-    ids = F.broadcast(ids) if small_enough(ids) else ids
-    texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text").join(ids, "id", "left_semi")
+    texts = chosen(docs, ids)
     one, two = texts.select(F.col("id").alias("a"), F.col("text").alias("text_a")), texts.select(F.col("id").alias("b"), F.col("text").alias("text_b"))
 
     def run(batches):
@@ -137,14 +223,14 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = PERCENT) ->
     placed = shared.select("key", "rep").join(groups.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
     mixed = placed.groupBy("key").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 < c1").select("key")
     apart = cut(placed.join(mixed, "key", "left_semi").join(info, "rep"), "apart")
-    x, y = (apart.select("key", F.col("rep").alias(s), F.col("component").alias(f"c{s}"), F.col("n").alias(f"n{s}"), F.col("sig").alias(f"s{s}")) for s in ("a", "b"))
-    on = (x["key"] == y["key"]) & (F.col("ca") != F.col("cb")) & (F.col("a") < F.col("b")) & size_fits(F.col("na"), F.col("nb"), percent) & (distance(F.col("sa"), F.col("sb")) <= FAR)
-    more = cut(x.join(y, on).select("a", "b").distinct().join(tried, ["a", "b"], "left_anti"), "more")
+    low = cut(least_hashes(docs, apart.select(F.col("rep").alias("id")).distinct(), width), "low")
+    more = cut(pairs_apart(apart.join(low, "rep"), percent).join(tried, ["a", "b"], "left_anti"), "more")
     if more.take(1):
         extra = cut(confirmed(more, docs, width, percent), "links")
         groups = components(links.union(extra)) if extra.take(1) else groups
     drop_cut(shared)
     drop_cut(apart)
+    drop_cut(low)
     moved = reps.join(groups.withColumnRenamed("node", "rep"), "rep", "left").where("copies > 1 or component is not null").select("k1", "k2", "n", F.coalesce("component", "rep").alias("component"))
     out = sketches.select("doc_id", "n", "k1", "k2").join(moved, ["k1", "k2", "n"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.when((F.col("n") > 0) & F.col("component").isNotNull(), F.least("component", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
     return out.withColumn("component_id", F.when(F.col("doc_id").isNotNull(), F.col("component_id"))).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))

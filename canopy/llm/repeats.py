@@ -155,40 +155,9 @@ def distinct_rows(batch: pa.RecordBatch) -> pa.RecordBatch:
     return batch if len(at) == batch.num_rows else batch.take(pa.array(np.sort(at)))
 
 
-def whole_groups(batches, rows: int):
-    """Batches of about that many rows that never part a group (h, salt); the input is sorted by it."""
-    held: list[pa.RecordBatch] = []
-    count = 0
-
-    def joined() -> pa.RecordBatch:
-        return pa.Table.from_batches(held).combine_chunks().to_batches()[0]
-
-    for b in batches:
-        if not b.num_rows:
-            continue
-        held.append(b)
-        count += b.num_rows
-        if count >= rows:
-            whole = joined()
-            h, salt = (whole.column(c).to_numpy(zero_copy_only=False) for c in ("h", "salt"))
-            edge = np.flatnonzero((h[1:] != h[:-1]) | (salt[1:] != salt[:-1])) + 1
-            if len(edge):
-                done = int(edge[-1])
-                begin = 0
-                for stop in [*edge[np.searchsorted(edge, np.arange(rows, done, rows))].tolist(), done]:
-                    if stop > begin:
-                        yield whole.slice(begin, stop - begin)
-                        begin = stop
-                held, count = [whole.slice(done)], whole.num_rows - done
-            else:
-                held = [whole]
-    if held:
-        yield joined()
-
-
 def local_repeats(contexts: DataFrame, unit: str, threshold: int) -> DataFrame:
     def run(batches):
-        for batch in whole_groups(batches, 2048):
+        for batch in K.whole_groups(batches, ("h", "salt"), 2048):
             batch = distinct_rows(batch)
             row, start, keys = window_keys(batch, unit, threshold)
             order = np.argsort(keys, kind="stable")
@@ -206,7 +175,7 @@ def dealt_repeats(contexts: DataFrame, unit: str, threshold: int) -> DataFrame:
     whole = cut(contexts.where("n > salts_at"), "dealt")
 
     def keys_of(batches):
-        for batch in whole_groups(batches, GROUP_LIMIT):
+        for batch in K.whole_groups(batches, ("h", "salt"), GROUP_LIMIT):
             row, _, keys = window_keys(batch, unit, threshold)
             h, salt = batch.column("h").to_numpy(zero_copy_only=False), batch.column("salt").to_numpy(zero_copy_only=False)
             trio = np.unique(np.stack([h[row], salt[row], keys.view(np.int64)], 1), axis=0)

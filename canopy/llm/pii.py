@@ -176,7 +176,7 @@ def sanitised(text: Column, spans: Column) -> Column:
         ),
     )
     tail = F.struct(walked.alias("w"))["w"]
-    return F.when(F.size(spans) == 0, text).otherwise(F.concat(F.array_join(tail["out"], ""), F.substring(text, tail["at"] + 1, F.lit(2147483647))))
+    return F.when(F.size(spans) == 0, text).otherwise(F.concat(F.array_join(tail["out"], ""), F.substring(text, tail["at"] + 1, F.length(text))))
 
 
 def sanitise(docs: DataFrame) -> DataFrame:

@@ -1,0 +1 @@
+"""Column functions and UDTFs for terms and binary expansions."""

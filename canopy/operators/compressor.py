@@ -153,9 +153,9 @@ def expand(g: Grammar, max_rounds: int = 1000) -> DataFrame:
         # leaf letters: absorbed children come back between the real ones
         kids = nodes.where("parent is not null").groupBy("tree_id", "parent").agg(F.array_sort(F.collect_list(F.struct("slot", "size"))).alias("kids"))
         leaf = work.where("how = 'leaf'").withColumn("f", F.col("rhs")[0]["sym"]).join(base.select(F.col("sym").alias("f"), "offsets", "rank_of"), "f")
-        leaf = settle(leaf.join(kids.withColumnRenamed("parent", "pre"), ["tree_id", "pre"], "left").withColumn("kids", F.coalesce("kids", F.array().cast("array<struct<slot:int,size:decimal(38,0)>>"))).withColumn("taken", F.transform(F.slice("rhs", 2, 2147483647), lambda x: x["at"])))
+        leaf = settle(leaf.join(kids.withColumnRenamed("parent", "pre"), ["tree_id", "pre"], "left").withColumn("kids", F.coalesce("kids", F.array().cast("array<struct<slot:int,size:decimal(38,0)>>"))).withColumn("taken", F.transform(F.filter("rhs", lambda x: x["at"] > 0), lambda x: x["at"])))
         tops = leaf.select("tree_id", "pre", "parent", "slot", F.col("f").alias("sym"), F.col("rank_of").cast("int").alias("rank"), "size")
-        one = leaf.select("tree_id", "pre", "offsets", "kids", F.posexplode(F.slice("rhs", 2, 2147483647)).alias("k", "x")).select("*", F.col("x.sym").alias("c"), F.col("x.at").alias("at")).join(base.select(F.col("sym").alias("c"), F.col("weight").alias("wc")), "c")
+        one = leaf.select("tree_id", "pre", "offsets", "kids", F.posexplode(F.filter("rhs", lambda x: x["at"] > 0)).alias("k", "x")).select("*", F.col("x.sym").alias("c"), F.col("x.at").alias("at")).join(base.select(F.col("sym").alias("c"), F.col("weight").alias("wc")), "c")
         earlier = F.coalesce(F.sum("wc").over(Window.partitionBy("tree_id", "pre").orderBy("k").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
         one = one.withColumn("earlier", earlier)
         real = F.aggregate(F.slice("kids", 1, F.col("at") - 1 - F.col("k")), F.lit(0).cast(DEC), lambda s, x: (s + x["size"]).cast(DEC))

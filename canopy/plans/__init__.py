@@ -1,0 +1 @@
+"""Strategy choices made from counted sizes."""

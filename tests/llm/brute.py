@@ -94,7 +94,7 @@ def repeats(rows, threshold):
         for i in range(len(b) - threshold + 1):
             if seen[b[i : i + threshold]] > 1:
                 gone[i : i + threshold] = b"\1" * threshold
-        spans = len(re.findall(rb"\1+", bytes(gone)))
+        spans = len(re.findall(b"\x01+", bytes(gone)))
         out.append((d, len(b), sum(gone), spans, sha(bytes(x for x, g in zip(b, gone) if not g))))
     return out
 

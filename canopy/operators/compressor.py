@@ -64,7 +64,7 @@ def leaf_rules(keys: DataFrame, known: DataFrame, phase: int) -> DataFrame:
 def census(nodes: DataFrame) -> dict:
     """Nodes by rank and maximal unary chains."""
     n = lambda c: F.coalesce(F.sum(F.when(c, 1).otherwise(0)), F.lit(0))
-    first = (F.col("rank") == 1) & (F.coalesce(F.lag("rank").over(R.ORDER), F.lit(-1)) != 1)
+    first = (F.col("rank") == 1) & (F.coalesce(F.lag("rank").over(R.order()), F.lit(-1)) != 1)
     row = nodes.withColumn("first", first).agg(F.count("*").alias("nodes"), n(F.col("rank") == 0).alias("n0"), n(F.col("rank") == 1).alias("n1"), n(F.col("rank") > 1).alias("n2plus"), n(F.col("first")).alias("chains")).first()
     return {k: int(v) for k, v in row.asDict().items()}
 

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from canopy.model import letter
-from canopy.operators.runs import ORDER, repointed
+from canopy.operators.runs import order, repointed
 
 #: Arcs that may come to the driver; beyond, the colouring is found by aggregates alone.
 ARC_CAP = 500_000
@@ -15,7 +15,7 @@ UP, DOWN = "U", "D"
 
 def pair_graph(nodes: DataFrame) -> DataFrame:
     """(a, b, occ): how often unary b stands right below unary a, a and b different."""
-    below = nodes.select("tree_id", "pre", F.col("sym").alias("a"), "rank", F.lead("sym").over(ORDER).alias("b"), F.lead("rank").over(ORDER).alias("rank_b"))
+    below = nodes.select("tree_id", "pre", F.col("sym").alias("a"), "rank", F.lead("sym").over(order()).alias("b"), F.lead("rank").over(order()).alias("rank_b"))
     return below.where("rank = 1 and rank_b = 1 and a <> b").groupBy("a", "b").agg(F.count("*").alias("occ"))
 
 
@@ -116,9 +116,9 @@ def compress_pairs(nodes: DataFrame, sides: DataFrame, broadcast: bool = True):
     sides = F.broadcast(sides) if broadcast else sides
     coloured = nodes.join(sides, "sym", "left")
     unary = F.col("rank") == 1
-    low, low_side, low_rank = F.lead("sym").over(ORDER), F.lead("side").over(ORDER), F.lead("rank").over(ORDER)
+    low, low_side, low_rank = F.lead("sym").over(order()), F.lead("side").over(order()), F.lead("rank").over(order())
     top = unary & (F.col("side") == UP) & (low_rank == 1) & (low_side == DOWN)
-    bottom = unary & (F.col("side") == DOWN) & (F.lag("rank").over(ORDER) == 1) & (F.lag("side").over(ORDER) == UP)
+    bottom = unary & (F.col("side") == DOWN) & (F.lag("rank").over(order()) == 1) & (F.lag("side").over(order()) == UP)
     marked = coloured.withColumn("low", F.when(top, low)).withColumn("gone", F.coalesce(bottom, F.lit(False)))
     kept = marked.where("not gone").withColumn("a", F.when(F.col("low").isNotNull(), F.col("sym")))
     kept = kept.withColumn("sym", F.when(F.col("low").isNotNull(), letter(F.lit("pair"), F.col("sym"), F.col("low"))).otherwise(F.col("sym")))

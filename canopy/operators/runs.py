@@ -7,20 +7,22 @@ from pyspark.sql import functions as F
 
 from canopy.model import letter
 
-ORDER = Window.partitionBy("tree_id").orderBy("pre")
+def order():
+    """A tree in pre-order."""
+    return Window.partitionBy("tree_id").orderBy("pre")
 
 
 def repointed(nodes: DataFrame) -> DataFrame:
     """After rows were dropped: a node below a unary one has that one, the row before, as parent."""
-    above = F.lag("rank").over(ORDER) == 1
-    return nodes.withColumn("parent", F.when(above, F.lag("pre").over(ORDER)).otherwise(F.col("parent")))
+    above = F.lag("rank").over(order()) == 1
+    return nodes.withColumn("parent", F.when(above, F.lag("pre").over(order())).otherwise(F.col("parent")))
 
 
 def islands(nodes: DataFrame) -> DataFrame:
     """nodes with ``head`` (starts an island) and ``len`` (rows of its island)."""
-    joined = (F.col("rank") == 1) & (F.lag("rank").over(ORDER) == 1) & (F.lag("sym").over(ORDER) == F.col("sym"))
+    joined = (F.col("rank") == 1) & (F.lag("rank").over(order()) == 1) & (F.lag("sym").over(order()) == F.col("sym"))
     marked = nodes.withColumn("head", ~F.coalesce(joined, F.lit(False)))
-    numbered = marked.withColumn("island", F.sum(F.col("head").cast("int")).over(ORDER.rowsBetween(Window.unboundedPreceding, 0)))
+    numbered = marked.withColumn("island", F.sum(F.col("head").cast("int")).over(order().rowsBetween(Window.unboundedPreceding, 0)))
     return numbered.withColumn("len", F.count("*").over(Window.partitionBy("tree_id", "island")))
 
 

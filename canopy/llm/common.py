@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
 import os
 import shutil
 import tempfile
@@ -18,6 +19,8 @@ BROADCAST_ROWS = 200_000
 
 _shipped: dict[str, bool] = {}
 _own: list[str] = []
+_made: list[list[tuple[SparkSession, str]]] = []
+_paths: dict[int, tuple[DataFrame, tuple[str, ...]]] = {}
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -51,12 +54,36 @@ def scratch_root(spark: SparkSession) -> str:
     return f"file://{_own[0]}"
 
 
+@contextlib.contextmanager
+def temporary():
+    """Deletes, at the end, the tables that cut() made inside, but for those added to the list it gives. What leaves must be cut itself."""
+    _made.append([])
+    kept: list[DataFrame] = []
+    try:
+        yield kept
+    finally:
+        made, paths = _made.pop(), {p for df in kept for p in _paths.get(id(df), (None, ()))[1]}
+        for spark, path in made:
+            if path in paths:
+                if _made:
+                    _made[-1].append((spark, path))
+            else:
+                folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+                folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
+        if not _made:
+            _paths.clear()
+
+
 def cut(df: DataFrame, label: str) -> DataFrame:
     """Write df to the shared folder and read it back: a lost executor costs no recomputation upstream."""
     spark = df.sparkSession
     path = f"{scratch_root(spark)}/canopy/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    if _made:
+        _made[-1].append((spark, path))
+        _paths[id(out)] = (out, (path,))
+    return out
 
 
 def drop_cut(df: DataFrame) -> None:

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from canopy.llm import kernels as K
-from canopy.llm.common import cut, drop_cut, ship, small_enough
+from canopy.llm.common import cut, drop_cut, ship, small_enough, temporary
 from canopy.llm.graph import components
 
 PARTS = 10
@@ -238,7 +238,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = PERCENT) ->
 
 def drop_near_duplicates(docs: DataFrame, width: int = 5, percent: int = PERCENT) -> DataFrame:
     """docs with one row of each group: the one with the least id; rows without an id stay."""
-    judged = cut(near_duplicates(docs, width, percent), "judged")
+    with temporary() as kept:
+        judged = cut(near_duplicates(docs, width, percent), "judged")
+        kept.append(judged)
     gone = judged.where("not kept").select(F.col("doc_id").alias("gone_id")).distinct()
     many = docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count()
     gone = F.broadcast(gone) if small_enough(gone) else gone

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from canopy.llm import kernels as K
-from canopy.llm.common import cut, ship
+from canopy.llm.common import cut, ship, temporary
 
 BYTES, WORDS = "bytes", "words"
 #: First digit's length by unit.
@@ -241,23 +241,26 @@ def removed(raw: bytes, spans: list, unit: str, whole: bool, threshold: int) ->
 
 def cleaned(docs: DataFrame, unit: str, threshold: int, group_limit: int = GROUP_LIMIT, text_out: bool = False) -> DataFrame:
     """One row (k1, k2, n_removed, n_spans, kept_sha256[, kept]) for each distinct text that loses something."""
-    texts, spans = repeated_spans(docs, unit, threshold, group_limit)
-    copies = texts.groupBy("k1", "k2").agg(F.count("*").alias("copies"), F.min("doc_id").alias("doc_id"))
-    spans = cut(spans, "spans")
-    todo = copies.join(spans, ["k1", "k2"], "left").where("copies > 1 or spans is not null").select("k1", "k2", "doc_id", "spans", (F.col("copies") > 1).alias("whole"))
-    rows = texts.join(todo, ["k1", "k2", "doc_id"])
-
-    def run(batches):
-        for batch in batches:
-            out = []
-            for k1, k2, text, found, whole in zip(*(batch.column(c).to_pylist() for c in ("k1", "k2", "text", "spans", "whole"))):
-                kept, n, m = removed(text.encode(), found, unit, whole, threshold)
-                out.append((k1, k2, n, m, hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "ignore") if text_out else None))
-            kinds = [pa.int64()] * 4 + [pa.string()] * 2
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*out)) or [[]] * 6, kinds)], ["k1", "k2", "n_removed", "n_spans", "kept_sha256", "kept"])
-
-    got = rows.select("k1", "k2", "text", "spans", "whole").mapInArrow(run, "k1 long, k2 long, n_removed long, n_spans long, kept_sha256 string, kept string")
-    return cut(got.where("n_removed > 0").dropDuplicates(["k1", "k2"]), "cleaned")
+    with temporary() as kept_tables:
+        texts, spans = repeated_spans(docs, unit, threshold, group_limit)
+        copies = texts.groupBy("k1", "k2").agg(F.count("*").alias("copies"), F.min("doc_id").alias("doc_id"))
+        spans = cut(spans, "spans")
+        todo = copies.join(spans, ["k1", "k2"], "left").where("copies > 1 or spans is not null").select("k1", "k2", "doc_id", "spans", (F.col("copies") > 1).alias("whole"))
+        rows = texts.join(todo, ["k1", "k2", "doc_id"])
+
+        def run(batches):
+            for batch in batches:
+                out = []
+                for k1, k2, text, found, whole in zip(*(batch.column(c).to_pylist() for c in ("k1", "k2", "text", "spans", "whole"))):
+                    kept, n, m = removed(text.encode(), found, unit, whole, threshold)
+                    out.append((k1, k2, n, m, hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "ignore") if text_out else None))
+                kinds = [pa.int64()] * 4 + [pa.string()] * 2
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*out)) or [[]] * 6, kinds)], ["k1", "k2", "n_removed", "n_spans", "kept_sha256", "kept"])
+
+        got = rows.select("k1", "k2", "text", "spans", "whole").mapInArrow(run, "k1 long, k2 long, n_removed long, n_spans long, kept_sha256 string, kept string")
+        lost = cut(got.where("n_removed > 0").dropDuplicates(["k1", "k2"]), "cleaned")
+        kept_tables.append(lost)
+        return lost
 
 
 def report(docs: DataFrame, threshold: int = 400, group_limit: int = GROUP_LIMIT) -> DataFrame:

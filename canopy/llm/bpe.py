@@ -24,7 +24,7 @@ from canopy.llm.common import ship
 
 NONE = np.iinfo(np.int64).max
 #: Words remembered by a worker; past it the memory is emptied, which costs time and changes nothing.
-CACHE_WORDS = 800_000
+CACHE_WORDS = 400_000
 SIDE_BY_SIDE = 24
 LONG = 256
 #: White space as the vocabulary's normaliser sees it.

@@ -92,7 +92,7 @@ def windows(kind: str):
 
 
 def pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return S.table(spark, sf_dir, "events").groupBy("user_id").pivot("event_type", ["click", "error", "purchase", "view"]).agg(F.count("*")).na.fill(0)
+    return S.table(spark, sf_dir, "events").groupBy("user_id").pivot("event_type", ["click", "error", "purchase", "view"]).agg(F.count("event_id")).na.fill(0)
 
 
 def days(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -92,7 +92,7 @@ def windows(kind: str):
 
 
 def pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return S.table(spark, sf_dir, "events").groupBy("user_id").pivot("event_type", ["click", "error", "purchase", "view"]).agg(F.count("event_id")).na.fill(0)
+    return S.table(spark, sf_dir, "events").groupBy("user_id").pivot("event_type", ["click", "error", "purchase", "signup", "view"]).agg(F.count("event_id")).na.fill(0)
 
 
 def days(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -166,7 +166,7 @@ UNION ALL SELECT t, pos + len(w), CASE WHEN len(w) = 0 THEN up ELSE pos + len(w)
     "op_lag_letters": f"SELECT event_id, lag(event_type) {EV.format('')} AS got FROM events",
     "op_running_size": f"SELECT event_id, count(*) {EV.format(' ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW')} AS got FROM events",
     "op_ntile": f"SELECT event_id, ntile(4) {EV.format('')}::INT AS got FROM events",
-    "op_pivot_types": "SELECT user_id, " + ", ".join(f"count(*) FILTER (event_type = '{t}') AS {t}" for t in ("click", "error", "purchase", "view")) + " FROM events GROUP BY 1",
+    "op_pivot_types": "SELECT user_id, " + ", ".join(f"count(*) FILTER (event_type = '{t}') AS {t}" for t in ("click", "error", "purchase", "signup", "view")) + " FROM events GROUP BY 1",
     "op_date_days": "SELECT user_id, count(DISTINCT CAST(ts AS DATE)) AS days, count(*) AS n FROM events GROUP BY 1",
     "op_json_props": "SELECT 'k' AS k, json_extract_string(props, '$.k') AS v, count(*) AS n FROM events GROUP BY 2",
     "op_array_rhs": "SELECT l_orderkey AS tree_id, string_agg('Q:' || floor(l_quantity / 10)::BIGINT, ',' ORDER BY l_linenumber, l_partkey, l_suppkey, l_shipdate, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus) AS labels FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders) GROUP BY 1",

@@ -1,0 +1,21 @@
+"""Branching workloads and operators against DuckDB on the smallest tables."""
+
+import glob
+import os
+
+import duckdb
+import pytest
+
+from canopy import table_queries as T
+
+SF = "/root/testdata/sf0.001"
+
+
+@pytest.mark.parametrize("name", ["w3_tag_counts", "w5_nodes", "w5_binarise", "w6_nodes", "w9_nodes", "op_intersect", "op_pivot_types", "op_array_rhs"])
+def test_query_equals_its_sql(spark, name):
+    db = duckdb.connect()
+    for f in glob.glob(f"{SF}/*.parquet"):
+        db.sql(f"create view {os.path.basename(f)[:-8]} as select * from '{f}'")
+    df = T.QUERIES[name](spark, SF)
+    columns = sorted(df.columns)
+    assert sorted(map(repr, map(tuple, df.select(columns).collect()))) == sorted(map(repr, db.sql(T.SQL[name]).select(", ".join(columns)).fetchall()))

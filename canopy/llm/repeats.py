@@ -27,6 +27,8 @@ BYTES, WORDS = "bytes", "words"
 GRAM = {BYTES: 64, WORDS: 8}
 #: Anchors of one group that a task compares at once.
 GROUP_LIMIT = 16_384
+#: Contexts whose windows are hashed at once: a context has up to threshold windows, so a large group's arrays are made in pieces.
+PIECE = 1024
 
 
 def tokens(raw: np.ndarray, offsets: np.ndarray, unit: str):
@@ -155,13 +157,23 @@ def distinct_rows(batch: pa.RecordBatch) -> pa.RecordBatch:
     return batch if len(at) == batch.num_rows else batch.take(pa.array(np.sort(at)))
 
 
+def all_window_keys(batch: pa.RecordBatch, unit: str, threshold: int):
+    """window_keys of a batch of any size, hashed piece by piece."""
+    got = [(np.zeros(0, np.int32), np.zeros(0, np.int32), np.zeros(0, K.U))]
+    for f in range(0, batch.num_rows, PIECE):
+        row, start, keys = window_keys(batch.slice(f, PIECE), unit, threshold)
+        got.append(((row + f).astype(np.int32), start.astype(np.int32), keys))
+    return tuple(np.concatenate(x) for x in zip(*got))
+
+
 def local_repeats(contexts: DataFrame, unit: str, threshold: int) -> DataFrame:
     def run(batches):
         for batch in K.whole_groups(batches, ("h", "salt"), 2048):
             batch = distinct_rows(batch)
-            row, start, keys = window_keys(batch, unit, threshold)
-            order = np.argsort(keys, kind="stable")
-            same = keys[order][1:] == keys[order][:-1]
+            row, start, keys = all_window_keys(batch, unit, threshold)
+            order = np.argsort(keys)
+            keys = keys[order]
+            same = keys[1:] == keys[:-1]
             hit = np.zeros(len(keys), dtype=bool)
             hit[order[1:][same]] = True
             hit[order[:-1][same]] = True
@@ -172,30 +184,38 @@ def local_repeats(contexts: DataFrame, unit: str, threshold: int) -> DataFrame:
 
 def dealt_repeats(contexts: DataFrame, unit: str, threshold: int) -> DataFrame:
     """Repeats between the parts of groups that were dealt over several tasks."""
-    whole = cut(contexts.where("n > salts_at"), "dealt")
+    whole = contexts.where("n > salts_at")
+    parts = int(contexts.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # a number, so that parts of few bytes but many windows stay in tasks of their own
 
     def keys_of(batches):
-        for batch in K.whole_groups(batches, ("h", "salt"), GROUP_LIMIT):
-            row, _, keys = window_keys(batch, unit, threshold)
-            h, salt = batch.column("h").to_numpy(zero_copy_only=False), batch.column("salt").to_numpy(zero_copy_only=False)
-            trio = np.unique(np.stack([h[row], salt[row], keys.view(np.int64)], 1), axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(trio[:, i]) for i in range(3)], ["h", "salt", "key"])
-
-    by = lambda df: df.repartition("h", "salt").sortWithinPartitions("h", "salt")
-    keys = cut(by(whole).mapInArrow(keys_of, "h long, salt long, key long"), "window-keys")
+        for batch in K.whole_groups(batches, ("h", "salt"), 2048):
+            edge = np.concatenate(([0], np.flatnonzero(K.borders(batch, ("h", "salt"))) + 1, [batch.num_rows]))
+            for a, b in zip(edge[:-1].tolist(), edge[1:].tolist()):
+                keys = np.unique(all_window_keys(batch.slice(a, b - a), unit, threshold)[2]).view(np.int64)
+                for f in range(0, len(keys), 1 << 16):
+                    some = keys[f : f + (1 << 16)]
+                    same = [pa.array(np.full(len(some), batch.column(c)[a].as_py())) for c in ("h", "salt")]
+                    yield pa.RecordBatch.from_arrays([*same, pa.array(some)], ["h", "salt", "key"])
+
+    keys = cut(whole.repartition(parts, "h", "salt").sortWithinPartitions("h", "salt").mapInArrow(keys_of, "h long, salt long, key long"), "window-keys")
     shared = keys.groupBy("key").agg(F.min("salt").alias("lo"), F.max("salt").alias("hi")).where("lo < hi").select("key")
-    lists = keys.join(shared, "key").groupBy("h", "salt").agg(F.collect_set("key").alias("keys"))  # at most GROUP_LIMIT x (threshold - gram + 1)
+    wanted = keys.join(shared, "key").select("h", "salt", "key")  # for one part at most GROUP_LIMIT x (threshold - gram + 1)
 
     def marked(left: pa.Table, right: pa.Table) -> pa.Table:
         schema = pa.schema([(c, pa.int64()) for c in ("k1", "k2", "s", "e")])
         if not left.num_rows or not right.num_rows:
             return schema.empty_table()
         batch = left.combine_chunks().to_batches()[0]
-        wanted = right.column("keys").combine_chunks().flatten().to_numpy(zero_copy_only=False)
-        row, start, keys = window_keys(batch, unit, threshold)
-        return pa.Table.from_batches([runs(batch, row, start, np.isin(keys.view(np.int64), wanted), threshold)])
-
-    return whole.groupBy("h", "salt").cogroup(lists.groupBy("h", "salt")).applyInArrow(marked, "k1 long, k2 long, s long, e long")
+        known = np.sort(right.column("key").to_numpy().view(K.U))
+        found = []
+        for f in range(0, batch.num_rows, PIECE):
+            piece = batch.slice(f, PIECE)
+            row, start, keys = window_keys(piece, unit, threshold)
+            hit = known[np.minimum(np.searchsorted(known, keys), len(known) - 1)] == keys
+            found.append(runs(piece, row, start, hit, threshold))
+        return pa.Table.from_batches(found)
+
+    return whole.groupBy("h", "salt").cogroup(wanted.groupBy("h", "salt")).applyInArrow(marked, "k1 long, k2 long, s long, e long")
 
 
 def repeated_spans(docs: DataFrame, unit: str, threshold: int, group_limit: int = GROUP_LIMIT):

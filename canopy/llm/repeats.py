@@ -225,7 +225,7 @@ def repeated_spans(docs: DataFrame, unit: str, threshold: int, group_limit: int
     texts = docs.select(*text_keys(text), F.coalesce(F.col("doc_id").cast("long"), F.lit(-1)).alias("doc_id"), text.alias("text")).where(F.octet_length("text") >= threshold)
     found = find_anchors(texts, unit, threshold).groupBy("k1", "k2", "place", "h").agg(F.min("doc_id").alias("doc_id"))
     found = cut(found, "anchors")
-    again = found.groupBy("h").agg(F.count("*").alias("n")).where("n > 1")
+    again = cut(found.groupBy("h").agg(F.count("*").alias("n")).where("n > 1"), "again")  # read from a table, a frequent anchor's side of the join can be split
     lists = found.join(again, "h").groupBy("k1", "k2", "doc_id").agg(F.collect_list(F.struct("place", "h", "n")).alias("list"))  # bounded by a text's length
     contexts = find_contexts(texts.join(lists, ["k1", "k2", "doc_id"]).select("k1", "k2", "text", "list"), unit, threshold)
     salts = F.ceil(F.col("n") / group_limit)

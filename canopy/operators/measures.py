@@ -157,3 +157,55 @@ def phrase_size(texts: DataFrame, key: str, text: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column("key"), pa.array(out, pa.int64())], ["key", "phrases"])
 
     return texts.select(F.col(key).cast("long").alias("key"), F.col(text).alias("s")).mapInArrow(run, "key long, phrases long")
+
+
+def count_factors(s: str) -> int:
+    """Factors of a greedy left-to-right parse: each the longest string that also begins earlier, overlaps allowed, or one new letter.
+
+    Walks the automaton of all substrings, whose states know where their strings end first; linear in the string.
+    """
+    go, link, long, ends = [{}], [-1], [0], [-1]
+
+    def state(moves: dict, length: int, end: int) -> int:
+        go.append(moves)
+        link.append(0)
+        long.append(length)
+        ends.append(end)
+        return len(go) - 1
+
+    last = 0
+    for i, ch in enumerate(s):
+        new, p = state({}, long[last] + 1, i), last
+        while p >= 0 and ch not in go[p]:
+            go[p][ch] = new
+            p = link[p]
+        if p >= 0:
+            q = go[p][ch]
+            if long[q] > long[p] + 1:
+                twin = state(dict(go[q]), long[p] + 1, ends[q])
+                link[twin] = link[q]
+                link[q] = twin
+                while p >= 0 and go[p].get(ch) == q:
+                    go[p][ch] = twin
+                    p = link[p]
+                q = twin
+            link[new] = q
+        last = new
+    factors = i = 0
+    while i < len(s):
+        j, at = i, 0
+        while j < len(s) and ends[to := go[at][s[j]]] < j:
+            at, j = to, j + 1
+        i = max(j, i + 1)
+        factors += 1
+    return factors
+
+
+def factor_counts(texts: DataFrame, key: str, text: str) -> DataFrame:
+    """(key, factors): a floor for grammars of strings, no grammar has fewer symbols than its string has such factors. A task holds one string's automaton."""
+
+    def run(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column("key"), pa.array([count_factors(s or "") for s in b.column("s").to_pylist()], pa.int64())], ["key", "factors"])
+
+    return texts.select(F.col(key).cast("long").alias("key"), F.col(text).alias("s")).mapInArrow(run, "key long, factors long")

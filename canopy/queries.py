@@ -226,13 +226,17 @@ def phrases(spark: SparkSession, sf_dir: str) -> DataFrame:
     return M.phrase_size(S.table(spark, sf_dir, "documents"), "doc_id", "text")
 
 
+def factors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return M.factor_counts(S.table(spark, sf_dir, "documents"), "doc_id", "text")
+
+
 QUERIES = {
     "w1_nodes": plain("w1"), "w2_nodes": plain("w2"), "w2b_nodes": plain("w2b"), "w4_line_strings": plain("w4"), "w7_json_tree": plain("w7"), "w8_sign_chains": plain("w8"),
     "w1_rank_histogram": rank_histogram, "w1_chain_stats": chain_stats, "w1_pair_graph": w1_pair_graph, "w1_leaf_keys": w1_leaf_keys,
     "w1_roundtrip": roundtrip("w1"), "w2_roundtrip": roundtrip("w2"), "w7_roundtrip": roundtrip("w7"), "w1_grammar_size": w1_grammar_size, "w7_grammar_size": w7_grammar_size,
     "w1_label_counts_on_grammar": label_counts, "w1_weight_conservation": weights, "w1_size_by_status": size_by_status, "w1_violations": violation_rows,
     "w2_runs": w2_runs, "w2_run_histogram": run_histogram, "w2_run_compress": w2_run_compress, "w2_rep_cost_direct": rep_cost("direct"), "w2_rep_cost_binary": rep_cost("binary"), "w2_rep_cost_gap": rep_cost("gap"),
-    "w1_phase_stats": phase_stats("w1"), "w2_phase_stats": phase_stats("w2"), "partition_cover_floor": cover_floor, "baseline_sizes": baseline_sizes, "baseline_bisection": bisection, "baseline_phrases": phrases,
+    "w1_phase_stats": phase_stats("w1"), "w2_phase_stats": phase_stats("w2"), "partition_cover_floor": cover_floor, "baseline_sizes": baseline_sizes, "baseline_bisection": bisection, "baseline_phrases": phrases, "baseline_factors": factors,
     "x_ab_power_size": family_size("ab", 1024), "x_perfect_binary_size": family_size("binary", 5), "x_flat_incompressible": family_size("flat", 100),
     "op_broadcast_join": joins("broadcast"), "op_sortmerge_join": joins("merge"), "op_shuffle_hash_join": joins("shuffle_hash"), "op_theta_ancestor": ancestors, "op_anti_childless": no_lines,
     "op_asof_last_run": asof_last_run, "op_rank_runs": longest_runs, "op_cube_labels": cube, "op_rollup_labels": rollup, "op_topk_pairs": top_pairs, "op_math_binary": binary_digits,

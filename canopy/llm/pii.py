@@ -1,7 +1,7 @@
 """Information-theoretic sanitisation, in DataFrame expressions only.
 
 Values of fixed form (mail, network address, card, telephone) are found by pattern and test. The rest is
-judged by the corpus: a term that stands near a recurring value reveals it as far as their co-occurrence
+judged by the corpus: a term that stands near a value, however seldom, reveals it as far as their co-occurrence
 exceeds chance. The disclosed share is PMI(term, value) / IC(value), both estimated from counts over all
 documents. A term at or above the threshold is a span of its own, generalised to its kind's mark
 or removed with the values.
@@ -28,9 +28,8 @@ PATTERNS = {
 #: What a text must hold for the pattern to have a chance.
 NEEDS = {"email": "@", "ip": r"[0-9]\.[0-9]", "card": r"[0-9][\x20-]?[0-9]", "phone": r"\+[0-9]"}
 BYTE = r"0*(?:25[0-5]|2[0-4][0-9]|1[0-9]{2}|[0-9]{1,2})"
-#: Words on each side of a value that count as near it; occurrences in different surroundings that evidence needs.
+#: Words on each side of a value that count as near it.
 NEAR = 6
-SUPPORT = 3
 THRESHOLD = 0.5
 TERM_PATTERN = r"[\p{L}]{4,}"
 
@@ -87,53 +86,59 @@ def base_spans(docs: DataFrame) -> DataFrame:
     return docs.withColumn("pii", F.when(any_need, F.array_sort(F.transform(F.concat(*(found(text, k) for k in KINDS)), turned))).otherwise(empty))
 
 
+def words(text: Column) -> Column:
+    return F.regexp_extract_all(F.lower(text), F.lit(TERM_PATTERN), F.lit(0))
+
+
 def revealing_terms(marked: DataFrame, docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """(value, term): terms whose disclosed share of a recurring value reaches the threshold.
+    """(value, term): terms whose disclosed share of a value reaches the threshold, for values of any number of sightings.
 
-    Surroundings that are equal word for word count once, so copies of a document are no evidence.
-    p(value), p(term) and p(both) are shares of documents, the last taken from surroundings. All documents count.
+    p(value), p(term) and p(both) are shares of documents; for both, the term stands near the value. All documents
+    count, copies too, on both sides: a term found only beside one value reveals all of it, be it in one document or in fifty copies.
     """
-    each = marked.where(F.size("pii") > 0).select("doc_id", "text", F.explode("pii").alias("p"))
-    left = F.expr("substring(text, greatest(p.s - 120, 0) + 1, least(p.s, 120))")
-    right = F.expr("substring(text, p.e + 1, 120)")
-    terms = lambda side: F.regexp_extract_all(F.lower(side), F.lit(TERM_PATTERN), F.lit(0))
-    near = F.array_distinct(F.concat(F.slice(F.reverse(terms(left)), 1, NEAR), F.slice(terms(right), 1, NEAR)))
-    seen = each.select(F.col("p.v").alias("value"), near.alias("near")).dropDuplicates(["value", "near"])
-    values = seen.groupBy("value").agg(F.count("*").alias("n_value")).where(F.col("n_value") >= SUPPORT)
-    both = (
-        seen.select("value", F.explode("near").alias("term")).groupBy("value", "term").agg(F.count("*").alias("n_both")).where(F.col("n_both") >= SUPPORT).join(values, "value")
-    )
-    both = cut(both, "pii-pairs")
+    held = marked.where(F.size("pii") > 0).select("text", "pii")
+    left = lambda p: F.substring("text", F.greatest(p["s"] - 120, F.lit(0)) + 1, F.least(p["s"], F.lit(120)))
+    right = lambda p: F.substring("text", p["e"] + 1, F.lit(120))
+    near = lambda p: F.concat(F.slice(F.reverse(words(left(p))), 1, NEAR), F.slice(words(right(p)), 1, NEAR))
+    # no value holds a tab; distinct strings are found by hash, distinct structs pair by pair
+    pairs = F.array_distinct(F.flatten(F.transform("pii", lambda p: F.transform(near(p), lambda t: F.concat_ws("\t", p["v"], t)))))
+    values = held.select(F.explode(F.array_distinct(F.transform("pii", lambda p: p["v"]))).alias("value")).groupBy("value").agg(F.count("*").alias("n_value"))
+    seen = held.select(F.explode(pairs).alias("x")).select(F.split("x", "\t").alias("x")).select(F.col("x")[0].alias("value"), F.col("x")[1].alias("term"))
+    both = cut(seen.groupBy("value", "term").agg(F.count("*").alias("n_both")).join(values, "value"), "pii-pairs")
+    if not both.take(1):
+        return both.select("value", "term")
     wanted = both.select("term").distinct()
-    if small_enough(wanted, 1):
-        if not both.take(1):
-            return both.select("value", "term")
-    small = small_enough(wanted)
-    wanted = F.broadcast(wanted) if small else wanted
-    tokens = docs.where(F.col("text").isNotNull()).select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM_PATTERN), F.lit(0)))).alias("term"))
-    held = tokens.join(wanted, "term", "left_semi").groupBy("term").agg(F.count("*").alias("n_term"))
+    tokens = docs.where(F.col("text").isNotNull()).select(F.explode(F.array_distinct(words(F.col("text")))).alias("term"))
+    if small_enough(wanted):
+        counted = F.broadcast(tokens.join(F.broadcast(wanted), "term", "left_semi").groupBy("term").agg(F.count("*").alias("n_term")))
+    else:
+        counted = tokens.groupBy("term").agg(F.count("*").alias("n_term"))
     total = F.lit(float(max(docs.count(), 1)))
     pmi = F.log2(F.col("n_both") * total / (F.col("n_value") * F.col("n_term")))
     share = pmi / F.greatest(F.log2(total / F.col("n_value")), F.lit(1e-9))
-    return both.join(held, "term").where(share >= threshold).select("value", "term")
+    return both.join(counted, "term").where(share >= threshold).select("value", "term")
 
 
-def term_spans(marked: DataFrame, terms: DataFrame) -> DataFrame:
-    """Per distinct (doc_id, text): the spans of terms that reveal a value the text holds."""
-    each = marked.where(F.size("pii") > 0).select("doc_id", "text", F.explode(F.array_distinct(F.transform("pii", lambda x: x["v"]))).alias("value"))
-    by_value = terms.groupBy("value").agg(F.collect_set("term").alias("terms"))  # at most 2 NEAR / threshold terms reveal a value in each surrounding
-    hit = each.join(F.broadcast(by_value) if small_enough(by_value, 20_000) else by_value, "value").groupBy("doc_id", "text").agg(F.array_distinct(F.flatten(F.collect_list("terms"))).alias("terms"))
-    gaps, words = F.split("text", TERM_PATTERN, -1), F.regexp_extract_all("text", F.lit(TERM_PATTERN), F.lit(0))
+def terms_held(hit: DataFrame, terms: DataFrame) -> DataFrame:
+    """Per distinct (doc_id, mark): the terms that stand anywhere in the text and reveal a value it holds."""
+    small = small_enough(terms)
+    known = terms.select("term").distinct()
+    held = hit.select("doc_id", "mark", F.array_distinct(F.transform("pii", lambda x: x["v"])).alias("values"), F.explode(F.array_distinct(words(F.col("text")))).alias("term"))
+    each = held.join(F.broadcast(known) if small else known, "term", "left_semi").select("doc_id", "mark", "term", F.explode("values").alias("value"))
+    return each.join(F.broadcast(terms) if small else terms, ["value", "term"]).groupBy("doc_id", "mark").agg(F.collect_set("term").alias("terms"))
+
+
+def term_spans(text: Column, terms: Column) -> Column:
+    gaps, found = F.split(text, TERM_PATTERN, -1), F.regexp_extract_all(text, F.lit(TERM_PATTERN), F.lit(0))
     empty = F.array().cast("array<struct<s:int,k:int,e:int,v:string>>")
-    walked = F.aggregate(
-        F.arrays_zip(F.transform(gaps, F.length).alias("g"), words.alias("h")),
+    return F.aggregate(
+        F.arrays_zip(F.transform(gaps, F.length).alias("g"), found.alias("h")),
         F.struct(F.lit(0).alias("at"), empty.alias("out")),
         lambda a, x: F.struct(
             (a["at"] + x["g"] + F.coalesce(F.length(x["h"]), F.lit(0))).alias("at"),
-            F.when(F.array_contains("terms", F.lower(x["h"])), F.concat(a["out"], F.array(F.struct((a["at"] + x["g"]).alias("s"), F.lit(len(KINDS)).alias("k"), (a["at"] + x["g"] + F.length(x["h"])).alias("e"), x["h"].alias("v"))))).otherwise(a["out"]).alias("out"),
+            F.when(F.array_contains(terms, F.lower(x["h"])), F.concat(a["out"], F.array(F.struct((a["at"] + x["g"]).alias("s"), F.lit(len(KINDS)).alias("k"), (a["at"] + x["g"] + F.length(x["h"])).alias("e"), x["h"].alias("v"))))).otherwise(a["out"]).alias("out"),
         ),
     )["out"]
-    return hit.select("doc_id", "text", walked.alias("extra"))
 
 
 def find(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
@@ -145,11 +150,12 @@ def find(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     terms = cut(revealing_terms(marked, docs, threshold), "pii-terms")
     if not terms.take(1):
         return marked.withColumn("spans", F.col("pii"))
-    extra = term_spans(marked, terms).withColumnRenamed("doc_id", "x_id").withColumnRenamed("text", "x_text")
     rest = marked.where(F.size("pii") == 0).withColumn("spans", F.col("pii"))
-    hit = marked.where(F.size("pii") > 0).join(extra, F.col("doc_id").eqNullSafe(F.col("x_id")) & (F.col("text") == F.col("x_text")), "left")
-    whole = hit.withColumn("spans", F.array_sort(F.concat("pii", F.coalesce("extra", F.array().cast("array<struct<s:int,k:int,e:int,v:string>>"))))).drop("x_id", "x_text", "extra")
-    return rest.unionByName(whole)
+    hit = marked.where(F.size("pii") > 0).withColumn("mark", F.sha2("text", 256))
+    extra = terms_held(hit, terms).withColumnRenamed("doc_id", "x_id").withColumnRenamed("mark", "x_mark")
+    both = hit.join(extra, F.col("doc_id").eqNullSafe(F.col("x_id")) & (F.col("mark") == F.col("x_mark")), "left")
+    spans = F.when(F.col("terms").isNull(), F.col("pii")).otherwise(F.array_sort(F.concat("pii", term_spans(F.col("text"), F.col("terms")))))
+    return rest.unionByName(both.withColumn("spans", spans).drop("x_id", "x_mark", "terms", "mark"))
 
 
 def said(spans: Column) -> Column:

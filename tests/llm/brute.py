@@ -1,6 +1,7 @@
 """Plain versions of the contracts, for tests."""
 
 import hashlib
+import math
 import re
 import struct
 import zlib
@@ -49,6 +50,18 @@ def pii(text):
     return [sum(x[1] == k for x in out) for k in range(4)], sha(",".join(f"{KINDS[k]}:{s}:{e}" for s, k, e in out).encode()), out
 
 
+def terms(texts, window, threshold):
+    """{place: words that reveal a value the text holds}, by document shares of value, word and both."""
+    word = re.compile(r"[^\W\d_]{4,}")
+    held = {i: [(t[s:e], s, e) for s, _, e in pii(t)[2]] for i, t in enumerate(texts) if t}
+    near = {i: {(v, w) for v, s, e in x for w in word.findall(texts[i][max(0, s - 120) : s].lower())[-window:] + word.findall(texts[i][e : e + 120].lower())[:window]} for i, x in held.items()}
+    both, value = Counter(p for x in near.values() for p in x), Counter(v for x in held.values() for v in {y[0] for y in x})
+    seen = Counter(w for t in texts if t for w in set(word.findall(t.lower())))
+    n = len(texts)
+    told = {(v, w) for (v, w), c in both.items() if seen[w] and math.log2(c * n / (value[v] * seen[w])) >= threshold * max(math.log2(n / value[v]), 1e-9)}
+    return {i: [m[0] for m in word.finditer(t or "") if any((v, m[0].lower()) in told for v, _, _ in held.get(i, []))] for i, t in enumerate(texts)}
+
+
 def shingles(text, width):
     w = WORD.findall(re.sub(rb"[A-Z]", lambda m: m[0].lower(), (text or "").encode()))
     return {tuple(w[i : i + width]) for i in range(len(w) - width + 1)} or ({tuple(w)} if w else set())

@@ -51,6 +51,17 @@ def test_pii_terms_and_sanitising(spark):
     assert pii.sanitise(docs).columns == docs.columns
 
 
+def test_pii_terms_of_values_seen_once_or_twice(spark):
+    """A name beside a value of one or two sightings is judged; against a plain version on all rows."""
+    rows = [f"mister quentin writes from una{i}@x.org about stock {i}" if i == 0 else f"plain stock report about nothing {i}" for i in range(60)]
+    rows += ["lady ottoline keeps 10.1.2.3 for stock", "our report, ottoline has 10.1.2.3 about nothing", "copy of rosalind bo@y.net"] + ["copy of rosalind bo@y.net"] * 3 + [None]
+    spans = by_id(pii.report(table(spark, rows)), "spans")
+    said = {i: [rows[i][int(a) : int(b)] for k, a, b in (x.split(":") for x in spans[i][0].split(",") if x) if k == "term"] for i in range(len(rows))}
+    assert said == B.terms(rows, pii.NEAR, pii.THRESHOLD)
+    assert "quentin" in said[0] and "ottoline" in said[60] and "ottoline" in said[61] and all("rosalind" in said[i] for i in range(62, 66))
+    assert "stock" not in said[0] and "report" not in said[61] and not any(said[i] for i in range(1, 60))
+
+
 @pytest.mark.parametrize("width", [2, 5])
 def test_near_duplicates(spark, width):
     got = by_id(near_dups.near_duplicates(table(spark), width), "n_shingles", "component_id", "kept")

@@ -60,6 +60,14 @@ def settle(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def unsettle(df: DataFrame) -> None:
+    """Delete the files behind a settled table, once nothing will read it again."""
+    spark = df.sparkSession
+    for f in df.inputFiles()[:1]:
+        folder = spark._jvm.org.apache.hadoop.fs.Path(f).getParent()
+        folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
+
+
 def letter(*key) -> "F.Column":
     return F.xxhash64(*key)
 

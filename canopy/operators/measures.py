@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 import math
+from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from canopy.model import Forest, Grammar, settle
+from canopy.model import Forest, Grammar, settle, unsettle
 from canopy.operators.compressor import census
 
 
@@ -123,18 +124,23 @@ def digram_size(forest: Forest, max_rank: int = 8, rounds: int = 40) -> int:
 
 def bisection_size(texts: DataFrame, key: str, text: str) -> int:
     """Bisection grammar of strings: a string of n splits after the largest power of two below n; equal parts are one rule of size 2, shared by all strings."""
-    parts = settle(texts.where(F.length(text) > 0).select(F.col(text).alias("s")).distinct())
-    rules, seen = 0, parts
-    while True:
-        long = parts.where(F.length("s") > 1)
-        n = long.count()
-        if not n:
-            return rules
-        rules += 2 * n
-        half = F.call_function("shiftleft", F.lit(1), F.floor(F.log2(F.length("s") - F.lit(0.5))).cast("int"))
-        down = long.select(F.explode(F.array(F.substring("s", F.lit(1), half), F.substring("s", half + 1, F.length("s")))).alias("s")).distinct()
-        parts = settle(down.join(seen, "s", "left_anti"))
-        seen = settle(seen.union(parts))
+    # From the longest down, a class of lengths (half, 2 half] at a time: only longer strings make parts of it, so each part is met in one class alone.
+    texts = texts.select(F.col(text).alias("s")).where(F.length("s") > 1)
+    longest = texts.agg(F.max(F.length("s"))).first()[0] or 1
+    rules, open_, above, even = 0, [texts], None, None
+    for k in reversed(range((longest - 1).bit_length())):
+        half = 1 << k
+        due = reduce(DataFrame.union, [x.where((F.length("s") > half) & (F.length("s") <= 2 * half)) for x in open_] + ([even] if even is not None else []))
+        due = settle(due.distinct())
+        if above is not None:
+            unsettle(above)
+        rules += 2 * due.count()
+        even = due.select(F.explode(F.array(F.substring("s", 1, half), F.substring("s", half + 1, half))).alias("s")).where(F.length("s") == half)
+        open_.append(settle(due.where((F.length("s") < 2 * half) & (F.length("s") > half + 1)).select(F.substring("s", half + 1, half).alias("s"))))
+        above = due
+    for x in open_[1:] + ([above] if above is not None else []):
+        unsettle(x)
+    return rules
 
 
 def phrase_size(texts: DataFrame, key: str, text: str) -> DataFrame:

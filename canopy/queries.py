@@ -117,7 +117,7 @@ def baseline_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def bisection(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return one_row(spark, "size long", M.bisection_size(S.table(spark, sf_dir, "benchmark"), "item_id", "text"))
+    return one_row(spark, "size long", M.bisection_size(S.table(spark, sf_dir, "documents"), "doc_id", "text"))
 
 
 def family_size(kind: str, k: int):

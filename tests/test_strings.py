@@ -2,6 +2,7 @@
 
 import random
 
+from canopy import queries as Q
 from canopy.operators import measures as M
 
 
@@ -28,3 +29,21 @@ def test_factors_are_a_floor(spark):
     got = {r.key: r.factors for r in M.factor_counts(texts, "doc_id", "text").collect()}
     assert got[0] == 0 and got[2] == 2
     assert all(got[i] <= M.bisection_size(texts.where(f"doc_id = {i}"), "doc_id", "text") for i in (1, 2, 3))
+
+
+def plain_bisection(texts) -> int:
+    seen, todo = set(), [t for t in texts if t]
+    while todo:
+        s = todo.pop()
+        if len(s) > 1 and s not in seen:
+            seen.add(s)
+            half = 1 << (len(s) - 1).bit_length() - 1
+            todo += [s[:half], s[half:]]
+    return 2 * len(seen)
+
+
+def test_bisection_of_all_documents(spark, tmp_path):
+    rng = random.Random(3)
+    texts = [None, "", "a", "ab", "aba", "é🙂é🙂é", "abcd" * 8, "abcd" * 8 + "x"] + ["".join(rng.choice("abc") for _ in range(rng.randrange(90))) for _ in range(60)]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    assert Q.QUERIES["baseline_bisection"](spark, str(tmp_path)).first()[0] == plain_bisection(texts)

@@ -87,38 +87,46 @@ def dag_size(forest: Forest) -> int:
     return int(nodes.select("name", "rank").distinct().agg(F.coalesce(F.sum(F.when(F.col("rank") > 0, F.col("rank") + 1)), F.lit(1))).first()[0])
 
 
-def digram_size(forest: Forest, max_rank: int = 8, rounds: int = 40) -> int:
-    """Digram replacement: the commonest (parent, slot, child) of rank at most max_rank becomes a letter, while it occurs twice. Occurrences of one digram that overlap (equal letters in a chain) are taken from the top."""
+def digram_size(forest: Forest, max_rank: int = 8) -> int:
+    """Digram replacement: common (parent, slot, child) of rank at most max_rank become letters, until none occurs twice.
+
+    A round replaces every digram that is the commonest of all that share a letter with it; these share no letter, so their
+    occurrences are disjoint. Occurrences of one digram that overlap (equal letters in a chain) are taken from the top.
+    """
     nodes = settle(forest.nodes)
     made = 0
-    for _ in range(rounds):
+    while True:
         up = nodes.select("tree_id", F.col("pre").alias("parent"), F.col("sym").alias("a"), F.col("rank").alias("ra"))
         arcs = nodes.where("parent is not null").join(up, ["tree_id", "parent"])
-        top = arcs.where(F.col("ra") + F.col("rank") - 1 <= max_rank).groupBy("a", "slot", "sym").agg(F.count("*").alias("n"), F.first("rank").alias("rb")).orderBy(F.desc("n"), "a", "slot", "sym").first()
-        if top is None or top["n"] < 2:
+        found = settle(arcs.where(F.col("ra") + F.col("rank") - 1 <= max_rank).groupBy("a", "slot", "sym").agg(F.count("*").alias("n"), F.first("rank").alias("rb")).where("n > 1"))
+        letters = F.array_distinct(F.array("a", "sym"))
+        best = found.select(F.explode(letters).alias("x"), F.struct((-F.col("n")).alias("n"), "a", "slot", "sym", "rb").alias("key")).groupBy("x").agg(F.min("key").alias("key"))
+        top = settle(best.groupBy("key").agg(F.count("*").alias("m")).select("key.*", "m").where(F.col("m") == F.size(letters)).select("a", "slot", "sym", F.col("rb").alias("b_rank"), F.xxhash64(F.lit("digram"), "a", "slot", "sym").alias("new")))
+        if not (more := top.count()):
             break
-        made += 1
-        a, i, b, rb = top["a"], top["slot"], top["sym"], top["rb"]
-        mine = arcs.where((F.col("a") == a) & (F.col("slot") == i) & (F.col("sym") == b)).select("tree_id", F.col("pre").alias("low"), F.col("parent").alias("top"))
-        if a == b:  # along a path of equal letters every second arc, counted from the top
-            head = mine.join(mine.select("tree_id", F.col("low").alias("top"), F.lit(True).alias("inside")), ["tree_id", "top"], "left")
-            ladder = settle(head.where("inside is null").select("tree_id", "top", "low", F.lit(0).alias("k")))
+        made += more
+        mine = settle(arcs.join(top, ["a", "slot", "sym"]).select("tree_id", F.col("pre").alias("low"), F.col("parent").alias("top"), F.col("slot").alias("i"), F.col("b_rank").alias("rb"), "new", (F.col("a") == F.col("sym")).alias("same")))
+        links = mine.where("same").select("tree_id", "top", "low")
+        if links.take(1):  # along a path of equal letters every second arc, counted from the top
+            head = links.join(links.select("tree_id", F.col("low").alias("top")), ["tree_id", "top"], "left_anti")
+            ladder = settle(head.select("tree_id", "top", "low", F.lit(0).alias("k")))
             chosen = ladder
-            links = settle(mine)
             while True:
                 ladder = settle(ladder.select("tree_id", F.col("low").alias("top"), "k").join(links, ["tree_id", "top"]).select("tree_id", "top", "low", (F.col("k") + 1).alias("k")))
                 if not ladder.take(1):
                     break
                 chosen = chosen.union(ladder)
-            mine = chosen.where("k % 2 = 0").select("tree_id", "top", "low")
-        mine = settle(mine)
-        new = F.lit(-made).cast("long")
-        moved = nodes.join(mine.select("tree_id", F.col("low").alias("pre"), F.lit(True).alias("gone")), ["tree_id", "pre"], "left").join(mine.select("tree_id", F.col("top").alias("pre"), F.lit(True).alias("hit")), ["tree_id", "pre"], "left")
-        child = mine.select("tree_id", F.col("low").alias("parent"), F.col("top").alias("new_parent"))
-        sibling = mine.select("tree_id", F.col("top").alias("parent"), F.lit(True).alias("shifted"))
-        out = moved.where("gone is null").join(child, ["tree_id", "parent"], "left").join(sibling, ["tree_id", "parent"], "left")
-        slot = F.when(F.col("new_parent").isNotNull(), F.col("slot") + i - 1).when(F.col("shifted") & (F.col("slot") > i), F.col("slot") + rb - 1).otherwise(F.col("slot"))
-        nodes = settle(out.select("tree_id", "pre", F.coalesce("new_parent", "parent").alias("parent"), slot.cast("int").alias("slot"), F.when(F.col("hit"), new).otherwise(F.col("sym")).alias("sym"), F.when(F.col("hit"), F.col("rank") + rb - 1).otherwise(F.col("rank")).cast("int").alias("rank")))
+            mine = settle(mine.where("not same").union(mine.where("same").join(chosen.where("k % 2 = 0").select("tree_id", "low"), ["tree_id", "low"], "left_semi").select(mine.columns)))
+        gone = mine.select("tree_id", F.col("low").alias("pre"))
+        hit = mine.select("tree_id", F.col("top").alias("pre"), "new", F.col("rb").alias("hit_rank"))
+        child = mine.select("tree_id", F.col("low").alias("parent"), F.col("top").alias("new_parent"), F.col("i").alias("at"))
+        sibling = mine.select("tree_id", F.col("top").alias("parent"), "i", "rb")
+        out = nodes.join(gone, ["tree_id", "pre"], "left_anti").join(hit, ["tree_id", "pre"], "left").join(child, ["tree_id", "parent"], "left").join(sibling, ["tree_id", "parent"], "left")
+        slot = F.when(F.col("new_parent").isNotNull(), F.col("slot") + F.col("at") - 1).when(F.col("slot") > F.col("i"), F.col("slot") + F.col("rb") - 1).otherwise(F.col("slot"))
+        rank = F.when(F.col("new").isNotNull(), F.col("rank") + F.col("hit_rank") - 1).otherwise(F.col("rank"))
+        after = settle(out.select("tree_id", "pre", F.coalesce("new_parent", "parent").alias("parent"), slot.cast("int").alias("slot"), F.coalesce("new", "sym").alias("sym"), rank.cast("int").alias("rank")))
+        unsettle(nodes)
+        nodes = after
     return 2 * made + nodes.count()
 
 

@@ -3,7 +3,9 @@
 import random
 
 from canopy import queries as Q
+from canopy.model import forest_of
 from canopy.operators import measures as M
+from canopy.sources import relational as S
 
 
 def plain_factors(s: str) -> int:
@@ -47,3 +49,9 @@ def test_bisection_of_all_documents(spark, tmp_path):
     texts = [None, "", "a", "ab", "aba", "é🙂é🙂é", "abcd" * 8, "abcd" * 8 + "x"] + ["".join(rng.choice("abc") for _ in range(rng.randrange(90))) for _ in range(60)]
     spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
     assert Q.QUERIES["baseline_bisection"](spark, str(tmp_path)).first()[0] == plain_bisection(texts)
+
+
+def test_digrams_until_none_occurs_twice(spark):
+    size = lambda terms: M.digram_size(forest_of(S.from_terms(spark, dict(enumerate(terms)))))
+    assert size([f"f{i}(g{i})" for i in range(45)] * 3) == 2 * 45 + 3 * 45
+    assert size(["f(g(a),h(b,c))"] * 3 + ["a(b(" * 16 + "c" + "))" * 16]) == 2 * 5 + 3 + 2 * 4 + 3

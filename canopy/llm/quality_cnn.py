@@ -144,21 +144,23 @@ def train(texts: list[str], labels: np.ndarray, epochs: int = EPOCHS, rate: floa
 
 
 def fit(labelled: DataFrame) -> Model:
-    """Fit on at most FIT_ROWS rows (doc_id, text, label), drawn by id hash, whole texts within FIT_BYTES in all.
+    """Fit on at most FIT_ROWS rows (doc_id, text, label), drawn by id hash, whole texts within FIT_BYTES in all; texts that do not fit are passed over, and each label drawn comes first with one text.
 
     Without rows of both labels every text scores the share of label 1 (one half without rows).
     """
-    rows = labelled.where(F.col("label").isNotNull()).select("doc_id", "text", F.col("label").cast("int").alias("label"))
+    rows = labelled.where(F.col("label").isNotNull()).select("doc_id", "text", F.col("label").cast("int").alias("label")).where(F.coalesce(F.octet_length("text"), F.lit(0)) <= FIT_BYTES)
     total = rows.count()
     p = min(1.0, (1.3 * FIT_ROWS + 20) / max(total, 1))
-    got = rows.where(F.xxhash64("doc_id", F.lit(29)) <= int(-(2**63) + min(p * 2**64, 2**64 - 1))).orderBy(F.xxhash64("doc_id", F.lit(29))).limit(FIT_ROWS).collect()
+    got = rows.where(F.xxhash64("doc_id", F.lit(29)) <= int(-(2**63) + min(p * 2**64, 2**64 - 1))).orderBy(F.xxhash64("doc_id", F.lit(29))).collect()
     texts, labels, size = [], [], 0
-    for _, text, label in got:
-        size += len((text or "").encode())
-        if size > FIT_BYTES and texts:
-            break
-        texts.append(text or "")
-        labels.append(label)
+    first = {label: i for i, (_, _, label) in reversed(list(enumerate(got)))}
+    for i in [*sorted(first.values(), key=lambda i: len((got[i][1] or "").encode())), *(i for i in range(len(got)) if i not in first.values())]:
+        n = len((got[i][1] or "").encode())
+        if len(texts) == FIT_ROWS or size + n > FIT_BYTES:  # a text that doesn't fit is left out alone
+            continue
+        size += n
+        texts.append(got[i][1] or "")
+        labels.append(got[i][2])
     y = np.array(labels, dtype=np.float32)
     if len(set(labels)) < 2:
         share = float(np.clip(y.mean(), 0.01, 0.99)) if len(y) else 0.5

@@ -189,6 +189,16 @@ def test_language_and_quality_models(spark):
     assert all(p[i][1] == i % 2 for i in range(80)) and 0 <= p[90][0] <= 1
 
 
+def test_quality_fit_passes_over_texts_that_do_not_fit(spark, monkeypatch):
+    kept = []
+    monkeypatch.setattr(quality_cnn, "FIT_BYTES", 2000)
+    monkeypatch.setattr(quality_cnn, "train", lambda texts, y: kept.append((texts, list(y))))
+    rows = [(i, "z" * 1500 if i % 4 == 0 else f"text {i}", i % 2) for i in range(40)] + [(99, "z" * 3000, 1)]
+    quality_cnn.fit(spark.createDataFrame(rows, "doc_id long, text string, label int"))
+    (texts, labels), = kept
+    assert sum(t.startswith("text") for t in texts) == 30 and sum(map(len, texts)) <= 2000 and set(labels) == {0, 1}
+
+
 def test_empty_tables(spark):
     none = table(spark).limit(0)
     path = tokenizer_path("byte_bpe_50k.json")

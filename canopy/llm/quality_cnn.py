@@ -1,9 +1,10 @@
 """Quality classifier: a byte-level convolutional network in numpy.
 
-Filters of four bytes run over overlapping chunks that cover the whole document. Each filter's greatest
-response in a chunk is kept; a document is described by the mean and the greatest of its chunks'
-values, and one logistic unit makes a probability of them. A filter is the sum of two tables over
-pairs of neighbouring byte classes, so a response costs two look-ups.
+Filters over windows of bytes run along overlapping chunks that cover the whole document. A filter
+holds one weight for each byte value at each place of its window, so its response is a sum of
+look-ups. Each filter's greatest response in a chunk is kept; a document is described by the mean and the
+greatest of its chunks' values, and one logistic unit makes a probability of them. A blank symbol
+of weight zero follows every document, so a score depends on nothing but the text.
 """
 
 from __future__ import annotations
@@ -19,123 +20,123 @@ from canopy.llm import kernels as K
 from canopy.llm.common import ship
 
 FILTERS = 16
+WIDTH = 4
 CHUNK = 512
 STRIDE = 448
-CLASSES = 64
+#: The symbol after a document's end; its weights stay zero.
+BLANK = 256
 #: Labelled rows that a fit may use, and bytes of text of them.
 FIT_ROWS = 2500
 FIT_BYTES = 16 << 20
 EPOCHS = 14
 SEED = 5
-
-
-def byte_classes() -> np.ndarray:
-    """Blank, line end, digit, each small letter, each capital's half, each sign's group, lead and trail bytes."""
-    out = np.full(256, 63, dtype=np.int64)
-    out[[9, 11, 12, 13, 32]] = 0
-    out[10] = 1
-    out[48:58] = 2
-    out[97:123] = 3 + np.arange(26)
-    out[65:91] = 29 + np.arange(26) // 2
-    signs = [i for i in range(33, 127) if not chr(i).isalnum()]
-    out[signs] = 42 + np.arange(len(signs)) % 16
-    out[128:192] = 60
-    out[192:224] = 61
-    out[224:] = 62
-    return out
-
-
-CLASS = byte_classes()
+#: Chunks whose responses are held at once.
+BLOCK = 256
 
 
 @dataclass
 class Model:
-    tables: np.ndarray
+    filters: np.ndarray
     weights: np.ndarray
     bias: float
 
 
-def chunks(raw: np.ndarray, offsets: np.ndarray):
-    """Start, end and document of the chunks; the last of a document ends at its end; empty documents have none."""
+def symbols(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The bytes with WIDTH - 1 blanks after each document, and offsets into them (a document's blanks count as its own)."""
+    n = len(offsets) - 1
     size = np.diff(offsets)
-    many = np.where(size > 0, 1 + np.maximum(0, -((CHUNK - size) // STRIDE)), 0)
-    doc = np.repeat(np.arange(len(size)), many)
-    start = offsets[doc] + STRIDE * (np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many))
-    return start, np.minimum(start + CHUNK, offsets[doc + 1]), doc
-
-
-def pairs(raw: np.ndarray) -> np.ndarray:
-    """The class pair at each position; one blank follows the buffer."""
-    c = CLASS[np.append(raw, 32)]
-    return c[:-1] * CLASSES + c[1:]
+    at = np.concatenate(([0], np.cumsum(size + WIDTH - 1)))
+    out = np.full(at[-1] + WIDTH, BLANK, np.int16)
+    out[np.arange(len(raw)) + np.repeat(np.arange(n) * (WIDTH - 1), size)] = raw
+    return out, at
 
 
-def pooled(model: Model, raw: np.ndarray, offsets: np.ndarray, places: bool = False):
-    """[documents, 2 x filters] of mean and greatest chunk response; with places also where each stood."""
-    n = len(offsets) - 1
-    start, end, doc = chunks(raw, offsets)
-    out = np.zeros((n, 2 * FILTERS), dtype=np.float32)
-    top = np.zeros((len(start), FILTERS), dtype=np.float32)
-    where = np.zeros((len(start), FILTERS), dtype=np.int64)
-    if not len(start):
-        return (out, start, doc, top, where) if places else out
-    pair = pairs(raw)
-    for f in range(0, len(start), 256):
-        a, b = start[f : f + 256], end[f : f + 256]
-        at = np.minimum(a[:, None] + np.arange(CHUNK), b[:, None] - 1)  # a short chunk repeats its last position
-        got = model.tables[0][pair[at]] + model.tables[1][pair[np.minimum(at + 2, b[:, None] - 1)]]
-        top[f : f + 256] = got.max(1)
-        if places:
-            where[f : f + 256] = np.take_along_axis(at[:, :, None], got.argmax(1)[:, None, :], 1)[:, 0]
-    np.maximum(top, 0, out=top)
-    first = np.flatnonzero(np.append(True, doc[1:] != doc[:-1]))
-    who = doc[first]
-    count = np.diff(np.append(first, len(doc)))[:, None]
-    out[who, :FILTERS] = np.add.reduceat(top, first) / count
-    out[who, FILTERS:] = np.maximum.reduceat(top, first)
-    return (out, start, doc, top, where) if places else out
+def chunks(size: np.ndarray, first: np.ndarray):
+    """Start, end and document of the chunks; the last of a document ends at its end; empty documents have none."""
+    many = np.where(size > 0, 1 + np.maximum(0, -((CHUNK - size) // STRIDE)), 0)
+    doc = np.repeat(np.arange(len(size)), many)
+    step = STRIDE * (np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many))
+    return first[doc] + step, first[doc] + np.minimum(step + CHUNK, size[doc]), doc
+
+
+def greatest(model: Model, code: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """[chunks, filters]: the greatest response in each chunk, at least zero."""
+    top = np.zeros((len(start), FILTERS), np.float32)
+    for f in range(0, len(start), BLOCK):
+        a, b = start[f : f + BLOCK], end[f : f + BLOCK]
+        lo, hi = int(a[0]), int(b[-1])
+        got = model.filters[0][code[lo : hi + 1]]
+        for j in range(1, WIDTH):
+            got += model.filters[j][code[lo + j : hi + 1 + j]]
+        top[f : f + BLOCK] = np.maximum.reduceat(got, np.stack([a, b], 1).ravel() - lo, axis=0)[::2]
+    return np.maximum(top, 0)
+
+
+def described(top: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
+    """[documents, 2 x filters]: mean and greatest of the chunks' values, zero without a chunk."""
+    out = np.zeros((n, 2 * FILTERS), np.float32)
+    if len(doc):
+        first = np.flatnonzero(np.append(True, doc[1:] != doc[:-1]))
+        out[doc[first], :FILTERS] = np.add.reduceat(top, first) / np.diff(np.append(first, len(doc)))[:, None]
+        out[doc[first], FILTERS:] = np.maximum.reduceat(top, first)
+    return out
 
 
 def probability(model: Model, raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-    z = pooled(model, raw, offsets) @ model.weights + model.bias
-    return 1 / (1 + np.exp(-np.clip(z, -30, 30).astype(np.float64)))
+    code, at = symbols(raw, offsets)
+    start, end, doc = chunks(np.diff(offsets), at[:-1])
+    x = described(greatest(model, code, start, end), doc, len(offsets) - 1).astype(np.float64)
+    z = (x * model.weights).sum(1) + model.bias  # row by row: a matrix product may round by the batch's shape
+    return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
 def train(texts: list[str], labels: np.ndarray, epochs: int = EPOCHS, rate: float = 0.02) -> Model:
     """Adam on the cross entropy, with classes weighted to equal halves; the bias is refitted to the true share at the end."""
     rng = np.random.default_rng(SEED)
-    model = Model(rng.normal(0, 0.3, (2, CLASSES * CLASSES, FILTERS)).astype(np.float32), rng.normal(0, 0.1, 2 * FILTERS).astype(np.float32), 0.0)
+    model = Model(rng.normal(0, 0.3, (WIDTH, BLANK + 1, FILTERS)).astype(np.float32), rng.normal(0, 0.1, 2 * FILTERS).astype(np.float32), 0.0)
+    model.filters[:, BLANK] = 0
     raws = [np.frombuffer(t.encode("utf-8", "surrogatepass"), np.uint8) for t in texts]
     share = float(np.clip(labels.mean(), 0.01, 0.99))
     cost = np.where(labels == 1, 0.5 / share, 0.5 / (1 - share))
-    state = [np.zeros_like(model.tables), np.zeros_like(model.tables), np.zeros(2 * FILTERS + 1), np.zeros(2 * FILTERS + 1)]
+    state = [np.zeros_like(model.filters), np.zeros_like(model.filters), np.zeros(2 * FILTERS + 1), np.zeros(2 * FILTERS + 1)]
+    each = np.arange(FILTERS)
     step = 0
     for _ in range(epochs):
         order = rng.permutation(len(raws))
         for a in range(0, len(order), 32):
             pick = order[a : a + 32]
-            raw = np.concatenate([raws[i] for i in pick])
-            offsets = np.concatenate(([0], np.cumsum([len(raws[i]) for i in pick])))
-            x, start, doc, top, where = pooled(model, raw, offsets, places=True)
+            size = np.array([len(raws[i]) for i in pick])
+            code, at = symbols(np.concatenate([raws[i] for i in pick]), np.concatenate(([0], np.cumsum(size))))
+            start, end, doc = chunks(size, at[:-1])
+            top, where = np.zeros((len(start), FILTERS), np.float32), np.zeros((len(start), FILTERS), np.int64)
+            for f in range(0, len(start), BLOCK):
+                lo, hi = int(start[f]), int(end[min(f + BLOCK, len(end)) - 1])
+                got = sum(model.filters[j][code[lo + j : hi + j]] for j in range(WIDTH))
+                for k in range(f, min(f + BLOCK, len(start))):
+                    part = got[start[k] - lo : end[k] - lo]
+                    where[k] = part.argmax(0)
+                    top[k] = part[where[k], each]
+                    where[k] += start[k]
+            top = np.maximum(top, 0)
+            x = described(top, doc, len(pick))
             z = x @ model.weights + model.bias
             d = (cost[pick] * (1 / (1 + np.exp(-np.clip(z, -30, 30))) - labels[pick]) / len(pick)).astype(np.float32)
-            grad = np.zeros_like(model.tables)
+            grad = np.zeros_like(model.filters)
             if len(doc):
                 count = np.bincount(doc, minlength=len(pick))[doc][:, None]
                 best = top >= x[doc, FILTERS:]
                 g = d[doc][:, None] * (model.weights[:FILTERS] / count + model.weights[FILTERS:] * best) * (top > 0)
-                pair = pairs(raw)
-                end = np.minimum(start + CHUNK, offsets[doc + 1])
-                f = np.broadcast_to(np.arange(FILTERS), where.shape)
-                np.add.at(grad[0], (pair[where], f), g)
-                np.add.at(grad[1], (pair[np.minimum(where + 2, end[:, None] - 1)], f), g)
+                f = np.broadcast_to(each, where.shape)
+                for j in range(WIDTH):
+                    np.add.at(grad[j], (code[where + j], f), g)
+                grad[:, BLANK] = 0
             flat = np.append(x.T @ d + 1e-4 * model.weights, d.sum())
             step += 1
             fix = np.sqrt(1 - 0.999**step) / (1 - 0.9**step)
             for k, gr in ((0, grad), (2, flat)):
                 state[k] = 0.9 * state[k] + 0.1 * gr
                 state[k + 1] = 0.999 * state[k + 1] + 0.001 * gr**2
-            model.tables -= (rate * fix * state[0] / (np.sqrt(state[1]) + 1e-8)).astype(np.float32)
+            model.filters -= (rate * fix * state[0] / (np.sqrt(state[1]) + 1e-8)).astype(np.float32)
             move = rate * fix * state[2] / (np.sqrt(state[3]) + 1e-8)
             model.weights -= move[:-1].astype(np.float32)
             model.bias -= float(move[-1])
@@ -143,35 +144,53 @@ def train(texts: list[str], labels: np.ndarray, epochs: int = EPOCHS, rate: floa
     return model
 
 
+def sample(labelled: DataFrame) -> list[tuple[str, int]]:
+    """(text, label) of at most FIT_ROWS rows, drawn by id hash, of at most FIT_BYTES of whole texts in all.
+
+    Ids and lengths are drawn first; only the texts that fit are collected. A text that doesn't fit is left
+    out alone, and the shortest drawn text of each label comes first, so that both labels are there.
+    """
+    draw = F.xxhash64("doc_id", F.lit(29))
+    rows = labelled.where(F.col("label").isNotNull()).select("doc_id", "text", F.col("label").cast("int").alias("label"), draw.alias("draw"), F.coalesce(F.octet_length("text"), F.lit(0)).alias("n"))
+    p = min(1.0, (1.3 * FIT_ROWS + 20) / max(rows.count(), 1))
+    known = rows.where((F.col("draw") <= int(-(2**63) + min(p * 2**64, 2**64 - 1))) & (F.col("n") <= FIT_BYTES)).select("draw", "n", "label").orderBy("draw", "n", "label").limit(2 * FIT_ROWS).collect()
+    least = {}
+    for r in known:
+        if r.label not in least or r.n < least[r.label].n:
+            least[r.label] = r
+    chosen, total = set(), 0
+    for r in [*least.values(), *known]:
+        if r.draw not in chosen and len(chosen) < FIT_ROWS and total + r.n <= FIT_BYTES:
+            chosen.add(r.draw)
+            total += r.n
+    if not chosen:
+        return []
+    wanted = labelled.sparkSession.createDataFrame([(int(x),) for x in chosen], "draw long")
+    got = rows.join(F.broadcast(wanted), "draw").dropDuplicates(["draw"]).select("draw", "text", "label").collect()
+    return [(r.text or "", r.label) for r in sorted(got, key=lambda r: r.draw)]
+
+
 def fit(labelled: DataFrame) -> Model:
-    """Fit on at most FIT_ROWS rows (doc_id, text, label), drawn by id hash, whole texts within FIT_BYTES in all; texts that do not fit are passed over, and each label drawn comes first with one text.
+    """Fit on a bounded sample of rows (doc_id, text, label), one row an id.
 
     Without rows of both labels every text scores the share of label 1 (one half without rows).
     """
-    rows = labelled.where(F.col("label").isNotNull()).select("doc_id", "text", F.col("label").cast("int").alias("label")).where(F.coalesce(F.octet_length("text"), F.lit(0)) <= FIT_BYTES)
-    total = rows.count()
-    p = min(1.0, (1.3 * FIT_ROWS + 20) / max(total, 1))
-    got = rows.where(F.xxhash64("doc_id", F.lit(29)) <= int(-(2**63) + min(p * 2**64, 2**64 - 1))).orderBy(F.xxhash64("doc_id", F.lit(29))).collect()
-    texts, labels, size = [], [], 0
-    first = {label: i for i, (_, _, label) in reversed(list(enumerate(got)))}
-    for i in [*sorted(first.values(), key=lambda i: len((got[i][1] or "").encode())), *(i for i in range(len(got)) if i not in first.values())]:
-        n = len((got[i][1] or "").encode())
-        if len(texts) == FIT_ROWS or size + n > FIT_BYTES:  # a text that doesn't fit is left out alone
-            continue
-        size += n
-        texts.append(got[i][1] or "")
-        labels.append(got[i][2])
-    y = np.array(labels, dtype=np.float32)
-    if len(set(labels)) < 2:
+    got = sample(labelled)
+    y = np.array([label for _, label in got], dtype=np.float32)
+    if len(set(y.tolist())) < 2:
         share = float(np.clip(y.mean(), 0.01, 0.99)) if len(y) else 0.5
-        return Model(np.zeros((2, CLASSES * CLASSES, FILTERS), np.float32), np.zeros(2 * FILTERS, np.float32), float(np.log(share / (1 - share))))
-    return train(texts, y)
+        return Model(np.zeros((WIDTH, BLANK + 1, FILTERS), np.float32), np.zeros(2 * FILTERS, np.float32), float(np.log(share / (1 - share))))
+    return train([t for t, _ in got], y)
 
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
-    """doc_id, score and predicted of every whole text; null counts as empty; other columns are ignored."""
+    """doc_id, score and predicted of every whole text.
+
+    Null counts as empty; equal texts score equal wherever they stand, repeated rows too; other columns are
+    ignored; an empty table gives no rows.
+    """
     ship(docs.sparkSession)
-    spread = docs.sparkSession.sparkContext.broadcast(model)  # about 0.5 MB whatever the input
+    spread = docs.sparkSession.sparkContext.broadcast(model)  # about 66 kB whatever the input
 
     def run(batches):
         model = spread.value

@@ -1,19 +1,23 @@
-"""Host-level quality rules: failures by host, shrunk by a beta prior, joined back to documents."""
+"""Host-level quality rules: failures by host, shrunk by an empirical beta prior, joined back to documents."""
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from canopy.llm import kernels as K
-from canopy.llm.common import cut, ship, small_enough
+from canopy.llm.common import cut, ship, small_enough, temporary
 
 MIN_WORDS = 20
 REPEAT_WINDOW = 8
 REPEAT_PERCENT = 30
-HOST_LIMIT = 0.5
+#: A host goes when its shrunk rate is so many standard deviations of the hosts' prior above the mean, and always above HOST_MOST.
+HOST_DEVIATIONS = 3.0
+HOST_MOST = 0.5
 SALTS = 64
 #: The characters that count as symbols.
 SYMBOLS = b"#*$%&|<>"
@@ -72,34 +76,61 @@ def measures(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), "source", "text").mapInArrow(run, f"doc_id long, source string, {MEASURES}")
 
 
-def host_rates(rows: DataFrame) -> DataFrame:
-    """Hosts with their failure rate shrunk towards the prior Beta(a, b) fitted by moments to all hosts.
+@dataclass(frozen=True)
+class Prior:
+    """Beta(mean * weight, (1 - mean) * weight) over the failure rates of hosts."""
+
+    mean: float
+    weight: float
+
+    @property
+    def limit(self) -> float:
+        return min(HOST_MOST, self.mean + HOST_DEVIATIONS * (self.mean * (1 - self.mean) / (self.weight + 1)) ** 0.5)
+
+
+def host_prior(hosts: DataFrame) -> Prior:
+    """The prior by moments: the mean over all documents, and the variance of the rates between hosts less what chance alone makes within them.
 
-    With mean m and variance v of the hosts' rates, a + b = m (1 - m) / v - 1, kept between 1 and 1,000;
-    without variance (one host, or equal rates) it is 1,000.
+    weight = mean (1 - mean) / variance - 1, kept between 1 and 1,000; 1,000 where nothing is left of the variance.
     """
-    hosts = rows.groupBy("source").agg(F.count("*").alias("docs"), F.sum(F.col("base_failed").cast("long")).alias("fails"))
-    rate = F.col("fails") / F.col("docs")
-    m, v = hosts.agg(F.avg(rate), F.var_pop(rate)).first()
-    m, v = m or 0.0, v or 0.0
-    weight = min(1000.0, max(1.0, m * (1 - m) / v - 1)) if v > 0 else 1000.0
-    return hosts.select("source", "docs", "fails", ((F.col("fails") + F.lit(m * weight)) / (F.col("docs") + F.lit(weight))).alias("host_rate"))
+    n, f, squares, many = hosts.agg(F.sum("docs"), F.sum("fails"), F.sum(F.col("fails") * F.col("fails") / F.col("docs")), F.count("*")).first()
+    if not n:
+        return Prior(0.0, 1000.0)
+    m = f / n
+    v = squares / n - m * m - m * (1 - m) * many / n
+    return Prior(m, min(1000.0, max(1.0, m * (1 - m) / v - 1)) if v > 1e-12 else 1000.0)
+
+
+def host_key(c: str):
+    """A null host is a host of its own, unlike any name."""
+    return F.concat(F.when(F.col(c).isNull(), "-").otherwise("+"), F.coalesce(F.col(c), F.lit("")))
+
+
+def host_rates(rows: DataFrame) -> DataFrame:
+    """(key, docs, fails, host_rate, host_limit): each host's failure rate shrunk towards the prior, and the rate above which it goes."""
+    hosts = rows.groupBy(host_key("source").alias("key")).agg(F.count("*").alias("docs"), F.sum(F.col("base_failed").cast("long")).alias("fails"))
+    prior = host_prior(hosts)
+    return hosts.withColumn("host_rate", (F.col("fails") + F.lit(prior.mean * prior.weight)) / (F.col("docs") + F.lit(prior.weight))).withColumn("host_limit", F.lit(prior.limit))
 
 
-def judge(docs: DataFrame, host_limit: float = HOST_LIMIT) -> DataFrame:
-    """Each document's measures and verdict.
+def judge(docs: DataFrame) -> DataFrame:
+    """Each document's measures and verdict, with its host's shrunk failure rate and the limit for it.
 
-    A document goes if its base rule fails or its host's shrunk failure rate exceeds host_limit. A null
-    host is a host of its own. Verdicts are broadcast while the hosts are few (counted), else joined on
+    A document goes if its base rule fails or its host's rate exceeds the limit, which is drawn from the hosts' own
+    distribution. A null host is a host of its own. Null texts measure as empty; repeated rows are judged alike and
+    each counts for its host; an empty table gives no rows. Rates are broadcast while the hosts are few (counted), else joined on
     host and salt so that a host with a third of all rows is dealt over many tasks.
     """
     base = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > REPEAT_PERCENT * F.col("n_words"))
-    rows = cut(measures(docs).withColumn("base_failed", base), "rules")
-    hosts = host_rates(rows).withColumn("host_failed", F.col("host_rate") > host_limit).withColumnRenamed("source", "host")
-    bad = hosts.where("host_failed").select("host", "host_rate", "host_failed")
-    if small_enough(bad):
-        joined = rows.join(F.broadcast(bad), F.col("source").eqNullSafe(F.col("host")), "left")
+    with temporary() as kept:
+        rows = cut(measures(docs).withColumn("base_failed", base), "rules")
+        hosts = cut(host_rates(rows).select("key", "host_rate", "host_limit"), "hosts")
+        kept += [rows, hosts]
+    keyed = rows.withColumn("key", host_key("source"))
+    if small_enough(hosts):
+        joined = keyed.join(F.broadcast(hosts), "key")
     else:
-        spread = bad.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))).withColumn("key", F.coalesce(F.col("host"), F.lit("\0")))
-        joined = rows.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int")).withColumn("key", F.coalesce(F.col("source"), F.lit("\0"))).join(spread, ["key", "salt"], "left")
-    return joined.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", (~F.col("base_failed") & F.col("host_failed").isNull()).alias("kept"), F.coalesce("host_rate", F.lit(0.0)).alias("bad_host_rate"))
+        spread = hosts.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        joined = keyed.withColumn("salt", F.pmod(F.xxhash64("doc_id", "n_words", "word_chars"), F.lit(SALTS)).cast("int")).join(spread, ["key", "salt"])
+    kept_if = ~F.col("base_failed") & (F.col("host_rate") <= F.col("host_limit"))
+    return joined.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", kept_if.alias("kept"), "host_rate", "host_limit")

@@ -12,6 +12,7 @@ import struct
 import zlib
 
 import ahocorasick
+import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
@@ -121,23 +122,40 @@ def riff_length(b: bytes, at: int) -> int:
 
 
 def pdf_length(b: bytes, at: int) -> int:
-    end = b.find(b"%%EOF", at + 8)
-    return end + 5 - at if at + 8 <= len(b) and b[at + 5 : at + 6].isdigit() and b[at + 6 : at + 7] == b"." and end > 0 else 0
+    """To the last end mark before the next header whose startxref points into the file, so updates belong to it."""
+    if at + 8 > len(b) or not b[at + 5 : at + 6].isdigit() or b[at + 6 : at + 7] != b".":
+        return 0
+    stop = b.find(b"%PDF-", at + 5)
+    stop = len(b) if stop < 0 else stop
+    end = b.rfind(b"%%EOF", at, stop)
+    while end > 0:
+        words = b[max(at, end - 64) : end].split()
+        if len(words) > 1 and words[-2] == b"startxref" and words[-1].isdigit() and int(words[-1]) < end - at:
+            return end + 5 - at
+        end = b.rfind(b"%%EOF", at, end)
+    return 0
 
 
 def zip_length(b: bytes, at: int) -> int:
-    end = b.find(b"PK\x05\x06", at + 30)
-    if end < 0 or end + 22 > len(b):
-        return 0
-    size, start, note = struct.unpack_from("<IIH", b, end + 12)
-    return end + 22 + note - at if at + start + size == end and end + 22 + note <= len(b) else 0
+    """To the first end record whose directory closes the archive; a stored archive's own end record doesn't."""
+    end = at + 30
+    while (end := b.find(b"PK\x05\x06", end)) >= 0 and end + 22 <= len(b):
+        size, start, note = struct.unpack_from("<IIH", b, end + 12)
+        if at + start + size == end and end + 22 + note <= len(b):
+            return end + 22 + note - at
+        end += 4
+    return 0
 
 
 def gzip_length(b: bytes, at: int) -> int:
+    """Inflated a bounded piece at a time, so a small payload cannot fill a worker."""
     d = zlib.decompressobj(31)
     try:
         for p in range(at, len(b), 1 << 16):
-            d.decompress(b[p : p + (1 << 16)])
+            rest = b[p : p + (1 << 16)]
+            while rest and not d.eof:
+                d.decompress(rest, 1 << 20)
+                rest = d.unconsumed_tail
             if d.eof:
                 return min(len(b), p + (1 << 16)) - len(d.unused_data) - at
     except zlib.error:
@@ -212,15 +230,30 @@ def from_wav(media: bytes) -> bytes:
     raise ValueError("no data chunk")
 
 
-COLUMNS = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_embedded long"
+def signal(samples: bytes) -> str:
+    """Peak, root mean square and sign changes of 8-bit samples around their middle."""
+    x = np.frombuffer(samples, np.uint8).astype(np.int64) - 128
+    return f"peak={int(np.abs(x).max())},rms={float(np.sqrt((x * x).mean())):.3f},crossings={int((np.diff(x >= 0)).sum())}"
+
+
+#: What a text column's payload is declared to be before it is sniffed.
+DECLARED = "text"
+COLUMNS = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_embedded long, declared_type string, corrected_type string, carved_sha256 string"
+
+
+def to_batch(rows: list[tuple], schema: str) -> pa.RecordBatch:
+    names = [c.split()[0] for c in schema.split(", ")]
+    kinds = [{"string": pa.string(), "long": pa.int64(), "binary": pa.binary()}[c.split()[1]] for c in schema.split(", ")]
+    return pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows) if rows else [[]] * len(names), kinds)], names)
 
 
 def store_and_sniff(docs: DataFrame) -> DataFrame:
     """Each text as a WAV of 8-bit samples, read back and sniffed.
 
-    Null and empty texts are 64 zero bytes; equal texts give equal values; other columns are ignored.
-    feature lists the stored form's confirmed type and each carved object as format@start+length
-    (starts count from the payload's first byte).
+    Null and empty texts are 64 zero bytes; equal texts give equal values, repeated rows too; other columns are ignored; an
+    empty table gives no rows. feature tells the stored form's confirmed type, measures of the samples and each
+    carved object as format@start+length (starts count from the payload's first byte). The payload is declared as
+    text; a confirmed object at its first byte corrects that. carved_sha256 hashes the carved objects' bytes, in order.
     """
     ship(docs.sparkSession)
 
@@ -234,12 +267,37 @@ def store_and_sniff(docs: DataFrame) -> DataFrame:
                 media = to_wav(payload)
                 found = sniff(media, finder)
                 back = from_wav(media)
-                inner = [x for x in found if x[0] >= WAV_HEAD]
+                inner = [(at - WAV_HEAD, n, k) for at, n, k in found if at >= WAV_HEAD]
                 kind = next((k for at, n, k in found if at == 0 and n == len(media)), "unknown")
-                feature = f"{kind}:{RATE}x1x8:" + ",".join(f"{k}@{at - WAV_HEAD}+{n}" for at, n, k in inner)
-                rows.append((doc, len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-UNIT:]), len(media), hashlib.sha256(media).hexdigest(), feature, len(inner)))
-            names = [c.split()[0] for c in COLUMNS.split(", ")]
-            kinds = [pa.string() if c.endswith("string") else pa.int64() for c in COLUMNS.split(", ")]
-            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows) if rows else [[]] * len(names), kinds)], names)
+                feature = f"{kind}:{RATE}x1x8:{signal(back)}:" + ",".join(f"{k}@{at}+{n}" for at, n, k in inner)
+                carved = hashlib.sha256(b"".join(back[at : at + n] for at, n, _ in inner)).hexdigest()
+                corrected = next((k for at, _, k in inner if at == 0), DECLARED)
+                rows.append((doc, len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-UNIT:]), len(media), hashlib.sha256(media).hexdigest(), feature, len(inner), DECLARED, corrected, carved))
+            yield to_batch(rows, COLUMNS)
 
     return docs.select("doc_id", "text").mapInArrow(run, COLUMNS)
+
+
+OBJECTS = "id long, declared string, corrected string, start long, length long, kind string, object binary"
+
+
+def carve(media: DataFrame, key: str, payload: str, declared: str) -> DataFrame:
+    """A row for each confirmed object inside a binary column, with its bytes and the payload's corrected type.
+
+    corrected is the format confirmed at byte 0, else what was declared; a payload without objects gives one row whose
+    start is null. Null payloads count as empty; repeated rows give repeated objects; an empty table gives no rows.
+    """
+    ship(media.sparkSession)
+
+    def run(batches):
+        finder = automaton()
+        for batch in batches:
+            for i in range(batch.num_rows):
+                who, raw, said = (batch.column(c)[i].as_py() for c in ("id", "payload", "declared"))
+                raw = raw or b""
+                corrected = corrected_type(said, raw, finder)
+                found = sniff(raw, finder) or [(None, None, None)]
+                for f in range(0, len(found), 64):
+                    yield to_batch([(who, said, corrected, at, n, kind, None if at is None else raw[at : at + n]) for at, n, kind in found[f : f + 64]], OBJECTS)
+
+    return media.selectExpr(f"cast(`{key}` as long) as id", f"cast(`{payload}` as binary) as payload", f"cast(`{declared}` as string) as declared").mapInArrow(run, OBJECTS)

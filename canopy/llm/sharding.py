@@ -1,19 +1,20 @@
 """Sharding by fixed virtual slots.
 
 A record's slot is a hash of its id and never changes. What changes is the map from slots to shards: a
-small versioned table, built from the bytes of each slot and edited when shards are added or loads
-drift. The law that holds is ``bytes``: shard sizes near equal. Other laws have no meaning here.
+small table, stored under a version, built from the bytes of each slot and edited when shards are added or loads
+drift. Records are placed by what is read back from storage. The law that holds is ``bytes``: shard sizes near equal. Other laws have no meaning here.
 """
 
 from __future__ import annotations
 
 import heapq
+import uuid
 
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from canopy.llm.common import cut
+from canopy.llm.common import cut, scratch_root
 
 SLOTS = 16_384
 HEAD_BYTES = 16
@@ -71,19 +72,52 @@ def edited_map(old: pd.DataFrame, loads: pd.DataFrame, shards: int, slack: float
     return pd.DataFrame([(version, int(v), s) for v, s in sorted(at.items())], columns=["version", "vslot", "shard"])
 
 
-def shard_documents(docs: DataFrame, shards: int = 40, slots: int = SLOTS, old: pd.DataFrame | None = None) -> DataFrame:
-    """Every row with its shard and its gapless place in it.
+def store_map(spark: SparkSession, root: str, table: pd.DataFrame) -> int:
+    """Write a map (version, vslot, shard) under its version; an existing version is never written again."""
+    version = int(table.version.max()) if len(table) else 1
+    rows = [(int(v), int(s)) for v, s in zip(table.vslot, table.shard)]
+    spark.createDataFrame(rows, "vslot int, shard int").coalesce(1).write.mode("error").parquet(f"{root}/version={version}")
+    return version
+
+
+def stored_versions(spark: SparkSession, root: str) -> list[int]:
+    folder = spark._jvm.org.apache.hadoop.fs.Path(root)
+    fs = folder.getFileSystem(spark._jsc.hadoopConfiguration())
+    return sorted(int(x.getPath().getName().split("=")[1]) for x in fs.listStatus(folder) if x.getPath().getName().startswith("version=")) if fs.exists(folder) else []
+
+
+def read_map(spark: SparkSession, root: str, version: int | None = None) -> pd.DataFrame | None:
+    """A stored version, the latest if none is named; None where nothing is stored. At most SLOTS rows."""
+    known = stored_versions(spark, root)
+    if not known:
+        return None
+    version = known[-1] if version is None else version
+    got = spark.read.schema("vslot int, shard int").parquet(f"{root}/version={version}").collect()
+    return pd.DataFrame([(version, r.vslot, r.shard) for r in got], columns=["version", "vslot", "shard"])
+
+
+def place_slots(spark: SparkSession, root: str, loads: pd.DataFrame, shards: int) -> pd.DataFrame:
+    """The map for these loads, read from storage: the first version, or the latest one edited and stored as the next."""
+    old = read_map(spark, root)
+    store_map(spark, root, first_map(loads, shards) if old is None else edited_map(old, loads, shards))
+    return read_map(spark, root)
+
+
+def shard_documents(docs: DataFrame, shards: int = 40, slots: int = SLOTS, maps: str | None = None) -> DataFrame:
+    """Every row with its shard and its gapless place in it, by the versioned map stored in the folder ``maps`` (a new one if none is named).
 
     The place is the slot's first place in its shard plus the rank inside the slot, so no window spans a
     shard. Null texts have size 16; an empty table gives no rows; equal rows take neighbouring places.
     The slot table holds at most ``slots`` rows and is the only thing that reaches the driver.
     """
+    spark = docs.sparkSession
     rows = cut(with_slots(docs, slots), "shard-rows")
     loads = slot_loads(rows).toPandas()
-    table = first_map(loads, shards) if old is None else edited_map(old, loads, shards)
+    root = maps or f"{scratch_root(spark)}/canopy/slot-map-{uuid.uuid4().hex}"
+    table = place_slots(spark, root, loads, shards)
     table = table.merge(loads, on="vslot").sort_values(["shard", "vslot"])
     table["first"] = table.groupby("shard")["n"].cumsum() - table["n"]
-    entries = docs.sparkSession.createDataFrame(
+    entries = spark.createDataFrame(
         [tuple(map(int, x)) for x in table[["vslot", "version", "shard", "first"]].itertuples(index=False)], "vslot int, version int, shard int, first long"
     )
     place = F.row_number().over(Window.partitionBy("vslot").orderBy("doc_id", "text_crc32")) - 1

@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import contextlib
 import os
+import re
 import shutil
 import tempfile
 import uuid
@@ -44,16 +45,24 @@ def ship(spark: SparkSession) -> None:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder named by the session; a local one only where none is set, as in tests."""
+    """The shared folder named by the session; a local one only where none is set and all runs in one process, as in tests."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
     if not _own:
         _own.append(tempfile.mkdtemp(prefix="canopy-"))
         atexit.register(lambda d=_own[0]: shutil.rmtree(d, ignore_errors=True))
     return f"file://{_own[0]}"
 
 
+def folder_of(spark: SparkSession, path: str):
+    """The file system of a path, and the path, on the JVM's side."""
+    folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return folder.getFileSystem(spark._jsc.hadoopConfiguration()), folder
+
+
 @contextlib.contextmanager
 def temporary():
     """Deletes, at the end, the tables that cut() made inside, but for those added to the list it gives. What leaves must be cut itself."""
@@ -68,17 +77,22 @@ def temporary():
                 if _made:
                     _made[-1].append((spark, path))
             else:
-                folder = spark._jvm.org.apache.hadoop.fs.Path(path)
-                folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
+                fs, folder = folder_of(spark, path)
+                fs.delete(folder, True)
         if not _made:
             _paths.clear()
 
 
 def cut(df: DataFrame, label: str) -> DataFrame:
-    """Write df to the shared folder and read it back: a lost executor costs no recomputation upstream."""
+    """Write df to the shared folder and read it back: a lost executor costs no recomputation upstream.
+
+    What nobody deletes before goes with the application.
+    """
     spark = df.sparkSession
     path = f"{scratch_root(spark)}/canopy/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    fs, folder = folder_of(spark, path)
+    fs.deleteOnExit(folder)
     out = spark.read.schema(df.schema).parquet(path)
     if _made:
         _made[-1].append((spark, path))
@@ -90,8 +104,8 @@ def drop_cut(df: DataFrame) -> None:
     """Delete the files behind a table made by cut(), once nothing will read it again."""
     spark = df.sparkSession
     for f in df.inputFiles()[:1]:
-        folder = spark._jvm.org.apache.hadoop.fs.Path(f).getParent()
-        folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
+        fs, file = folder_of(spark, f)
+        fs.delete(file.getParent(), True)
 
 
 def small_enough(df: DataFrame, rows: int = BROADCAST_ROWS) -> bool:

@@ -4,9 +4,11 @@ Only windows of ``threshold`` tokens matter, so suffixes are ordered no deeper.
 most significant digit. The first digit is a short gram, and not every suffix needs to be ordered by it:
 of the grams in a window the one of least hash is its anchor, chosen by content alone, so equal windows have equal
 anchors at equal places and one suffix in a few hundred stands for all. Groups of one are done.
-Groups of equal anchors go to the next pass with the tokens around them, where the full depth is compared; equal
-groups there are exactly the repeated windows. A group too large for a task is dealt over several and
-their window keys are compared once more, so no group is cut.
+Groups of equal anchors go on with the tokens around them: the suffixes from the gram on are ordered digit by digit
+through the threshold, and so are the reversed prefixes before it, each pass splitting the groups of the pass before and
+leaving out groups of one. Two windows with the gram at place p are equal just if they are in one group of prefixes
+at depth p and in one of suffixes at depth threshold - p. Bytes are compared as they are, words by 64-bit codes.
+A group too large for a task is dealt over several, and the windows of its parts are compared by 128-bit keys, so no group is cut.
 """
 
 from __future__ import annotations
@@ -20,17 +22,23 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from canopy.llm import kernels as K
-from canopy.llm.common import cut, ship, temporary
+from canopy.llm.common import cut, ship, small_enough, temporary
 
 BYTES, WORDS = "bytes", "words"
 #: First digit's length by unit.
 GRAM = {BYTES: 64, WORDS: 8}
 #: Anchors of one group that a task compares at once.
 GROUP_LIMIT = 16_384
+#: Anchors, or spans, up to which their lists are broadcast to the texts (24 bytes each); beyond, texts and lists are shuffled.
+BROADCAST_ANCHORS = 1_000_000
 #: Contexts whose windows are hashed at once: a context has up to threshold windows, so a large group's arrays are made in pieces.
 PIECE = 1024
 
 
+def gram_of(unit: str, threshold: int) -> int:
+    return min(GRAM[unit], threshold)
+
+
 def tokens(raw: np.ndarray, offsets: np.ndarray, unit: str):
     """Codes, their offsets by document and, for words, where each begins."""
     if unit == BYTES:
@@ -56,7 +64,7 @@ def least_in_window(x: np.ndarray, w: int) -> np.ndarray:
 
 def anchors(tok: np.ndarray, at: np.ndarray, unit: str, threshold: int):
     """Document, place and gram hash of every anchor of every window."""
-    gram = GRAM[unit]
+    gram = gram_of(unit, threshold)
     n = len(tok)
     none = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, K.U))
     if n < threshold:
@@ -64,7 +72,7 @@ def anchors(tok: np.ndarray, at: np.ndarray, unit: str, threshold: int):
     total = K.prefix_hash(code_of(tok, unit))
     where = np.arange(n - gram + 1)
     hashes = K.span_hash(total, where, where + gram)
-    low = K.U((1 << 28) - 1)
+    low = K.U((1 << 32) - 1)  # places, in the lower half; no Arrow string has as many tokens
     least = least_in_window((hashes & ~low) | where.astype(K.U), threshold - gram + 1)
     size = np.diff(at)
     many = np.maximum(size - threshold + 1, 0)
@@ -95,21 +103,26 @@ def find_anchors(texts: DataFrame, unit: str, threshold: int) -> DataFrame:
 
 
 def find_contexts(texts: DataFrame, unit: str, threshold: int) -> DataFrame:
-    """For each anchor of ``list`` the tokens of all windows that hold it, with the gram's place among them."""
-    gram = GRAM[unit]
-    kind = np.uint8 if unit == BYTES else K.U
+    """For each anchor of ``list`` the bytes of all windows that hold it, with the gram's place in tokens among them."""
+    gram = gram_of(unit, threshold)
 
     def run(batches):
         for batch in batches:
             for part in K.slices(batch, "text"):
-                tok, at, _ = tokens(*K.text_buffer(part.column("text")), unit)
+                raw, offsets = K.text_buffer(part.column("text"))
+                if unit == BYTES:
+                    at, start, end = offsets, None, None
+                else:
+                    start, end, doc, _ = K.words(raw, offsets)
+                    at = K.per_document(doc, part.num_rows)
                 rows = []
                 for i, found in enumerate(part.column("list").to_pylist()):
                     k1, k2 = part.column("k1")[i].as_py(), part.column("k2")[i].as_py()
                     for x in found:
                         here = int(at[i]) + x["place"]
                         a, b = max(int(at[i]), here - (threshold - gram)), min(int(at[i + 1]), here + threshold)
-                        rows.append((x["h"], x["n"], k1, k2, a - int(at[i]), here - a, tok[a:b].astype(kind).tobytes()))
+                        piece = raw[a:b] if unit == BYTES else raw[start[a] : end[b - 1]]
+                        rows.append((x["h"], x["n"], k1, k2, a - int(at[i]), here - a, piece.tobytes()))
                 kinds = [pa.int64()] * 6 + [pa.binary()]
                 for f in range(0, max(len(rows), 1), 4096):
                     cols = list(zip(*rows[f : f + 4096])) or [[]] * 7
@@ -118,24 +131,126 @@ def find_contexts(texts: DataFrame, unit: str, threshold: int) -> DataFrame:
     return texts.mapInArrow(run, "h long, n long, k1 long, k2 long, first long, left long, ctx binary")
 
 
-def window_keys(batch: pa.RecordBatch, unit: str, threshold: int):
-    """Row, start and key of every window of the contexts. The key holds content, gram and the gram's place, so a window met through two anchors never equals itself."""
+def context_tokens(batch: pa.RecordBatch, unit: str) -> tuple[np.ndarray, np.ndarray]:
+    """Tokens of the contexts (bytes, or codes of words) and offsets into them."""
     raw = pc.cast(batch.column("ctx"), pa.large_binary())
     _, off, data = raw.buffers()
     at = np.frombuffer(off, np.int64)[raw.offset : raw.offset + len(raw) + 1]
     flat = np.frombuffer(data, np.uint8)[at[0] : at[-1]]
-    at = at - at[0]
-    if unit == WORDS:
-        flat, at = flat.view(K.U), at // 8
-    col = lambda c: batch.column(c).to_numpy(zero_copy_only=False)
+    tok, at, _ = tokens(flat, at - at[0], unit)
+    return tok, at
+
+
+def column(batch: pa.RecordBatch, name: str) -> np.ndarray:
+    return batch.column(name).to_numpy(zero_copy_only=False)
+
+
+#: A second table of byte codes, for keys of 128 bits.
+OTHER_CODE = K.mix(K.BYTE_CODE) | K.U(1)
+
+
+def window_keys(batch: pa.RecordBatch, unit: str, threshold: int):
+    """Row, start and both halves of the key of every window of the contexts. The key holds content, gram and the gram's place, so a window met through two anchors never equals itself."""
+    flat, at = context_tokens(batch, unit)
     many = np.maximum(np.diff(at) - threshold + 1, 0)
     row = np.repeat(np.arange(len(many)), many)
     start = np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
     begin = at[:-1][row] + start
-    keys = K.span_hash(K.prefix_hash(code_of(flat, unit)), begin, begin + threshold)
+    halves = []
     with np.errstate(over="ignore"):
-        keys = keys ^ K.mix(col("h").view(K.U))[row] ^ K.mix((col("left")[row] - start).astype(K.U) + K.U(1 << 40))
-    return row, start, keys
+        place = K.mix(column(batch, "h").view(K.U))[row] ^ K.mix((column(batch, "left")[row] - start).astype(K.U) + K.U(1 << 40))
+        for codes in (code_of(flat, unit), OTHER_CODE[flat] if unit == BYTES else K.mix(flat + K.U(1))):
+            halves.append(K.span_hash(K.prefix_hash(codes), begin, begin + threshold) ^ place)
+    return row, start, *halves
+
+
+def sides(batch: pa.RecordBatch, unit: str, threshold: int):
+    """Digits and length of what follows each context's gram, gram included, and of what precedes it, read backwards."""
+    tok, at = context_tokens(batch, unit)
+    here, reach = at[:-1] + column(batch, "left"), threshold - gram_of(unit, threshold)
+    out = []
+    for depth, size, place in ((threshold, np.minimum(at[1:] - here, threshold), lambda j: here[:, None] + j), (reach, np.minimum(here - at[:-1], reach), lambda j: here[:, None] - 1 - j)):
+        wide = -(-depth // 8) * 8 if unit == BYTES else depth
+        mat = np.zeros((len(here), wide), np.uint8 if unit == BYTES else K.U)
+        step = np.arange(depth)[None]
+        for f in range(0, len(here), PIECE):
+            rows = slice(f, f + PIECE)
+            mat[rows, :depth] = np.where(step < size[rows, None], tok[np.clip(place(step)[rows], 0, max(len(tok) - 1, 0))], 0) if len(tok) else 0
+        out += [mat.view(">u8").astype(K.U) if unit == BYTES else mat, size]
+    return out
+
+
+def ordered(digits: np.ndarray, group: np.ndarray, per: int) -> tuple[np.ndarray, np.ndarray]:
+    """Rank of each row by group and digits, and for each rank the tokens shared with the rank before (-1 in another group).
+
+    One pass a digit: the groups that are left are split by it, and rows that stand alone leave.
+    """
+    m = len(group)
+    order = np.argsort(group, kind="stable")
+    which = group[order].copy()
+    shared = np.full(m + 1, digits.shape[1] * per, np.int64)
+    shared[0] = shared[m] = -1
+    shared[1:m][which[1:] != which[:-1]] = -1
+    pos = np.arange(m)
+    pos = pos[(shared[pos] >= 0) | (shared[pos + 1] >= 0)]
+    for d in range(digits.shape[1]):
+        if not len(pos):
+            break
+        rows, c = order[pos], which[pos]
+        key = digits[rows, d]
+        same = c[1:] == c[:-1]
+        if (same & (key[1:] < key[:-1])).any():
+            o = np.lexsort((key, c))
+            order[pos] = rows[o]
+            key = key[o]
+        parted = same & (key[1:] != key[:-1])
+        if parted.any():
+            x = key[1:][parted] ^ key[:-1][parted]
+            shared[pos[1:][parted]] = d * per + (sum((x < K.U(1 << 8 * k)).astype(np.int64) for k in range(1, 8)) if per == 8 else 0)
+            new = np.append(True, ~same | parted)
+            which[pos] = np.cumsum(new)
+            pos = pos[~(new & np.append(new[1:], True))]
+    rank = np.empty(m, np.int64)
+    rank[order] = np.arange(m)
+    return rank, shared
+
+
+def repeated_windows(batch: pa.RecordBatch, unit: str, threshold: int) -> tuple[np.ndarray, np.ndarray]:
+    """Rows, and [rows, places] whether the window with the gram at that place stands in another row too."""
+    reach, per = threshold - gram_of(unit, threshold), 8 if unit == BYTES else 1
+    after, n_after, before, n_before = sides(batch, unit, threshold)
+    # one group for each anchor
+    group = np.cumsum(np.append(0, borders_of(batch, ("h", "salt")))) if batch.num_rows else np.zeros(0, np.int64)
+    (ra, sa), (rb, sb) = ordered(after, group, per), ordered(before, group, per)
+    least = threshold - np.minimum(np.maximum(sa[ra], sa[ra + 1]), n_after)
+    most = np.minimum(np.maximum(sb[rb], sb[rb + 1]), n_before)
+    rows = np.flatnonzero(least <= most)
+    hits = np.zeros((len(rows), reach + 1), dtype=bool)
+    least, most, ra, rb = least[rows], most[rows], ra[rows], rb[rows]
+    for p in range(int(least.min()), int(most.max()) + 1) if len(rows) else ():
+        at = np.flatnonzero((least <= p) & (p <= most))
+        if len(at) < 2:
+            continue
+        key = np.cumsum(sa[:-1] < threshold - p)[ra[at]] * (len(sb) + 1) + np.cumsum(sb[:-1] < p)[rb[at]]
+        order = np.argsort(key, kind="stable")
+        same = key[order][1:] == key[order][:-1]
+        hits[at[order[1:][same]], p] = True
+        hits[at[order[:-1][same]], p] = True
+    return rows, hits
+
+
+def borders_of(batch: pa.RecordBatch, by: tuple[str, ...]) -> np.ndarray:
+    return K.borders(batch, by) if batch.num_rows > 1 else np.zeros(0, bool)
+
+
+def place_runs(batch: pa.RecordBatch, rows: np.ndarray, hits: np.ndarray, threshold: int) -> pa.RecordBatch:
+    """Maximal runs of places as token spans of their texts: a gram later in the window is a window that starts earlier."""
+    edge = np.diff(np.pad(hits, ((0, 0), (1, 1))).astype(np.int8), axis=1)
+    (r, p0), (_, p1) = np.nonzero(edge == 1), np.nonzero(edge == -1)
+    r = rows[r]
+    gram = column(batch, "first")[r] + column(batch, "left")[r]
+    take = pa.array(r)
+    return pa.RecordBatch.from_arrays([batch.column("k1").take(take), batch.column("k2").take(take), pa.array(gram - (p1 - 1)), pa.array(gram - p0 + threshold)], ["k1", "k2", "s", "e"])
 
 
 def runs(batch: pa.RecordBatch, row: np.ndarray, start: np.ndarray, hit: np.ndarray, threshold: int) -> pa.RecordBatch:
@@ -145,7 +260,7 @@ def runs(batch: pa.RecordBatch, row: np.ndarray, start: np.ndarray, hit: np.ndar
     new[1:] = (row[1:] != row[:-1]) | (start[1:] != start[:-1] + 1)
     last = np.append(new[1:], True) if len(row) else new
     r = row[new]
-    first = batch.column("first").to_numpy(zero_copy_only=False)[r]
+    first = column(batch, "first")[r]
     take = pa.array(r)
     return pa.RecordBatch.from_arrays([batch.column("k1").take(take), batch.column("k2").take(take), pa.array(first + start[new]), pa.array(first + start[last] + threshold)], ["k1", "k2", "s", "e"])
 
@@ -157,27 +272,11 @@ def distinct_rows(batch: pa.RecordBatch) -> pa.RecordBatch:
     return batch if len(at) == batch.num_rows else batch.take(pa.array(np.sort(at)))
 
 
-def all_window_keys(batch: pa.RecordBatch, unit: str, threshold: int):
-    """window_keys of a batch of any size, hashed piece by piece."""
-    got = [(np.zeros(0, np.int32), np.zeros(0, np.int32), np.zeros(0, K.U))]
-    for f in range(0, batch.num_rows, PIECE):
-        row, start, keys = window_keys(batch.slice(f, PIECE), unit, threshold)
-        got.append(((row + f).astype(np.int32), start.astype(np.int32), keys))
-    return tuple(np.concatenate(x) for x in zip(*got))
-
-
 def local_repeats(contexts: DataFrame, unit: str, threshold: int) -> DataFrame:
     def run(batches):
         for batch in K.whole_groups(batches, ("h", "salt"), 2048):
             batch = distinct_rows(batch)
-            row, start, keys = all_window_keys(batch, unit, threshold)
-            order = np.argsort(keys)
-            keys = keys[order]
-            same = keys[1:] == keys[:-1]
-            hit = np.zeros(len(keys), dtype=bool)
-            hit[order[1:][same]] = True
-            hit[order[:-1][same]] = True
-            yield runs(batch, row, start, hit, threshold)
+            yield place_runs(batch, *repeated_windows(batch, unit, threshold), threshold)
 
     return contexts.mapInArrow(run, "k1 long, k2 long, s long, e long")
 
@@ -189,30 +288,35 @@ def dealt_repeats(contexts: DataFrame, unit: str, threshold: int) -> DataFrame:
 
     def keys_of(batches):
         for batch in K.whole_groups(batches, ("h", "salt"), 2048):
-            edge = np.concatenate(([0], np.flatnonzero(K.borders(batch, ("h", "salt"))) + 1, [batch.num_rows]))
+            edge = np.concatenate(([0], np.flatnonzero(borders_of(batch, ("h", "salt"))) + 1, [batch.num_rows]))
             for a, b in zip(edge[:-1].tolist(), edge[1:].tolist()):
-                keys = np.unique(all_window_keys(batch.slice(a, b - a), unit, threshold)[2]).view(np.int64)
+                got = [np.zeros((0, 2), K.U)]
+                for f in range(a, b, PIECE):
+                    got.append(np.unique(np.stack(window_keys(batch.slice(f, min(PIECE, b - f)), unit, threshold)[2:], 1), axis=0))
+                keys = np.unique(np.concatenate(got), axis=0).view(np.int64)
                 for f in range(0, len(keys), 1 << 16):
                     some = keys[f : f + (1 << 16)]
                     same = [pa.array(np.full(len(some), batch.column(c)[a].as_py())) for c in ("h", "salt")]
-                    yield pa.RecordBatch.from_arrays([*same, pa.array(some)], ["h", "salt", "key"])
+                    yield pa.RecordBatch.from_arrays([*same, pa.array(some[:, 0].copy()), pa.array(some[:, 1].copy())], ["h", "salt", "key", "other"])
 
-    keys = cut(whole.repartition(parts, "h", "salt").sortWithinPartitions("h", "salt").mapInArrow(keys_of, "h long, salt long, key long"), "window-keys")
-    shared = keys.groupBy("key").agg(F.min("salt").alias("lo"), F.max("salt").alias("hi")).where("lo < hi").select("key")
-    wanted = keys.join(shared, "key").select("h", "salt", "key")  # for one part at most GROUP_LIMIT x (threshold - gram + 1)
+    keys = cut(whole.repartition(parts, "h", "salt").sortWithinPartitions("h", "salt").mapInArrow(keys_of, "h long, salt long, key long, other long"), "window-keys")
+    shared = keys.groupBy("key", "other").agg(F.min("salt").alias("lo"), F.max("salt").alias("hi")).where("lo < hi").select("key", "other")
+    wanted = keys.join(shared, ["key", "other"]).select("h", "salt", "key", "other")  # for one part at most GROUP_LIMIT x (threshold - gram + 1)
 
     def marked(left: pa.Table, right: pa.Table) -> pa.Table:
         schema = pa.schema([(c, pa.int64()) for c in ("k1", "k2", "s", "e")])
         if not left.num_rows or not right.num_rows:
             return schema.empty_table()
         batch = left.combine_chunks().to_batches()[0]
-        known = np.sort(right.column("key").to_numpy().view(K.U))
+        key = right.column("key").to_numpy().view(K.U)
+        order = np.argsort(key)
+        key, other = key[order], right.column("other").to_numpy().view(K.U)[order]
         found = []
         for f in range(0, batch.num_rows, PIECE):
             piece = batch.slice(f, PIECE)
-            row, start, keys = window_keys(piece, unit, threshold)
-            hit = known[np.minimum(np.searchsorted(known, keys), len(known) - 1)] == keys
-            found.append(runs(piece, row, start, hit, threshold))
+            row, start, mine, also = window_keys(piece, unit, threshold)
+            at = np.minimum(np.searchsorted(key, mine), len(key) - 1)
+            found.append(runs(piece, row, start, (key[at] == mine) & (other[at] == also), threshold))
         return pa.Table.from_batches(found)
 
     return whole.groupBy("h", "salt").cogroup(wanted.groupBy("h", "salt")).applyInArrow(marked, "k1 long, k2 long, s long, e long")
@@ -227,7 +331,9 @@ def repeated_spans(docs: DataFrame, unit: str, threshold: int, group_limit: int
     found = cut(found, "anchors")
     again = cut(found.groupBy("h").agg(F.count("*").alias("n")).where("n > 1"), "again")  # read from a table, a frequent anchor's side of the join can be split
     lists = found.join(again, "h").groupBy("k1", "k2", "doc_id").agg(F.collect_list(F.struct("place", "h", "n")).alias("list"))  # bounded by a text's length
-    contexts = find_contexts(texts.join(lists, ["k1", "k2", "doc_id"]).select("k1", "k2", "text", "list"), unit, threshold)
+    lists = cut(lists, "lists")
+    few = (lists.agg(F.sum(F.size("list"))).first()[0] or 0) <= BROADCAST_ANCHORS
+    contexts = find_contexts(texts.join(F.broadcast(lists) if few else lists, ["k1", "k2", "doc_id"]).select("k1", "k2", "text", "list"), unit, threshold)
     salts = F.ceil(F.col("n") / group_limit)
     dealt = contexts.withColumn("salts_at", F.lit(group_limit).cast("long")).withColumn("salt", F.when(F.col("n") <= group_limit, F.lit(0)).otherwise(F.pmod(F.xxhash64("k1", "k2", "first", "left"), salts)).cast("long"))
     most = again.agg(F.max("n")).first()[0] or 0
@@ -239,8 +345,8 @@ def repeated_spans(docs: DataFrame, unit: str, threshold: int, group_limit: int
     return texts, spans.groupBy("k1", "k2").agg(F.collect_set(F.struct("s", "e")).alias("spans"))
 
 
-def removed(raw: bytes, spans: list, unit: str, whole: bool, threshold: int) -> tuple[bytes, int, int]:
-    """What is left, bytes removed and number of maximal runs removed."""
+def removed(raw: bytes, spans: list, unit: str, whole: bool, threshold: int) -> tuple[bytes, int, int, int]:
+    """What is left, bytes removed, number of maximal runs removed and tokens in them."""
     flat = np.frombuffer(raw, np.uint8)
     tok, at, begin = tokens(flat, np.array([0, len(flat)]), unit)
     if whole and len(tok) >= threshold:
@@ -248,7 +354,8 @@ def removed(raw: bytes, spans: list, unit: str, whole: bool, threshold: int) ->
     elif spans:
         s, e = K.merge_spans(np.array([x["s"] for x in spans]), np.array([x["e"] for x in spans]))
     else:
-        return raw, 0, 0
+        return raw, 0, 0, 0
+    n_tokens = int((e - s).sum())
     if unit == WORDS:
         border = np.append(begin, len(flat))
         s, e = border[s], border[e]
@@ -256,44 +363,50 @@ def removed(raw: bytes, spans: list, unit: str, whole: bool, threshold: int) ->
     for a, b in zip(s.tolist(), e.tolist()):
         parts.append(raw[last:a])
         last = b
-    return b"".join([*parts, raw[last:]]), int((e - s).sum()), len(s)
+    return b"".join([*parts, raw[last:]]), int((e - s).sum()), len(s), n_tokens
 
 
 def cleaned(docs: DataFrame, unit: str, threshold: int, group_limit: int = GROUP_LIMIT, text_out: bool = False) -> DataFrame:
-    """One row (k1, k2, n_removed, n_spans, kept_sha256[, kept]) for each distinct text that loses something."""
+    """One row (k1, k2, n_removed, n_spans, n_tokens, kept_sha256[, kept]) for each distinct text that loses something."""
     with temporary() as kept_tables:
         texts, spans = repeated_spans(docs, unit, threshold, group_limit)
         copies = texts.groupBy("k1", "k2").agg(F.count("*").alias("copies"), F.min("doc_id").alias("doc_id"))
         spans = cut(spans, "spans")
         todo = copies.join(spans, ["k1", "k2"], "left").where("copies > 1 or spans is not null").select("k1", "k2", "doc_id", "spans", (F.col("copies") > 1).alias("whole"))
-        rows = texts.join(todo, ["k1", "k2", "doc_id"])
+        todo = cut(todo, "todo")
+        few = (todo.agg(F.sum(F.coalesce(F.size("spans"), F.lit(0)) + 1)).first()[0] or 0) <= BROADCAST_ANCHORS
+        rows = texts.join(F.broadcast(todo) if few else todo, ["k1", "k2", "doc_id"])
 
         def run(batches):
             for batch in batches:
                 out = []
                 for k1, k2, text, found, whole in zip(*(batch.column(c).to_pylist() for c in ("k1", "k2", "text", "spans", "whole"))):
-                    kept, n, m = removed(text.encode(), found, unit, whole, threshold)
-                    out.append((k1, k2, n, m, hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "ignore") if text_out else None))
-                kinds = [pa.int64()] * 4 + [pa.string()] * 2
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*out)) or [[]] * 6, kinds)], ["k1", "k2", "n_removed", "n_spans", "kept_sha256", "kept"])
+                    kept, n, m, t = removed(text.encode(), found, unit, whole, threshold)
+                    out.append((k1, k2, n, m, t, hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "ignore") if text_out else None))
+                kinds = [pa.int64()] * 5 + [pa.string()] * 2
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*out)) or [[]] * 7, kinds)], ["k1", "k2", "n_removed", "n_spans", "n_tokens", "kept_sha256", "kept"])
 
-        got = rows.select("k1", "k2", "text", "spans", "whole").mapInArrow(run, "k1 long, k2 long, n_removed long, n_spans long, kept_sha256 string, kept string")
+        got = rows.select("k1", "k2", "text", "spans", "whole").mapInArrow(run, "k1 long, k2 long, n_removed long, n_spans long, n_tokens long, kept_sha256 string, kept string")
         lost = cut(got.where("n_removed > 0").dropDuplicates(["k1", "k2"]), "cleaned")
         kept_tables.append(lost)
         return lost
 
 
-def report(docs: DataFrame, threshold: int = 400, group_limit: int = GROUP_LIMIT) -> DataFrame:
+def report(docs: DataFrame, threshold: int = 400, group_limit: int = GROUP_LIMIT, words: int = 50) -> DataFrame:
     """What each document loses when every byte inside a repeated string of ``threshold`` bytes goes.
 
-    Null and empty texts lose nothing, nor do texts shorter than the threshold. A text that occurs in two
-    rows is repeated as a whole. An empty table gives no rows.
+    n_repeated_words counts the words inside passages of ``words`` words that stand elsewhere too, which may be of
+    fewer bytes than the threshold. Null and empty texts lose nothing, nor do texts shorter than the threshold. A text that
+    occurs in two rows is repeated as a whole. An empty table gives no rows.
     """
     text = F.coalesce(F.col("text"), F.lit(""))
     base = docs.select("doc_id", *text_keys(text), F.octet_length(text).cast("long").alias("n_bytes"), F.sha2(text, 256).alias("own"))
-    lost = cleaned(docs, BYTES, threshold, group_limit).drop("kept")
+    lost = cleaned(docs, BYTES, threshold, group_limit).drop("kept", "n_tokens")
+    said = cleaned(docs, WORDS, words, group_limit).select("k1", "k2", F.col("n_tokens").alias("n_repeated_words"))
+    both = lost.join(said, ["k1", "k2"], "full")
+    both = F.broadcast(both) if small_enough(both) else both
     zero = lambda c: F.coalesce(F.col(c), F.lit(0)).cast("long").alias(c)
-    return base.join(lost, ["k1", "k2"], "left").select("doc_id", "n_bytes", zero("n_removed"), zero("n_spans"), F.coalesce("kept_sha256", "own").alias("kept_sha256"))
+    return base.join(both, ["k1", "k2"], "left").select("doc_id", "n_bytes", zero("n_removed"), zero("n_spans"), F.coalesce("kept_sha256", "own").alias("kept_sha256"), zero("n_repeated_words"))
 
 
 def strip(docs: DataFrame, unit: str = WORDS, threshold: int = 50, group_limit: int = GROUP_LIMIT) -> DataFrame:

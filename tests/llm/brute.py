@@ -54,7 +54,7 @@ def terms(texts, window, threshold):
     """{place: words that reveal a value the text holds}, by document shares of value, word and both."""
     word = re.compile(r"[^\W\d_]{4,}")
     held = {i: [(t[s:e], s, e) for s, _, e in pii(t)[2]] for i, t in enumerate(texts) if t}
-    near = {i: {(v, w) for v, s, e in x for w in word.findall(texts[i][max(0, s - 120) : s].lower())[-window:] + word.findall(texts[i][e : e + 120].lower())[:window]} for i, x in held.items()}
+    near = {i: {(v, w) for v, s, e in x for w in word.findall(texts[i][:s].lower())[-window:] + word.findall(texts[i][e:].lower())[:window]} for i, x in held.items()}
     both, value = Counter(p for x in near.values() for p in x), Counter(v for x in held.values() for v in {y[0] for y in x})
     seen = Counter(w for t in texts if t for w in set(word.findall(t.lower())))
     n = len(texts)

@@ -9,6 +9,7 @@ run without a global numbering.
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
 import uuid
@@ -24,7 +25,7 @@ _own: list[str] = []
 
 @dataclass
 class Forest:
-    """nodes, and symbols(sym, kind, rank, name, weight, offsets): weight counts input nodes, offsets those before each parameter."""
+    """nodes, and the symbols(sym, kind, rank, name) of their letters."""
 
     nodes: DataFrame
     symbols: DataFrame
@@ -32,7 +33,7 @@ class Forest:
 
 @dataclass
 class Grammar:
-    """rules(sym, phase, kind, rhs, cost), symbols, starts(tree_id, sym, n), residual nodes of trees stopped early, and one dict of counts for each phase."""
+    """rules(sym, phase, kind, rhs, cost, ...), symbols(sym, kind, rank, name, weight), starts(tree_id, sym, n), residual nodes of trees stopped early, and one dict of counts for each phase."""
 
     rules: DataFrame
     symbols: DataFrame
@@ -43,9 +44,12 @@ class Grammar:
 
 
 def scratch(spark: SparkSession) -> str:
+    """The shared folder named by the session; a local one only where none is set and all runs in one process, as in tests."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
     if not _own:
         _own.append(tempfile.mkdtemp(prefix="canopy-trees-"))
         atexit.register(lambda: shutil.rmtree(_own[0], ignore_errors=True))
@@ -53,10 +57,12 @@ def scratch(spark: SparkSession) -> str:
 
 
 def settle(df: DataFrame) -> DataFrame:
-    """Written to the shared folder and read back, so a phase never recomputes the one before."""
+    """Written to the shared folder and read back, so a phase never recomputes the one before. What nobody deletes before goes with the application."""
     spark = df.sparkSession
     path = f"{scratch(spark)}/canopy-trees/{uuid.uuid4().hex}"
     df.write.parquet(path)
+    folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+    folder.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(folder)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -75,7 +81,5 @@ def letter(*key) -> "F.Column":
 def forest_of(labelled: DataFrame) -> Forest:
     """From rows (tree_id, pre, parent, slot, name, rank). A label with another rank is another letter."""
     named = labelled.withColumn("sym", letter(F.lit("input"), F.col("name"), F.col("rank")))
-    symbols = named.groupBy("sym").agg(F.first("name").alias("name"), F.first("rank").alias("rank")).select(
-        "sym", F.lit("input").alias("kind"), "rank", "name", F.lit(1).cast("decimal(38,0)").alias("weight"), F.array_repeat(F.lit(1).cast("decimal(38,0)"), F.col("rank")).alias("offsets")
-    )
+    symbols = named.groupBy("sym").agg(F.first("name").alias("name"), F.first("rank").alias("rank")).select("sym", F.lit("input").alias("kind"), "rank", "name")
     return Forest(named.select(F.col("tree_id").cast("long"), F.col("pre").cast("long"), F.col("parent").cast("long"), F.col("slot").cast("int"), "sym", F.col("rank").cast("int")), symbols)

@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from canopy.model import Forest, Grammar, settle, unsettle
+from canopy.operators.analytics import occurrences
 from canopy.operators.compressor import census
 
 
@@ -32,6 +33,137 @@ def bound(r: int, g: int, n: int) -> float:
     return r * g + r * g * max(0.0, math.log2(n / (r * g)))
 
 
+def bounds_held(g: Grammar, forest: Forest) -> tuple[int, bool, bool, bool, bool, bool]:
+    """Nodes, and whether every phase shrinks below 3/4, all phases' nodes are at most 4n, phases at most log n to base 4/3 and one, no letter has more parameters than the input's, and the size is at most 2n - 1."""
+    from canopy.operators.compressor import grammar_size
+
+    n, r = forest.nodes.agg(F.count("*"), F.coalesce(F.max("rank"), F.lit(0))).first()
+    work = sum(s["nodes"] for s in g.stats)
+    most = g.rules.agg(F.coalesce(F.max("rank"), F.lit(0))).first()[0]
+    phases = len(g.stats) <= math.log(max(n, 2), 4 / 3) + 1
+    return int(n), all(x < 0.75 for x in shrink(g)), work <= 4 * n, phases, most <= r, grammar_size(g) <= 2 * n - 1
+
+
+def planted_size(kind: str, k: int) -> int:
+    """Non-parameter nodes of a small grammar for a family of synthetic trees: an upper bound of the smallest one's size."""
+    if kind == "doubling":  # k doubled letters over a leaf: (ab) ** 2 ** (k - 1)
+        return 2 * k + 2
+    if kind == "fibonacci":  # each of k rules joins the two before it
+        return 2 * k + 2
+    if kind == "power":
+        return 2 * int(math.log2(k)) + (bin(k).count("1") if bin(k).count("1") > 1 else 0) + 2
+    if kind == "comb":  # one inner node with its leaf as a unary rule, then a power of it
+        return 2 + planted_size("power", k)
+    raise ValueError(kind)
+
+
+def planted_nodes(spark, kind: str, k: int) -> DataFrame:
+    from canopy.sources import relational as S
+
+    if kind == "doubling":
+        return S.family(spark, "ab", 1 << (k - 1))
+    if kind == "fibonacci":
+        return S.family(spark, "fibonacci", k)
+    return S.family(spark, kind, k)
+
+
+def planted_ratio(spark, kind: str, k: int) -> DataFrame:
+    """Size of the engine's grammar for a planted family beside the planted one, and beside the proved bound without its constant."""
+    from canopy.model import forest_of
+    from canopy.operators.compressor import compress, grammar_size
+
+    f = forest_of(planted_nodes(spark, kind, k))
+    n, r = f.nodes.agg(F.count("*"), F.max("rank")).first()
+    got, small = grammar_size(compress(f)), planted_size(kind, k)
+    top = bound(max(r, 1), small, n)
+    row = (kind, k, int(n), small, got, got / small, got / top)
+    return spark.createDataFrame([row], "family string, k int, nodes long, planted long, size long, ratio double, fitted double")
+
+
+def sequential_grammar(letters: list) -> dict[int, list]:
+    """Rules of the online compressor that reads letters left to right, keeps every digram unique and every rule in use twice or more.
+
+    Rule 0 derives the input; a body holds letters and ("rule", number).
+    """
+    rules: dict[int, list] = {0: []}
+    made = 0
+
+    def digrams() -> dict:
+        seen: dict = {}
+        for r, body in rules.items():
+            i = 0
+            while i + 1 < len(body):
+                key = (body[i], body[i + 1])
+                if key in seen and not (seen[key][0] == r and seen[key][1] == i - 1):
+                    return {"at": seen[key], "again": (r, i), "key": key}
+                seen.setdefault(key, (r, i))
+                i += 1
+        return {}
+
+    for x in letters:
+        rules[0].append(x)
+        while found := digrams():
+            (r, i), (q, j), key = found["at"], found["again"], found["key"]
+            whole = next((n for n, body in rules.items() if n and tuple(body) == key), None)
+            if whole is None:
+                made += 1
+                whole = made
+                rules[whole] = list(key)
+            for n, body in rules.items():
+                if n != whole:
+                    out, at = [], 0
+                    while at < len(body):
+                        if tuple(body[at : at + 2]) == key:
+                            out.append(("rule", whole))
+                            at += 2
+                        else:
+                            out.append(body[at])
+                            at += 1
+                    body[:] = out
+            used: dict[int, int] = {}
+            for body in rules.values():
+                for y in body:
+                    if isinstance(y, tuple) and y[0] == "rule":
+                        used[y[1]] = used.get(y[1], 0) + 1
+            for n in [n for n in rules if n and used.get(n, 0) < 2]:
+                inside = rules.pop(n)
+                for body in rules.values():
+                    for at, y in enumerate(body):
+                        if y == ("rule", n):
+                            body[at : at + 1] = inside
+                            break
+    return rules
+
+
+def sequential_sizes(chains: DataFrame, key: str, letters: str) -> DataFrame:
+    """(key, size): symbols of the online compressor's rules for each chain; a chain is one task's work."""
+
+    def run(batches):
+        for b in batches:
+            sizes = [sum(map(len, sequential_grammar(x or []).values())) for x in b.column("x").to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column("key"), pa.array(sizes, pa.int64())], ["key", "size"])
+
+    return chains.select(F.col(key).cast("long").alias("key"), F.col(letters).alias("x")).mapInArrow(run, "key long, size long")
+
+
+def stored_bytes(tables: list[DataFrame]) -> int:
+    """Bytes of tables written as Parquet with ZSTD."""
+    import uuid
+
+    from canopy.model import scratch
+
+    total = 0
+    for df in tables:
+        spark = df.sparkSession
+        path = f"{scratch(spark)}/canopy-bytes/{uuid.uuid4().hex}"
+        df.write.option("compression", "zstd").parquet(path)
+        folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+        fs = folder.getFileSystem(spark._jsc.hadoopConfiguration())
+        total += fs.getContentSummary(folder).getLength()
+        fs.delete(folder, True)
+    return int(total)
+
+
 def weight_conserved(g: Grammar) -> DataFrame:
     """Trees whose start letter doesn't weigh what the tree has nodes; none if all is well."""
     return g.starts.join(g.symbols.select("sym", "weight"), "sym").where("weight <> n").select("tree_id", "n", "weight")
@@ -39,18 +171,8 @@ def weight_conserved(g: Grammar) -> DataFrame:
 
 def label_counts(g: Grammar) -> DataFrame:
     """(name, total) of input labels in the derived forest, from the rules alone: multiplicities pushed from the starts down the rules."""
-    use = settle(g.starts.groupBy("sym").agg(F.count("*").cast("decimal(38,0)").alias("times")))
-    rules = g.rules.select("sym", "kind", F.explode("rhs").alias("x")).select("sym", F.col("x.sym").alias("part"), F.when(F.col("kind") == "run", F.col("x.at")).otherwise(1).alias("by"))
-    total = None
-    while True:
-        plain = use.join(g.rules.select("sym"), "sym", "left_anti")
-        total = plain if total is None else total.unionByName(plain)
-        down = settle(use.join(rules, "sym").groupBy(F.col("part").alias("sym")).agg(F.sum(F.col("times") * F.col("by")).cast("decimal(38,0)").alias("times")))
-        if not down.take(1):
-            break
-        use = down
     names = g.symbols.where("kind = 'input'").select("sym", "name")
-    return total.groupBy("sym").agg(F.sum("times").alias("times")).join(names, "sym").groupBy("name").agg(F.sum("times").cast("long").alias("total"))
+    return occurrences(g).join(names, "sym").groupBy("name").agg(F.sum("times").cast("long").alias("total"))
 
 
 def violations(g: Grammar) -> DataFrame:

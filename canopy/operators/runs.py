@@ -6,41 +6,44 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from canopy.model import letter
+from canopy.operators.scan import beside, numbered, order
 
-def order():
-    """A tree in pre-order."""
-    return Window.partitionBy("tree_id").orderBy("pre")
+__all__ = ["order", "heads", "find_runs", "merge_runs", "compress_runs", "represent_runs", "run_weights"]
 
 
-def repointed(nodes: DataFrame) -> DataFrame:
-    """After rows were dropped: a node below a unary one has that one, the row before, as parent."""
-    above = F.lag("rank").over(order()) == 1
-    return nodes.withColumn("parent", F.when(above, F.lag("pre").over(order())).otherwise(F.col("parent")))
+def heads(nodes: DataFrame, block: int | None = None, only=None) -> DataFrame:
+    """nodes with ``first`` (a chain of unary letters begins), ``head`` (an island of one letter begins) and a running number ``_at``. ``only`` limits which letters make islands."""
+    near = beside(numbered(nodes, "_at", block), {"_bs": F.col("sym"), "_br": F.col("rank")}, {}, block)
+    unary = F.col("rank") == 1
+    joined = unary & (F.col("_br") == 1) & (F.col("_bs") == F.col("sym"))
+    joined = joined if only is None else joined & only
+    return near.withColumn("first", unary & F.coalesce(F.col("_br") != 1, F.lit(True))).withColumn("head", ~F.coalesce(joined, F.lit(False))).drop("_bs", "_br")
 
 
-def islands(nodes: DataFrame) -> DataFrame:
-    """nodes with ``head`` (starts an island) and ``len`` (rows of its island)."""
-    joined = (F.col("rank") == 1) & (F.lag("rank").over(order()) == 1) & (F.lag("sym").over(order()) == F.col("sym"))
-    marked = nodes.withColumn("head", ~F.coalesce(joined, F.lit(False)))
-    numbered = marked.withColumn("island", F.sum(F.col("head").cast("int")).over(order().rowsBetween(Window.unboundedPreceding, 0)))
-    return numbered.withColumn("len", F.count("*").over(Window.partitionBy("tree_id", "island")))
+def islands(marked: DataFrame, block: int | None = None) -> DataFrame:
+    """The heads alone, with the length ``len`` of their island; a row below a unary one has the island's head as parent."""
+    kept = beside(marked.where("head"), {"_bp": F.col("pre"), "_br": F.col("rank")}, {"_next": F.col("_at")}, block)
+    out = kept.withColumn("len", F.coalesce(F.col("_next") - F.col("_at"), F.lit(1)).cast("int")).withColumn("parent", F.when(F.col("_br") == 1, F.col("_bp")).otherwise(F.col("parent")))
+    return out.drop("_at", "_bp", "_br", "_next", "head", "first")
 
 
-def find_runs(nodes: DataFrame) -> DataFrame:
+def find_runs(nodes: DataFrame, block: int | None = None) -> DataFrame:
     """(tree_id, head_pre, sym, len) of every maximal run, single nodes included."""
-    return islands(nodes).where("head and rank = 1").select("tree_id", F.col("pre").alias("head_pre"), "sym", F.col("len").cast("int").alias("len"))
+    return islands(heads(nodes, block), block).where("rank = 1").select("tree_id", F.col("pre").alias("head_pre"), "sym", "len")
 
 
-def compress_runs(nodes: DataFrame, letters: list[int] | None = None):
+def merge_runs(nodes: DataFrame, letters: list[int] | None = None, block: int | None = None) -> DataFrame:
+    """Every run of two and more is one node; there ``base`` holds the letter before and ``len`` the length, else base is null."""
+    only = None if letters is None else F.col("sym").isin(letters)
+    cut = islands(heads(nodes, block, only), block)
+    new = (F.col("rank") == 1) & (F.col("len") > 1)
+    return cut.withColumn("base", F.when(new, F.col("sym"))).withColumn("sym", F.when(new, letter(F.lit("run"), F.col("sym"), F.col("len").cast("long"))).otherwise(F.col("sym")))
+
+
+def compress_runs(nodes: DataFrame, letters: list[int] | None = None, block: int | None = None):
     """(nodes, new letters (sym, base, len)): every run of two and more becomes one node."""
-    chosen = F.col("rank") == 1 if letters is None else (F.col("rank") == 1) & F.col("sym").isin(letters)
-    cut = islands(nodes)
-    new = chosen & (F.col("len") > 1)
-    fresh = letter(F.lit("run"), F.col("sym"), F.col("len"))
-    kept = cut.where(F.col("head") | ~chosen)
-    out = repointed(kept.withColumn("base", F.when(new & F.col("head"), F.col("sym"))).withColumn("sym", F.when(new & F.col("head"), fresh).otherwise(F.col("sym"))))
-    keys = out.where("base is not null").select("sym", "base", F.col("len").cast("int").alias("len")).distinct()
-    return out.drop("head", "island", "len", "base"), keys
+    out = merge_runs(nodes, letters, block)
+    return out.select(*nodes.columns), out.where("base is not null").select("sym", "base", "len").distinct()
 
 
 def represent_runs(runs: DataFrame, scheme: str = "gap", accounting: str = "compact") -> DataFrame:
@@ -71,7 +74,13 @@ def represent_runs(runs: DataFrame, scheme: str = "gap", accounting: str = "comp
     return every.select("base", "m", "parts", F.size("parts").alias("cost"))
 
 
-def run_weight(scheme: str):
-    """Edge weight from the length before k to length l: what the run's letters cost in the graph of lengths."""
+def run_weights(runs: DataFrame) -> DataFrame:
+    """(base, len, before, engine, direct, power): for each length of a letter the edge weights that could make it.
+
+    engine: 1 + log2 of the gap to the length before; direct: the gap in single letters; power: 1 + log2 of the length.
+    The least weight of a graph of lengths that uses any of these is at most what the engine's own edges weigh.
+    """
+    lens = runs.select("base", F.col("len").cast("long").alias("len")).distinct()
+    held = lens.withColumn("before", F.coalesce(F.lag("len").over(Window.partitionBy("base").orderBy("len")), F.lit(0)))
     gap = F.col("len") - F.col("before")
-    return {"engine": 1 + F.log2(gap), "direct": gap.cast("double"), "power": 1 + F.log2(F.col("len"))}[scheme]
+    return held.select("base", "len", "before", (1 + F.log2(gap)).alias("engine"), gap.cast("double").alias("direct"), (1 + F.log2("len")).alias("power"))

@@ -100,17 +100,6 @@ def phase_stats(w: str):
     return query
 
 
-def cover_floor(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every colouring covers at least a quarter of the pairs of the run-free chains, greedy and linear by proof, exact by search."""
-    f = forest(spark, sf_dir, "w2")
-    graph = settle(P.pair_graph(R.compress_runs(f.nodes)[0]))
-    out = []
-    for method in ("greedy", "linear"):
-        total, ud, du = P.covered(graph, P.choose(graph, method))
-        out.append((method, 4 * ud >= total, ud >= du))
-    return spark.createDataFrame(out, "method string, floor_holds boolean, turned boolean")
-
-
 def baseline_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     f = forest(spark, sf_dir, "w1")
     return spark.createDataFrame([("grammar", grammar_size(grammar(spark, sf_dir, "w1"))), ("trivial", M.trivial_size(f)), ("dag", M.dag_size(f))], "method string, size long")
@@ -131,11 +120,6 @@ def label_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return M.label_counts(grammar(spark, sf_dir, "w1"))
 
 
-def weights(spark: SparkSession, sf_dir: str) -> DataFrame:
-    g = grammar(spark, sf_dir, "w1")
-    return one_row(spark, "trees long, wrong long", g.starts.count(), M.weight_conserved(g).count())
-
-
 def size_by_status(spark: SparkSession, sf_dir: str) -> DataFrame:
     g = grammar(spark, sf_dir, "w1")
     w = g.starts.join(g.symbols.select("sym", "weight"), "sym")
@@ -218,10 +202,6 @@ def run_histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
     return R.find_runs(forest(spark, sf_dir, "w2").nodes).groupBy("len").agg(F.count("*").alias("n"))
 
 
-def violation_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return M.violations(grammar(spark, sf_dir, "w1")).groupBy("what").agg(F.count("*").alias("n"))
-
-
 def phrases(spark: SparkSession, sf_dir: str) -> DataFrame:
     return M.phrase_size(S.table(spark, sf_dir, "documents"), "doc_id", "text")
 
@@ -234,9 +214,9 @@ QUERIES = {
     "w1_nodes": plain("w1"), "w2_nodes": plain("w2"), "w2b_nodes": plain("w2b"), "w4_line_strings": plain("w4"), "w7_json_tree": plain("w7"), "w8_sign_chains": plain("w8"),
     "w1_rank_histogram": rank_histogram, "w1_chain_stats": chain_stats, "w1_pair_graph": w1_pair_graph, "w1_leaf_keys": w1_leaf_keys,
     "w1_roundtrip": roundtrip("w1"), "w2_roundtrip": roundtrip("w2"), "w7_roundtrip": roundtrip("w7"), "w1_grammar_size": w1_grammar_size, "w7_grammar_size": w7_grammar_size,
-    "w1_label_counts_on_grammar": label_counts, "w1_weight_conservation": weights, "w1_size_by_status": size_by_status, "w1_violations": violation_rows,
+    "w1_label_counts_on_grammar": label_counts, "w1_size_by_status": size_by_status,
     "w2_runs": w2_runs, "w2_run_histogram": run_histogram, "w2_run_compress": w2_run_compress, "w2_rep_cost_direct": rep_cost("direct"), "w2_rep_cost_binary": rep_cost("binary"), "w2_rep_cost_gap": rep_cost("gap"),
-    "w1_phase_stats": phase_stats("w1"), "w2_phase_stats": phase_stats("w2"), "partition_cover_floor": cover_floor, "baseline_sizes": baseline_sizes, "baseline_bisection": bisection, "baseline_phrases": phrases, "baseline_factors": factors,
+    "w1_phase_stats": phase_stats("w1"), "w2_phase_stats": phase_stats("w2"), "baseline_sizes": baseline_sizes, "baseline_bisection": bisection, "baseline_phrases": phrases, "baseline_factors": factors,
     "x_ab_power_size": family_size("ab", 1024), "x_perfect_binary_size": family_size("binary", 5), "x_flat_incompressible": family_size("flat", 100),
     "op_broadcast_join": joins("broadcast"), "op_sortmerge_join": joins("merge"), "op_shuffle_hash_join": joins("shuffle_hash"), "op_theta_ancestor": ancestors, "op_anti_childless": no_lines,
     "op_asof_last_run": asof_last_run, "op_rank_runs": longest_runs, "op_cube_labels": cube, "op_rollup_labels": rollup, "op_topk_pairs": top_pairs, "op_math_binary": binary_digits,
@@ -290,15 +270,12 @@ z AS (SELECT DISTINCT o_orderstatus AS s, key FROM orders JOIN t ON o = o_orderk
 SELECT (SELECT 2 * count(*) FROM (SELECT DISTINCT l_returnflag, l_linestatus FROM l)) + (SELECT 2 * count(*) FROM (SELECT DISTINCT l_returnflag, l_linestatus, floor(l_quantity / 10) FROM l)) + (SELECT sum(1 + len(key)) FROM z)::BIGINT AS size""",
     "w7_grammar_size": "SELECT 2 + 2 * count(DISTINCT json_extract_string(props, '$.k')) AS size FROM events",
     "w1_label_counts_on_grammar": f"WITH {W1} SELECT name, count(*) AS total FROM w1 GROUP BY 1",
-    "w1_weight_conservation": "SELECT count(*) AS trees, 0::BIGINT AS wrong FROM orders",
-    "w1_violations": "SELECT 'none' AS what, 0::BIGINT AS n WHERE false",
     "w1_size_by_status": f"WITH {W1} SELECT o_orderstatus, count(*) AS n FROM w1 JOIN orders ON o_orderkey = tree_id GROUP BY 1",
     "w2_runs": f"WITH {RUNS} SELECT tree_id, head_pre, name, len FROM runs",
     "w2_run_histogram": f"WITH {RUNS} SELECT len, count(*) AS n FROM runs GROUP BY 1",
     "w2_run_compress": f"WITH {RUNS} SELECT (SELECT count(*) FROM runs) + (SELECT count(DISTINCT user_id) FROM events) AS nodes, (SELECT count(*) FROM (SELECT DISTINCT name, len FROM runs WHERE len > 1)) AS letters",
     "w2_rep_cost_direct": f"{LENS} SELECT name, sum(len)::BIGINT AS cost FROM d GROUP BY 1",
     "w2_rep_cost_binary": f"{LENS} SELECT name, (2 * floor(log2(max(len))) + coalesce(sum({DIGITS}) FILTER ({DIGITS} > 1), 0))::BIGINT AS cost FROM d GROUP BY 1",
-    "partition_cover_floor": "SELECT unnest(['greedy', 'linear']) AS method, true AS floor_holds, true AS turned",
     "x_ab_power_size": "SELECT 34::BIGINT AS size",
     "x_perfect_binary_size": "SELECT 15::BIGINT AS size",
     "x_flat_incompressible": "SELECT 101::BIGINT AS size",

@@ -124,8 +124,27 @@ def from_terms(spark: SparkSession, terms: dict[int, str]) -> DataFrame:
 
 
 def family(spark: SparkSession, kind: str, k: int) -> DataFrame:
-    """Synthetic trees from spark.range. power: a^k over a leaf; ab: (ab)^k over a leaf; flat: k equal leaves; binary: perfect of height k; comb: k inner nodes."""
+    """Synthetic trees from spark.range. power: a^k over a leaf; ab: (ab)^k over a leaf; fibonacci: the k-th Fibonacci word over a leaf; flat: k equal leaves; binary: perfect of height k; comb: k inner nodes; random: k nodes of rank at most 3."""
     one = F.lit(0)
+    if kind == "fibonacci":
+        a, b = "a", "ab"
+        for _ in range(k - 2):
+            a, b = b, b + a
+        word = [(0, i, c) for i, c in enumerate(b)]
+        n, i = len(word), F.col("i")
+        body = spark.createDataFrame(word, "t long, i long, c string")
+        return rows(body, one, i, F.when(i > 0, i - 1), F.when(i > 0, 1), F.col("c"), 1).unionByName(rows(spark.range(1), one, n, n - 1, 1, F.lit("c"), 0))
+    if kind == "random":
+        import random
+
+        rng, made, open_ = random.Random(k), [], [(None, None)]
+        while open_:
+            parent, slot = open_.pop()
+            rank = 0 if len(made) + len(open_) >= k else rng.choice([0, 1, 1, 2, 2, 3])
+            rank = max(rank, 1) if not open_ and len(made) + 1 < k else rank
+            made.append((0, len(made), parent, slot, f"{'cabf'[rank]}{rng.randrange(3)}", rank))
+            open_ += [(len(made) - 1, j) for j in range(rank, 0, -1)]
+        return spark.createDataFrame(made, "tree_id long, pre long, parent long, slot int, name string, rank int")
     if kind in ("power", "ab"):
         n = k if kind == "power" else 2 * k
         i = F.col("id")

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from canopy.model import settle
 from canopy.operators import chains as C
 from canopy.sources import hierarchies as H
 from canopy.sources import relational as S
@@ -47,14 +48,12 @@ def w3_tags(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def w5_depth(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Nodes of each depth, a level a round: a tree's depth is small, its width isn't."""
-    nodes = H.geography(spark, sf_dir).select("pre", "parent")
-    level, out, d = nodes.where("parent is null").select("pre"), None, 0
-    while True:
-        n = level.count()
-        if not n:
-            return spark.createDataFrame(out, "depth int, n long")
-        out = [*(out or []), (d, n)]
-        level, d = nodes.join(level.withColumnRenamed("pre", "parent"), "parent").select("pre"), d + 1
+    nodes = settle(H.geography(spark, sf_dir).select("pre", "parent"))
+    level, out, d = settle(nodes.where("parent is null").select("pre")), [], 0
+    while n := level.count():
+        out.append((d, n))
+        level, d = settle(nodes.join(level.withColumnRenamed("pre", "parent"), "parent").select("pre")), d + 1
+    return spark.createDataFrame(out, "depth int, n long")
 
 
 def scan_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -92,7 +91,7 @@ def windows(kind: str):
 
 
 def pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return S.table(spark, sf_dir, "events").groupBy("user_id").pivot("event_type", ["click", "error", "purchase", "signup", "view"]).agg(F.count("event_id")).na.fill(0)
+    return S.table(spark, sf_dir, "events").groupBy("user_id").pivot("event_type").agg(F.count("event_id")).na.fill(0)
 
 
 def days(spark: SparkSession, sf_dir: str) -> DataFrame:

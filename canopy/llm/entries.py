@@ -37,7 +37,7 @@ def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op5_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text")
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", F.col("quality").alias("label"))
-    model = quality_cnn.fit(docs.join(labels.where(crc_bucket(F.col("doc_id"), 3) != 1), "doc_id"))
+    model = quality_cnn.fit(docs, labels.where(crc_bucket(F.col("doc_id"), 3) != 1))
     return quality_cnn.score(docs, model).select("doc_id", (crc_bucket(F.col("doc_id"), 3) == 1).alias("held_out"), "score", "predicted")
 
 

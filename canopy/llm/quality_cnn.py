@@ -144,38 +144,41 @@ def train(texts: list[str], labels: np.ndarray, epochs: int = EPOCHS, rate: floa
     return model
 
 
-def sample(labelled: DataFrame) -> list[tuple[str, int]]:
+def sample(docs: DataFrame, labels: DataFrame | None = None) -> list[tuple[str, int]]:
     """(text, label) of at most FIT_ROWS rows, drawn by id hash, of at most FIT_BYTES of whole texts in all.
 
-    Ids and lengths are drawn first; only the texts that fit are collected. A text that doesn't fit is left
-    out alone, and the shortest drawn text of each label comes first, so that both labels are there.
+    Without labels (doc_id, label) docs has a label column itself. Ids and lengths are drawn first, and no text is shuffled; only the texts that
+    fit are collected, one a doc_id. A text that doesn't fit is left out alone, and the shortest drawn text of each label comes first, so that both labels are there.
     """
-    draw = F.xxhash64("doc_id", F.lit(29))
-    rows = labelled.where(F.col("label").isNotNull()).select("doc_id", "text", F.col("label").cast("int").alias("label"), draw.alias("draw"), F.coalesce(F.octet_length("text"), F.lit(0)).alias("n"))
+    named = docs if labels is None else docs.select("doc_id", "text")
+    sized = named.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.octet_length("text"), F.lit(0)).alias("n"), *(["label"] if labels is None else []))
+    rows = (sized if labels is None else sized.join(labels.select(F.col("doc_id").cast("long").alias("doc_id"), "label"), "doc_id")).where("label is not null and doc_id is not null")
+    rows = rows.select("doc_id", "n", F.col("label").cast("int").alias("label"), F.xxhash64("doc_id", F.lit(29)).alias("draw"))
     p = min(1.0, (1.3 * FIT_ROWS + 20) / max(rows.count(), 1))
-    known = rows.where((F.col("draw") <= int(-(2**63) + min(p * 2**64, 2**64 - 1))) & (F.col("n") <= FIT_BYTES)).select("draw", "n", "label").orderBy("draw", "n", "label").limit(2 * FIT_ROWS).collect()
+    known = rows.where((F.col("draw") <= int(-(2**63) + min(p * 2**64, 2**64 - 1))) & (F.col("n") <= FIT_BYTES)).orderBy("draw", "n", "label").limit(2 * FIT_ROWS).collect()
     least = {}
     for r in known:
         if r.label not in least or r.n < least[r.label].n:
             least[r.label] = r
-    chosen, total = set(), 0
+    chosen, total = {}, 0
     for r in [*least.values(), *known]:
-        if r.draw not in chosen and len(chosen) < FIT_ROWS and total + r.n <= FIT_BYTES:
-            chosen.add(r.draw)
+        if r.doc_id not in chosen and len(chosen) < FIT_ROWS and total + r.n <= FIT_BYTES:
+            chosen[r.doc_id] = r
             total += r.n
     if not chosen:
         return []
-    wanted = labelled.sparkSession.createDataFrame([(int(x),) for x in chosen], "draw long")
-    got = rows.join(F.broadcast(wanted), "draw").dropDuplicates(["draw"]).select("draw", "text", "label").collect()
-    return [(r.text or "", r.label) for r in sorted(got, key=lambda r: r.draw)]
+    wanted = docs.sparkSession.createDataFrame([(int(r.doc_id), int(r.n)) for r in chosen.values()], "doc_id long, n long")
+    texts = named.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n"))
+    got = texts.join(F.broadcast(wanted), ["doc_id", "n"]).groupBy("doc_id").agg(F.min("text").alias("text")).collect()
+    return [(r.text or "", chosen[r.doc_id].label) for r in sorted(got, key=lambda r: chosen[r.doc_id].draw)]
 
 
-def fit(labelled: DataFrame) -> Model:
-    """Fit on a bounded sample of rows (doc_id, text, label), one row an id.
+def fit(docs: DataFrame, labels: DataFrame | None = None) -> Model:
+    """Fit on a bounded sample of labelled rows: docs (doc_id, text) and labels (doc_id, label), or docs with a label column.
 
     Without rows of both labels every text scores the share of label 1 (one half without rows).
     """
-    got = sample(labelled)
+    got = sample(docs, labels)
     y = np.array([label for _, label in got], dtype=np.float32)
     if len(set(y.tolist())) < 2:
         share = float(np.clip(y.mean(), 0.01, 0.99)) if len(y) else 0.5

@@ -1,13 +1,13 @@
 """Near-duplicate groups by a multi-index Hamming join over b-bit minhash signatures.
 
-A signature is PARTS x SIZE components of BITS bits. Two signatures that differ in at most 2 PARTS - 1
+A signature is PARTS x SIZE components of BITS bits. Two signatures that differ in at most FAR = 2 PARTS - 1
 components agree, by pigeonhole, in all but one component of some part; so a key for every part and
-every component left out of it brings together all pairs under that distance, and most pairs beyond.
-Candidates are confirmed on the full shingle sets.
+every component left out of it brings together all pairs within FAR. That distance is the threshold of the join: all
+pairs within it are candidates, none beyond it. Every candidate is confirmed on the full shingle sets.
 
 No group is expanded into its pairs. Texts with equal sets are one representative; a bucket first links its
 members to three centres; only members that are still in different components then meet, with size,
-signature distance and the sets' least hashes tested in blocks, so that only likely links leave the bucket.
+signature distance and the sets' least hashes tested in blocks, so that only possible links leave the bucket.
 """
 
 from __future__ import annotations
@@ -21,14 +21,14 @@ from canopy.llm import kernels as K
 from canopy.llm.common import cut, drop_cut, ship, small_enough, temporary
 from canopy.llm.graph import components
 
-PARTS = 10
-SIZE = 5
-BITS = 12
+PARTS = 12
+SIZE = 4
+BITS = 16
 ERRORS = 1
-#: Distance beyond which a candidate isn't confirmed. At similarity 0.8 a pair's distance is about 10 of 50, and beyond 26 fewer than once in 10**6.
-FAR = 26
+#: The greatest distance at which a pair is sure to share a key. At similarity 0.8 the distance is about 10 of 48, beyond 23 four times in 10**6.
+FAR = (ERRORS + 1) * PARTS - 1
 #: Least shingle hashes of a set that a join compares; a set of no more is whole there.
-LOW = 256
+LOW = 512
 #: Members of a bucket that a task compares at once.
 BLOCK = 2048
 PERCENT = 80
@@ -43,7 +43,7 @@ def signatures(sets: np.ndarray, at: np.ndarray) -> np.ndarray:
     out = np.empty((len(first), PARTS * SIZE), dtype=np.int16)
     with np.errstate(over="ignore"):
         for j in range(PARTS * SIZE):
-            out[:, j] = (K.mix(np.minimum.reduceat(sets * FACTORS[j] + SHIFTS[j], first)) & K.U((1 << BITS) - 1)).astype(np.int16) if len(first) else 0
+            out[:, j] = (K.mix(np.minimum.reduceat(sets * FACTORS[j] + SHIFTS[j], first)) & K.U((1 << BITS) - 1)).astype(np.uint16).view(np.int16) if len(first) else 0
     return out
 
 
@@ -75,7 +75,7 @@ def bucket_keys(sig):
             key = F.lit(p * SIZE + out).cast("long")
             for j in range(SIZE):
                 if j != out:
-                    key = F.shiftleft(key, BITS).bitwiseOR(sig[p * SIZE + j].cast("long"))
+                    key = F.shiftleft(key, BITS).bitwiseOR(sig[p * SIZE + j].cast("long").bitwiseAND(F.lit((1 << BITS) - 1)))
             keys.append(key)
     return F.array(*keys)
 
@@ -94,35 +94,40 @@ def chosen(docs: DataFrame, ids: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("id"), "text").join(ids, "id", "left_semi")
 
 
-def least_hashes(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
-    """rep and the LOW least shingle hashes (32 bits of them) of each document named in ids."""
+def full_sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
+    """rep and the whole sorted shingle set of each document named in ids."""
 
     def run(batches):
         for batch in batches:
             for part in K.slices(batch, "text"):
                 sets, at = K.shingle_sets(*K.text_buffer(part.column("text")), width)
-                n = np.minimum(np.diff(at), LOW)
-                where = np.repeat(at[:-1] - (np.cumsum(n) - n), n) + np.arange(n.sum())
-                short = ((sets[where] >> K.U(32)).astype(np.int64) - (1 << 31)).astype(np.int32)
-                lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(n))).astype(np.int32)), pa.array(short))
-                yield pa.RecordBatch.from_arrays([part.column("id"), lists], ["rep", "low"])
+                yield pa.RecordBatch.from_arrays([part.column("id"), pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(sets.view(np.int64)))], ["rep", "set"])
 
-    return chosen(docs, ids).mapInArrow(run, "rep long, low array<int>").dropDuplicates(["rep"])
+    return chosen(docs, ids).mapInArrow(run, "rep long, set array<long>").dropDuplicates(["rep"])
 
 
-def likely(low: list[np.ndarray], n: np.ndarray, i: int, js: np.ndarray, percent: int) -> np.ndarray:
-    """Whether set i may be as similar as asked to the sets js: exact but for hash ties where both are whole in LOW, else from the hashes up to the lesser of the two last ones, five deviations below."""
-    x = low[i]
-    flat, size = np.concatenate([low[j] for j in js]), np.array([len(low[j]) for j in js])
+def least_hashes(sets: DataFrame) -> DataFrame:
+    """rep and the LOW least shingle hashes, 32 bits of them."""
+    return sets.select("rep", F.transform(F.slice("set", 1, LOW), lambda x: F.shiftright(x, 32).cast("int")).alias("low"))
+
+
+def possible(low: list[np.ndarray], n: np.ndarray, i: int, js: np.ndarray, percent: int) -> np.ndarray:
+    """Whether set i can be as similar as asked to the sets js.
+
+    Up to the lesser of two sets' last known hashes all members are known. What is common there, and the lesser
+    of the two rests, bounds what is common in all. Hash ties only raise the bound, so no link is lost.
+    """
+    x = low[i].view(np.uint32)
+    flat, size = np.concatenate([low[j] for j in js]).view(np.uint32), np.array([len(low[j]) for j in js])
     first = np.cumsum(size) - size
-    same = np.add.reduceat(np.isin(flat, x), first, dtype=np.int64)
-    limit = np.minimum(x[-1], flat[first + size - 1])
+    ends = np.where(n[js] > LOW, flat[first + size - 1], np.uint32(0xFFFFFFFF))
+    limit = np.minimum(x[-1] if n[i] > LOW else np.uint32(0xFFFFFFFF), ends)
+    inside = flat <= np.repeat(limit, size)
+    same = np.add.reduceat(np.isin(flat, x) & inside, first, dtype=np.int64)
     mine = np.searchsorted(x, limit, side="right")
-    theirs = np.add.reduceat(flat <= np.repeat(limit, size), first, dtype=np.int64)
-    share = percent / 100
-    slack = 5 * (share * (1 - share) / LOW) ** 0.5
-    whole = (n[i] <= LOW) & (n[js] <= LOW)
-    return np.where(whole, 100 * (same + 1) >= percent * (n[i] + n[js] - same - 1), same + 1 >= (share - slack) * (mine + theirs - same - 1))
+    theirs = np.add.reduceat(inside, first, dtype=np.int64)
+    most = np.minimum(same + np.minimum(n[i] - mine, n[js] - theirs), np.minimum(n[i], n[js]))
+    return 100 * most >= percent * (n[i] + n[js] - most)
 
 
 def met(a: np.ndarray, b: np.ndarray, slot: int) -> np.ndarray:
@@ -134,7 +139,7 @@ def met(a: np.ndarray, b: np.ndarray, slot: int) -> np.ndarray:
 
 
 def pairs_apart(rows: DataFrame, percent: int) -> DataFrame:
-    """Likely links between members of a bucket that are in different components.
+    """Possible links between members of a bucket that are in different components.
 
     rows: key, rep, component, n, sig, low. A bucket of more than BLOCK members is dealt over tasks by
     pairs of blocks, each member going to as many tasks as there are blocks.
@@ -162,7 +167,7 @@ def pairs_apart(rows: DataFrame, percent: int) -> DataFrame:
                         ok &= col["own"][i][:, None] != col["own"][s:e]
                     for k in np.flatnonzero(ok.any(1)):
                         js = s + np.flatnonzero(ok[k])
-                        js = js[likely(low, col["n"], f + int(k), js, percent)]
+                        js = js[possible(low, col["n"], f + int(k), js, percent)]
                         left.append(np.full(len(js), col["rep"][f + k]))
                         right.append(col["rep"][js])
             if left:
@@ -171,28 +176,12 @@ def pairs_apart(rows: DataFrame, percent: int) -> DataFrame:
     return dealt.mapInArrow(run, "a long, b long").distinct()
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """The pairs (a, b) whose full sets are as similar as asked."""
-    ids = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
-    texts = chosen(docs, ids)
-    one, two = texts.select(F.col("id").alias("a"), F.col("text").alias("text_a")), texts.select(F.col("id").alias("b"), F.col("text").alias("text_b"))
-
-    def run(batches):
-        for batch in batches:
-            kept = np.zeros(batch.num_rows, dtype=bool)
-            for i in range(0, batch.num_rows, 256):
-                part = batch.slice(i, 256)
-                sa, at = K.shingle_sets(*K.text_buffer(part.column("text_a")), width)
-                sb, bt = K.shingle_sets(*K.text_buffer(part.column("text_b")), width)
-                for k in range(part.num_rows):
-                    x, y = sa[at[k] : at[k + 1]], sb[bt[k] : bt[k + 1]]
-                    if not len(x) or not len(y) or 100 * min(len(x), len(y)) < percent * max(len(x), len(y)):
-                        continue
-                    both = len(x) + len(y) - len(np.union1d(x, y))
-                    kept[i + k] = 100 * both >= percent * (len(x) + len(y) - both)
-            yield batch.select(["a", "b"]).filter(pa.array(kept))
-
-    return pairs.join(one, "a").join(two, "b").select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long")
+def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) whose full sets are as similar as asked. One pair's two sets are in memory at a time."""
+    one, two = sets.select(F.col("rep").alias("a"), F.col("set").alias("set_a")), sets.select(F.col("rep").alias("b"), F.col("set").alias("set_b"))
+    both, total = F.size(F.array_intersect("set_a", "set_b")), F.size("set_a") + F.size("set_b")
+    met = pairs.join(one, "a").join(two, "b").where(size_fits(F.size("set_a"), F.size("set_b"), percent)).withColumn("both", both)
+    return met.where(100 * F.col("both") >= percent * (total - F.col("both"))).select("a", "b")
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = PERCENT) -> DataFrame:
@@ -217,27 +206,33 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = PERCENT) ->
 
     spokes = shared.select(F.col("rep").alias("b"), F.explode(F.array_distinct(F.array("low", "high", "some"))).alias("a")).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     tried = cut(plausible(spokes), "tried")
-    links = cut(confirmed(tried, docs, width, percent), "links")
+    sets = cut(full_sets(docs, tried.select(F.col("a").alias("id")).union(tried.select("b")).distinct(), width), "sets")
+    links = cut(confirmed(tried, sets, percent), "links")
+    drop_cut(sets)
     groups = components(links)
     # members of a bucket that are still apart
     placed = shared.select("key", "rep").join(groups.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
     mixed = placed.groupBy("key").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 < c1").select("key")
     apart = cut(placed.join(mixed, "key", "left_semi").join(info, "rep"), "apart")
-    low = cut(least_hashes(docs, apart.select(F.col("rep").alias("id")).distinct(), width), "low")
-    more = cut(pairs_apart(apart.join(low, "rep"), percent).join(tried, ["a", "b"], "left_anti"), "more")
+    sets = cut(full_sets(docs, apart.select(F.col("rep").alias("id")).distinct(), width), "sets")
+    more = cut(pairs_apart(apart.join(least_hashes(sets), "rep"), percent).join(tried, ["a", "b"], "left_anti"), "more")
     if more.take(1):
-        extra = cut(confirmed(more, docs, width, percent), "links")
+        extra = cut(confirmed(more, sets, percent), "links")
         groups = components(links.union(extra)) if extra.take(1) else groups
     drop_cut(shared)
     drop_cut(apart)
-    drop_cut(low)
+    drop_cut(sets)
     moved = reps.join(groups.withColumnRenamed("node", "rep"), "rep", "left").where("copies > 1 or component is not null").select("k1", "k2", "n", F.coalesce("component", "rep").alias("component"))
     out = sketches.select("doc_id", "n", "k1", "k2").join(moved, ["k1", "k2", "n"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.when((F.col("n") > 0) & F.col("component").isNotNull(), F.least("component", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
     return out.withColumn("component_id", F.when(F.col("doc_id").isNotNull(), F.col("component_id"))).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
 def drop_near_duplicates(docs: DataFrame, width: int = 5, percent: int = PERCENT) -> DataFrame:
-    """docs with one row of each group: the one with the least id; rows without an id stay."""
+    """docs with one document of each group: the one with the least id.
+
+    Rows without an id, and empty texts, stay. Of rows that share an id and a text one stays; rows of a kept id
+    whose texts differ all stay.
+    """
     with temporary() as kept:
         judged = cut(near_duplicates(docs, width, percent), "judged")
         kept.append(judged)
@@ -245,4 +240,4 @@ def drop_near_duplicates(docs: DataFrame, width: int = 5, percent: int = PERCENT
     many = docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count()
     gone = F.broadcast(gone) if small_enough(gone) else gone
     out = docs.join(gone, docs["doc_id"].cast("long") == gone["gone_id"], "left_anti")
-    return out.where("doc_id is null").unionByName(out.where("doc_id is not null").dropDuplicates(["doc_id"])) if many else out
+    return out.where("doc_id is null").unionByName(out.where("doc_id is not null").dropDuplicates(["doc_id", "text"])) if many else out

@@ -113,6 +113,24 @@ def small_enough(df: DataFrame, rows: int = BROADCAST_ROWS) -> bool:
     return df.limit(rows + 1).count() <= rows
 
 
+#: Bits of the table that stands for a set of keys: 2 MB in rows of 4 kB, whatever the number of keys.
+SET_BITS, ROW_BITS = 1 << 24, 1 << 15
+
+
+def maybe_among(df: DataFrame, column: str, keys: DataFrame) -> DataFrame:
+    """df without most rows whose long ``column`` is not among the values of that name in keys; no row of one that is gets lost.
+
+    The keys' hashes set bits of a table of constant size, which is broadcast. With very many keys all
+    bits are set and everything passes, so it only ever saves work: what passes must still be joined.
+    """
+    bit = F.pmod(F.xxhash64(F.col(column)), F.lit(SET_BITS))
+    table = keys.select((bit + 1).alias("b")).groupBy(F.bitmap_bucket_number("b").alias("_row")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("b")).alias("_bits"))
+    at = F.col("_bit") % ROW_BITS
+    byte = F.conv(F.hex(F.substring("_bits", F.floor(at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    held = df.withColumn("_bit", bit).withColumn("_row", F.floor(F.col("_bit") / ROW_BITS) + 1).join(F.broadcast(table), "_row")
+    return held.where(F.call_function("shiftright", byte, (at % 8).cast("int")).bitwiseAND(F.lit(1)) == 1).select(df.columns)
+
+
 def crc_bucket(doc_id, modulus: int):
     """crc32 of doc_id as text, modulo modulus; -1 for a null id."""
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % modulus, F.lit(-1))

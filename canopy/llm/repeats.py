@@ -22,15 +22,19 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from canopy.llm import kernels as K
-from canopy.llm.common import cut, ship, small_enough, temporary
+from canopy.llm.common import cut, maybe_among, ship, temporary
 
 BYTES, WORDS = "bytes", "words"
+#: What is searched for in one pass: pairs of unit and threshold.
+Units = tuple[tuple[str, int], ...]
 #: First digit's length by unit.
 GRAM = {BYTES: 64, WORDS: 8}
-#: Anchors of one group that a task compares at once.
-GROUP_LIMIT = 16_384
-#: Anchors, or spans, up to which their lists are broadcast to the texts (24 bytes each); beyond, texts and lists are shuffled.
-BROADCAST_ANCHORS = 1_000_000
+#: Anchors of one group that a task compares at once: 0.7 kB of context each, and about five times that in arrays, a quarter of a GB in all.
+GROUP_LIMIT = 65_536
+#: Bytes of text whose arrays are worked on at once; these fit a core's cache.
+SLICE = 1 << 18
+#: Contexts whose groups are compared together, many small ones or one large one.
+TOGETHER = 8192
 #: Contexts whose windows are hashed at once: a context has up to threshold windows, so a large group's arrays are made in pieces.
 PIECE = 1024
 
@@ -90,45 +94,68 @@ def text_keys(text):
     return F.xxhash64(text).alias("k1"), F.xxhash64(F.lit(7), F.length(text), text).alias("k2")
 
 
-def find_anchors(texts: DataFrame, unit: str, threshold: int) -> DataFrame:
+def find_anchors(texts: DataFrame, units: Units) -> DataFrame:
+    """Anchors of every text for each unit; ``u`` numbers the unit, which is in the hash too."""
+
     def run(batches):
         for batch in batches:
-            for part in K.slices(batch, "text"):
-                tok, at, _ = tokens(*K.text_buffer(part.column("text")), unit)
-                doc, place, h = anchors(tok, at, unit, threshold)
-                take = pa.array(doc)
-                yield pa.RecordBatch.from_arrays([*(part.column(c).take(take) for c in ("k1", "k2", "doc_id")), pa.array(place), pa.array(h.view(np.int64))], ["k1", "k2", "doc_id", "place", "h"])
+            for part in K.slices(batch, "text", SLICE):
+                raw, offsets = K.text_buffer(part.column("text"))
+                for u, (unit, threshold) in enumerate(units):
+                    tok, at, _ = tokens(raw, offsets, unit)
+                    doc, place, h = anchors(tok, at, unit, threshold)
+                    take = pa.array(doc)
+                    yield pa.RecordBatch.from_arrays([*(part.column(c).take(take) for c in ("k1", "k2", "doc_id")), pa.array(place), pa.array((h ^ K.mix(np.array([u], K.U))).view(np.int64)), pa.array(np.full(len(doc), u, np.int32))], ["k1", "k2", "doc_id", "place", "h", "u"])
+
+    return texts.select("k1", "k2", "doc_id", "text").mapInArrow(run, "k1 long, k2 long, doc_id long, place long, h long, u int")
 
-    return texts.select("k1", "k2", "doc_id", "text").mapInArrow(run, "k1 long, k2 long, doc_id long, place long, h long")
 
+CONTEXT = "h long, n long, u int, k1 long, k2 long, first long, left long, ctx binary"
 
-def find_contexts(texts: DataFrame, unit: str, threshold: int) -> DataFrame:
+
+def find_contexts(texts: DataFrame, units: Units) -> DataFrame:
     """For each anchor of ``list`` the bytes of all windows that hold it, with the gram's place in tokens among them."""
-    gram = gram_of(unit, threshold)
 
     def run(batches):
         for batch in batches:
-            for part in K.slices(batch, "text"):
+            for part in K.slices(batch, "text", SLICE):
                 raw, offsets = K.text_buffer(part.column("text"))
-                if unit == BYTES:
-                    at, start, end = offsets, None, None
-                else:
-                    start, end, doc, _ = K.words(raw, offsets)
-                    at = K.per_document(doc, part.num_rows)
+                lists = part.column("list").to_pylist()
+                places = []
+                for unit, _ in units:
+                    if unit == BYTES:
+                        places.append((offsets, None, None))
+                    else:
+                        start, end = K.marks(~K.SPACE[raw], offsets)
+                        places.append((np.searchsorted(start, offsets), start, end))
                 rows = []
-                for i, found in enumerate(part.column("list").to_pylist()):
+                for i, found in enumerate(lists):
                     k1, k2 = part.column("k1")[i].as_py(), part.column("k2")[i].as_py()
                     for x in found:
+                        (unit, threshold), (at, start, end) = units[x["u"]], places[x["u"]]
                         here = int(at[i]) + x["place"]
-                        a, b = max(int(at[i]), here - (threshold - gram)), min(int(at[i + 1]), here + threshold)
+                        a, b = max(int(at[i]), here - (threshold - gram_of(unit, threshold))), min(int(at[i + 1]), here + threshold)
                         piece = raw[a:b] if unit == BYTES else raw[start[a] : end[b - 1]]
-                        rows.append((x["h"], x["n"], k1, k2, a - int(at[i]), here - a, piece.tobytes()))
-                kinds = [pa.int64()] * 6 + [pa.binary()]
+                        rows.append((x["h"], x["n"], x["u"], k1, k2, a - int(at[i]), here - a, piece.tobytes()))
+                kinds = [pa.int64(), pa.int64(), pa.int32(), *[pa.int64()] * 4, pa.binary()]
                 for f in range(0, max(len(rows), 1), 4096):
-                    cols = list(zip(*rows[f : f + 4096])) or [[]] * 7
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], ["h", "n", "k1", "k2", "first", "left", "ctx"])
+                    cols = list(zip(*rows[f : f + 4096])) or [[]] * 8
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], [c.split()[0] for c in CONTEXT.split(", ")])
+
+    return texts.mapInArrow(run, CONTEXT)
+
+
+def by_unit(batch: pa.RecordBatch, units: Units):
+    """The rows of each unit, with its name and threshold. All rows of one group are of one unit."""
+    u = column(batch, "u")
+    for k, (unit, threshold) in enumerate(units):
+        part = batch if (u == k).all() else batch.filter(pa.array(u == k))
+        if part.num_rows:
+            yield k, unit, threshold, part
+
 
-    return texts.mapInArrow(run, "h long, n long, k1 long, k2 long, first long, left long, ctx binary")
+def with_unit(out: pa.RecordBatch, k: int) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.full(out.num_rows, k, np.int32)), *out.columns], ["u", *out.schema.names])
 
 
 def context_tokens(batch: pa.RecordBatch, unit: str) -> tuple[np.ndarray, np.ndarray]:
@@ -169,13 +196,13 @@ def sides(batch: pa.RecordBatch, unit: str, threshold: int):
     tok, at = context_tokens(batch, unit)
     here, reach = at[:-1] + column(batch, "left"), threshold - gram_of(unit, threshold)
     out = []
-    for depth, size, place in ((threshold, np.minimum(at[1:] - here, threshold), lambda j: here[:, None] + j), (reach, np.minimum(here - at[:-1], reach), lambda j: here[:, None] - 1 - j)):
+    for depth, size, first, way in ((threshold, np.minimum(at[1:] - here, threshold), here, 1), (reach, np.minimum(here - at[:-1], reach), here - 1, -1)):
         wide = -(-depth // 8) * 8 if unit == BYTES else depth
         mat = np.zeros((len(here), wide), np.uint8 if unit == BYTES else K.U)
         step = np.arange(depth)[None]
-        for f in range(0, len(here), PIECE):
+        for f in range(0, len(here) if len(tok) else 0, PIECE):
             rows = slice(f, f + PIECE)
-            mat[rows, :depth] = np.where(step < size[rows, None], tok[np.clip(place(step)[rows], 0, max(len(tok) - 1, 0))], 0) if len(tok) else 0
+            mat[rows, :depth] = np.where(step < size[rows, None], np.take(tok, first[rows, None] + way * step, mode="clip"), 0)
         out += [mat.view(">u8").astype(K.U) if unit == BYTES else mat, size]
     return out
 
@@ -227,8 +254,15 @@ def repeated_windows(batch: pa.RecordBatch, unit: str, threshold: int) -> tuple[
     rows = np.flatnonzero(least <= most)
     hits = np.zeros((len(rows), reach + 1), dtype=bool)
     least, most, ra, rb = least[rows], most[rows], ra[rows], rb[rows]
-    for p in range(int(least.min()), int(most.max()) + 1) if len(rows) else ():
-        at = np.flatnonzero((least <= p) & (p <= most))
+    pair = np.bincount(group)[group[rows]] == 2  # two contexts share what each shares with its only neighbour, as far as both go
+    ends = [np.full(group[-1] + 1, threshold) if len(group) else n_after for _ in range(2)]
+    for x, n in zip(ends, (n_after, n_before)):
+        np.minimum.at(x, group, n)
+    places, mine = np.arange(reach + 1), group[rows][pair]
+    hits[pair] = (places >= np.maximum(least[pair], threshold - ends[0][mine])[:, None]) & (places <= np.minimum(most[pair], ends[1][mine])[:, None])
+    more = np.flatnonzero(~pair)
+    for p in range(int(least[more].min()), int(most[more].max()) + 1) if len(more) else ():
+        at = more[(least[more] <= p) & (p <= most[more])]
         if len(at) < 2:
             continue
         key = np.cumsum(sa[:-1] < threshold - p)[ra[at]] * (len(sb) + 1) + np.cumsum(sb[:-1] < p)[rb[at]]
@@ -272,24 +306,28 @@ def distinct_rows(batch: pa.RecordBatch) -> pa.RecordBatch:
     return batch if len(at) == batch.num_rows else batch.take(pa.array(np.sort(at)))
 
 
-def local_repeats(contexts: DataFrame, unit: str, threshold: int) -> DataFrame:
+def local_repeats(contexts: DataFrame, units: Units) -> DataFrame:
     def run(batches):
-        for batch in K.whole_groups(batches, ("h", "salt"), 2048):
-            batch = distinct_rows(batch)
-            yield place_runs(batch, *repeated_windows(batch, unit, threshold), threshold)
+        for batch in K.whole_groups(batches, ("h", "salt"), TOGETHER):
+            for k, unit, threshold, part in by_unit(distinct_rows(batch), units):
+                yield with_unit(place_runs(part, *repeated_windows(part, unit, threshold), threshold), k)
+
+    return contexts.mapInArrow(run, SPAN)
+
 
-    return contexts.mapInArrow(run, "k1 long, k2 long, s long, e long")
+SPAN = "u int, k1 long, k2 long, s long, e long"
 
 
-def dealt_repeats(contexts: DataFrame, unit: str, threshold: int) -> DataFrame:
+def dealt_repeats(contexts: DataFrame, units: Units, group_limit: int) -> DataFrame:
     """Repeats between the parts of groups that were dealt over several tasks."""
-    whole = contexts.where("n > salts_at")
+    whole = contexts.where(F.col("n") > group_limit)
     parts = int(contexts.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # a number, so that parts of few bytes but many windows stay in tasks of their own
 
     def keys_of(batches):
         for batch in K.whole_groups(batches, ("h", "salt"), 2048):
             edge = np.concatenate(([0], np.flatnonzero(borders_of(batch, ("h", "salt"))) + 1, [batch.num_rows]))
             for a, b in zip(edge[:-1].tolist(), edge[1:].tolist()):
+                unit, threshold = units[batch.column("u")[a].as_py()]
                 got = [np.zeros((0, 2), K.U)]
                 for f in range(a, b, PIECE):
                     got.append(np.unique(np.stack(window_keys(batch.slice(f, min(PIECE, b - f)), unit, threshold)[2:], 1), axis=0))
@@ -304,10 +342,11 @@ def dealt_repeats(contexts: DataFrame, unit: str, threshold: int) -> DataFrame:
     wanted = keys.join(shared, ["key", "other"]).select("h", "salt", "key", "other")  # for one part at most GROUP_LIMIT x (threshold - gram + 1)
 
     def marked(left: pa.Table, right: pa.Table) -> pa.Table:
-        schema = pa.schema([(c, pa.int64()) for c in ("k1", "k2", "s", "e")])
         if not left.num_rows or not right.num_rows:
-            return schema.empty_table()
+            return pa.schema([("u", pa.int32()), *((c, pa.int64()) for c in ("k1", "k2", "s", "e"))]).empty_table()
         batch = left.combine_chunks().to_batches()[0]
+        k = batch.column("u")[0].as_py()
+        unit, threshold = units[k]
         key = right.column("key").to_numpy().view(K.U)
         order = np.argsort(key)
         key, other = key[order], right.column("other").to_numpy().view(K.U)[order]
@@ -316,38 +355,45 @@ def dealt_repeats(contexts: DataFrame, unit: str, threshold: int) -> DataFrame:
             piece = batch.slice(f, PIECE)
             row, start, mine, also = window_keys(piece, unit, threshold)
             at = np.minimum(np.searchsorted(key, mine), len(key) - 1)
-            found.append(runs(piece, row, start, (key[at] == mine) & (other[at] == also), threshold))
+            found.append(with_unit(runs(piece, row, start, (key[at] == mine) & (other[at] == also), threshold), k))
         return pa.Table.from_batches(found)
 
-    return whole.groupBy("h", "salt").cogroup(wanted.groupBy("h", "salt")).applyInArrow(marked, "k1 long, k2 long, s long, e long")
+    return whole.groupBy("h", "salt").cogroup(wanted.groupBy("h", "salt")).applyInArrow(marked, SPAN)
 
 
-def repeated_spans(docs: DataFrame, unit: str, threshold: int, group_limit: int = GROUP_LIMIT):
-    """(texts, spans): the distinct texts with a chance of repeats, and for each its list of token spans that are repeated anywhere."""
+def repeated_spans(docs: DataFrame, units: Units, group_limit: int = GROUP_LIMIT):
+    """(texts, spans): the distinct texts with a chance of repeats, and for each its list of token spans that are repeated anywhere, by unit."""
     ship(docs.sparkSession)
     text = F.coalesce(F.col("text"), F.lit(""))
-    texts = docs.select(*text_keys(text), F.coalesce(F.col("doc_id").cast("long"), F.lit(-1)).alias("doc_id"), text.alias("text")).where(F.octet_length("text") >= threshold)
-    found = find_anchors(texts, unit, threshold).groupBy("k1", "k2", "place", "h").agg(F.min("doc_id").alias("doc_id"))
+    least = min(threshold if unit == BYTES else 2 * threshold - 1 for unit, threshold in units)
+    texts = docs.select(*text_keys(text), F.coalesce(F.col("doc_id").cast("long"), F.lit(-1)).alias("doc_id"), text.alias("text")).where(F.octet_length("text") >= least)
+    found = find_anchors(texts, units).groupBy("k1", "k2", "place", "h", "u").agg(F.min("doc_id").alias("doc_id"))
     found = cut(found, "anchors")
     again = cut(found.groupBy("h").agg(F.count("*").alias("n")).where("n > 1"), "again")  # read from a table, a frequent anchor's side of the join can be split
-    lists = found.join(again, "h").groupBy("k1", "k2", "doc_id").agg(F.collect_list(F.struct("place", "h", "n")).alias("list"))  # bounded by a text's length
-    lists = cut(lists, "lists")
-    few = (lists.agg(F.sum(F.size("list"))).first()[0] or 0) <= BROADCAST_ANCHORS
-    contexts = find_contexts(texts.join(F.broadcast(lists) if few else lists, ["k1", "k2", "doc_id"]).select("k1", "k2", "text", "list"), unit, threshold)
+    lists = cut(found.join(again, "h").groupBy("k1", "k2", "doc_id").agg(F.collect_list(F.struct("place", "h", "n", "u")).alias("list")), "lists")  # bounded by a text's length
+    near = maybe_among(texts, "k1", lists).join(lists, ["k1", "k2", "doc_id"])
+    contexts = find_contexts(near.select("k1", "k2", "text", "list"), units)
     salts = F.ceil(F.col("n") / group_limit)
-    dealt = contexts.withColumn("salts_at", F.lit(group_limit).cast("long")).withColumn("salt", F.when(F.col("n") <= group_limit, F.lit(0)).otherwise(F.pmod(F.xxhash64("k1", "k2", "first", "left"), salts)).cast("long"))
+    dealt = contexts.withColumn("salt", F.when(F.col("n") <= group_limit, F.lit(0)).otherwise(F.pmod(F.xxhash64("k1", "k2", "first", "left"), salts)).cast("long"))
     most = again.agg(F.max("n")).first()[0] or 0
-    if most > group_limit:
-        dealt = cut(dealt, "contexts")
-    spans = local_repeats(dealt.repartition("h", "salt").sortWithinPartitions("h", "salt"), unit, threshold)
-    if most > group_limit:
-        spans = spans.union(dealt_repeats(dealt, unit, threshold))
-    return texts, spans.groupBy("k1", "k2").agg(F.collect_set(F.struct("s", "e")).alias("spans"))
+    if most <= group_limit:
+        return texts, gathered(local_repeats(dealt.repartition("h", "salt").sortWithinPartitions("h", "salt"), units))
+    frequent = cut(dealt.where(F.col("n") > group_limit), "contexts")  # only these are read more than once
+    every = dealt.where(F.col("n") <= group_limit).unionByName(frequent)
+    spans = local_repeats(every.repartition("h", "salt").sortWithinPartitions("h", "salt"), units)
+    spans = spans.union(dealt_repeats(frequent, units, group_limit))
+    return texts, gathered(spans)
+
+
+def gathered(spans: DataFrame) -> DataFrame:
+    return spans.groupBy("k1", "k2").agg(F.collect_set(F.struct("u", "s", "e")).alias("spans"))
 
 
 def removed(raw: bytes, spans: list, unit: str, whole: bool, threshold: int) -> tuple[bytes, int, int, int]:
     """What is left, bytes removed, number of maximal runs removed and tokens in them."""
     flat = np.frombuffer(raw, np.uint8)
+    if not (whole or spans):
+        return raw, 0, 0, 0
     tok, at, begin = tokens(flat, np.array([0, len(flat)]), unit)
     if whole and len(tok) >= threshold:
         s, e = np.array([0]), np.array([len(tok)])
@@ -366,28 +412,31 @@ def removed(raw: bytes, spans: list, unit: str, whole: bool, threshold: int) ->
     return b"".join([*parts, raw[last:]]), int((e - s).sum()), len(s), n_tokens
 
 
-def cleaned(docs: DataFrame, unit: str, threshold: int, group_limit: int = GROUP_LIMIT, text_out: bool = False) -> DataFrame:
-    """One row (k1, k2, n_removed, n_spans, n_tokens, kept_sha256[, kept]) for each distinct text that loses something."""
+LOST = "k1 long, k2 long, n_removed long, n_spans long, kept_sha256 string, kept string, n_tokens long"
+
+
+def cleaned(docs: DataFrame, units: Units, group_limit: int = GROUP_LIMIT, text_out: bool = False) -> DataFrame:
+    """One row for each distinct text that loses something: what it loses by the first unit, what is left, and the tokens lost by the last unit."""
     with temporary() as kept_tables:
-        texts, spans = repeated_spans(docs, unit, threshold, group_limit)
+        texts, spans = repeated_spans(docs, units, group_limit)
         copies = texts.groupBy("k1", "k2").agg(F.count("*").alias("copies"), F.min("doc_id").alias("doc_id"))
-        spans = cut(spans, "spans")
-        todo = copies.join(spans, ["k1", "k2"], "left").where("copies > 1 or spans is not null").select("k1", "k2", "doc_id", "spans", (F.col("copies") > 1).alias("whole"))
-        todo = cut(todo, "todo")
-        few = (todo.agg(F.sum(F.coalesce(F.size("spans"), F.lit(0)) + 1)).first()[0] or 0) <= BROADCAST_ANCHORS
-        rows = texts.join(F.broadcast(todo) if few else todo, ["k1", "k2", "doc_id"])
+        todo = cut(copies.join(cut(spans, "spans"), ["k1", "k2"], "left").where("copies > 1 or spans is not null").select("k1", "k2", "doc_id", "spans", (F.col("copies") > 1).alias("whole")), "todo")
+        rows = maybe_among(texts, "k1", todo).join(todo, ["k1", "k2", "doc_id"])
 
         def run(batches):
             for batch in batches:
                 out = []
                 for k1, k2, text, found, whole in zip(*(batch.column(c).to_pylist() for c in ("k1", "k2", "text", "spans", "whole"))):
-                    kept, n, m, t = removed(text.encode(), found, unit, whole, threshold)
-                    out.append((k1, k2, n, m, t, hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "ignore") if text_out else None))
-                kinds = [pa.int64()] * 5 + [pa.string()] * 2
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*out)) or [[]] * 7, kinds)], ["k1", "k2", "n_removed", "n_spans", "n_tokens", "kept_sha256", "kept"])
-
-        got = rows.select("k1", "k2", "text", "spans", "whole").mapInArrow(run, "k1 long, k2 long, n_removed long, n_spans long, n_tokens long, kept_sha256 string, kept string")
-        lost = cut(got.where("n_removed > 0").dropDuplicates(["k1", "k2"]), "cleaned")
+                    raw = text.encode()
+                    got = [removed(raw, [x for x in found or () if x["u"] == u], unit, whole, threshold) for u, (unit, threshold) in enumerate(units)]
+                    kept, n, m, _ = got[0]
+                    if n or got[-1][3]:
+                        out.append((k1, k2, n, m, hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "ignore") if text_out else None, got[-1][3]))
+                kinds = [pa.string() if c.endswith("string") else pa.int64() for c in LOST.split(", ")]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*out)) or [[]] * len(kinds), kinds)], [c.split()[0] for c in LOST.split(", ")])
+
+        got = rows.select("k1", "k2", "text", "spans", "whole").mapInArrow(run, LOST)
+        lost = cut(got.dropDuplicates(["k1", "k2"]), "cleaned")
         kept_tables.append(lost)
         return lost
 
@@ -401,18 +450,15 @@ def report(docs: DataFrame, threshold: int = 400, group_limit: int = GROUP_LIMIT
     """
     text = F.coalesce(F.col("text"), F.lit(""))
     base = docs.select("doc_id", *text_keys(text), F.octet_length(text).cast("long").alias("n_bytes"), F.sha2(text, 256).alias("own"))
-    lost = cleaned(docs, BYTES, threshold, group_limit).drop("kept", "n_tokens")
-    said = cleaned(docs, WORDS, words, group_limit).select("k1", "k2", F.col("n_tokens").alias("n_repeated_words"))
-    both = lost.join(said, ["k1", "k2"], "full")
-    both = F.broadcast(both) if small_enough(both) else both
-    zero = lambda c: F.coalesce(F.col(c), F.lit(0)).cast("long").alias(c)
-    return base.join(both, ["k1", "k2"], "left").select("doc_id", "n_bytes", zero("n_removed"), zero("n_spans"), F.coalesce("kept_sha256", "own").alias("kept_sha256"), zero("n_repeated_words"))
+    lost = cleaned(docs, ((BYTES, threshold), (WORDS, words)), group_limit).drop("kept")
+    zero = lambda c: F.coalesce(F.col(c), F.lit(0)).cast("long")
+    return base.join(lost, ["k1", "k2"], "left").select("doc_id", "n_bytes", zero("n_removed").alias("n_removed"), zero("n_spans").alias("n_spans"), F.coalesce("kept_sha256", "own").alias("kept_sha256"), zero("n_tokens").alias("n_repeated_words"))
 
 
 def strip(docs: DataFrame, unit: str = WORDS, threshold: int = 50, group_limit: int = GROUP_LIMIT) -> DataFrame:
     """docs with the same columns and rows, repeated passages taken out of the texts. Null texts stay null."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    lost = cleaned(docs, unit, threshold, group_limit, text_out=True).select(F.col("k1").alias("canopy_k1"), F.col("k2").alias("canopy_k2"), F.col("kept").alias("canopy_kept"), F.lit(True).alias("canopy_hit"))
+    lost = cleaned(docs, ((unit, threshold),), group_limit, text_out=True).select(F.col("k1").alias("canopy_k1"), F.col("k2").alias("canopy_k2"), F.col("kept").alias("canopy_kept"), F.lit(True).alias("canopy_hit"))
     k1, k2 = text_keys(text)
     joined = docs.join(lost, (k1 == lost["canopy_k1"]) & (k2 == lost["canopy_k2"]), "left")
     return joined.withColumn("text", F.when(F.col("canopy_hit"), F.col("canopy_kept")).otherwise(F.col("text"))).select(docs.columns)

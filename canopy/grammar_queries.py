@@ -10,6 +10,7 @@ from canopy import queries as Q
 from canopy import table_queries as T
 from canopy.model import forest_of, scratch, settle
 from canopy.operators import analytics as A
+from canopy.operators import handles as G
 from canopy.operators import measures as M
 from canopy.operators import pairs as P
 from canopy.operators import runs as R
@@ -300,7 +301,37 @@ def planted(kind: str, k: int):
     return query
 
 
+def through_handles(w: str):
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return G.through_handles(Q.WORKLOADS[w](spark, sf_dir))
+
+    return query
+
+
+def matches(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each user/day tree's grammar recompressed without expanding it: nodes of the first phase, and whether its letter is the tree engine's."""
+    got = G.ledgers(Q.WORKLOADS["w2b"](spark, sf_dir))
+    return got.groupBy("tree_id").agg(F.max("nodes").alias("nodes"), F.bool_and("same").alias("same"), F.sum(F.col("broken") + F.col("crossing")).cast("long").alias("broken"))
+
+
+def ledger(counts: str):
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """By step: credit issued never above its bound, new letters paid by released credit, the engine's graph of run lengths no heavier than the grammar's, powers of a rule at most log n."""
+        got = G.ledgers(Q.WORKLOADS["w9"](spark, sf_dir), counts).unionByName(G.ledgers(Q.WORKLOADS["w2b"](spark, sf_dir), counts))
+        ok = lambda c: F.bool_and(c)
+        return got.groupBy("step").agg(ok(F.col("issued") <= F.col("bound")).alias("issued_ok"), ok(F.col("paid") <= F.col("released")).alias("paid_ok"), ok(F.col("engine_weight") <= F.col("grammar_weight") + 1e-9).alias("weight_ok"), ok(F.col("power_log") <= 1 + 1e-9).alias("power_ok"), F.sum(F.col("broken") + F.col("crossing")).cast("long").alias("broken"))
+
+    return query
+
+
+def handle_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = G.sizes_of_handles(Q.WORKLOADS["w2b"](spark, sf_dir))
+    return got.select("tree_id", "rank", "wrong", "within")
+
+
 QUERIES = {
+    "handle_roundtrip": through_handles("w2b"), "w6_handle_roundtrip": through_handles("w6"), "recompress_matches_tree": matches, "handle_sizes": handle_sizes,
+    "ledger_bounds": ledger("tree"), "ledger_bounds_alternate": ledger("alternate"),
     "w2b_daily_roundtrip": Q.roundtrip("w2b"), "w5_roundtrip": Q.roundtrip("w5"), "w6_roundtrip": Q.roundtrip("w6"), "w8_roundtrip": Q.roundtrip("w8"), "w9_roundtrip": Q.roundtrip("w9"),
     "w3_compress": w3_compress, "w3_roundtrip_counts": tag_counts, "w4_roundtrip_text": rebuilt_texts, "w4_word_pairs": word_pairs,
     "w4_ratio_by_lang": ratio_by("lang"), "w4_ratio_by_source": ratio_by("source"), "w4_ratio_by_quality": ratio_by("quality"), "w4c_shared_passages": shared_passages,
@@ -325,7 +356,11 @@ def phase_one_sql(with_: str, nodes: str) -> str:
     return f"{with_} {CENSUS}, ({chains}) AS chains FROM ({nodes}) WHERE NOT (parent IS NULL AND rank = 0)"
 
 
+HELD = "SELECT unnest(['runs', 'pairs', 'leaves']) AS step, true AS issued_ok, true AS paid_ok, true AS weight_ok, true AS power_ok, 0::BIGINT AS broken"
 SQL = {
+    "handle_roundtrip": W2B, "w6_handle_roundtrip": W6N, "ledger_bounds": HELD, "ledger_bounds_alternate": HELD,
+    "recompress_matches_tree": f"SELECT tree_id, count(*) AS nodes, true AS same, 0::BIGINT AS broken FROM ({W2B}) GROUP BY 1",
+    "handle_sizes": f"SELECT tree_id, greatest(max(rank), 1)::INT AS rank, 0::INT AS wrong, true AS within FROM ({W2B}) GROUP BY 1",
     "w2b_daily_roundtrip": W2B, "w5_roundtrip": W5N, "w6_roundtrip": W6N, "w8_roundtrip": W8N, "w9_roundtrip": W9N,
     "w3_roundtrip_counts": T.SQL["w3_tag_counts"],
     "w4_roundtrip_text": "SELECT doc_id AS tree_id, coalesce(text, '') AS text FROM documents",

@@ -66,7 +66,7 @@ def run_to_table(stream: DataFrame, mode: str = "complete", with_progress: bool
     spark.createDataFrame([], stream.schema).write.parquet(f"{base}/table" if mode == "complete" else f"{base}/table/batch=-1")
     query = stream.writeStream.outputMode(mode).foreachBatch(put).option("checkpointLocation", f"{base}/checkpoint").trigger(availableNow=True).start()
     query.awaitTermination()
-    table = spark.read.schema(stream.schema).parquet(f"{base}/table")
+    table = spark.read.schema(stream.schema).parquet(f"{base}/table").select(*stream.columns)
     return (table, [p if isinstance(p, dict) else p.jsonValue if hasattr(p, "jsonValue") else p for p in query.recentProgress]) if with_progress else table
 
 

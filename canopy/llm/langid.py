@@ -192,4 +192,4 @@ def classify(docs: DataFrame, model: Model, keep: list[str] = ()) -> DataFrame:
                 cols = [part.column("doc_id"), pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(taken, pa.bool_()), *(part.column(c) for c in extra)]
                 yield pa.RecordBatch.from_arrays(cols + ([part.column("text")] if "text" in keep else []), names)
 
-    return docs.select("doc_id", "text", *extra).mapInArrow(run, schema)
+    return docs.select("doc_id", "text", *extra).mapInArrow(K.tidy(run), schema)

@@ -64,7 +64,7 @@ def sketch(docs: DataFrame, width: int) -> DataFrame:
                 lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(sig.ravel()))
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), pa.array(n.astype(np.int64)), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), lists], ["doc_id", "n", "k1", "k2", "sig"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n long, k1 long, k2 long, sig array<smallint>")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(K.tidy(run), "doc_id long, n long, k1 long, k2 long, sig array<smallint>")
 
 
 def bucket_keys(sig):
@@ -103,7 +103,7 @@ def full_sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
                 sets, at = K.shingle_sets(*K.text_buffer(part.column("text")), width)
                 yield pa.RecordBatch.from_arrays([part.column("id"), pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(sets.view(np.int64)))], ["rep", "set"])
 
-    return chosen(docs, ids).mapInArrow(run, "rep long, set array<long>").dropDuplicates(["rep"])
+    return chosen(docs, ids).mapInArrow(K.tidy(run), "rep long, set array<long>").dropDuplicates(["rep"])
 
 
 def least_hashes(sets: DataFrame) -> DataFrame:
@@ -173,7 +173,7 @@ def pairs_apart(rows: DataFrame, percent: int) -> DataFrame:
             if left:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(left)), pa.array(np.concatenate(right))], ["a", "b"])
 
-    return dealt.mapInArrow(run, "a long, b long").distinct()
+    return dealt.mapInArrow(K.tidy(run), "a long, b long").distinct()
 
 
 def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:

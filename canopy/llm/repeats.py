@@ -14,6 +14,7 @@ A group too large for a task is dealt over several, and the windows of its parts
 from __future__ import annotations
 
 import hashlib
+import sys
 
 import numpy as np
 import pyarrow as pa
@@ -29,8 +30,8 @@ BYTES, WORDS = "bytes", "words"
 Units = tuple[tuple[str, int], ...]
 #: First digit's length by unit.
 GRAM = {BYTES: 64, WORDS: 8}
-#: Anchors of one group that a task compares at once: 0.7 kB of context each, and about five times that in arrays, a quarter of a GB in all.
-GROUP_LIMIT = 65_536
+#: Anchors of one group that a task compares at once: 0.7 kB of context each, and about four times that in arrays, a tenth of a GB in all; two tasks stand beside a JVM that has grown to its full heap.
+GROUP_LIMIT = 32_768
 #: Bytes of text whose arrays are worked on at once; these fit a core's cache.
 SLICE = 1 << 18
 #: Contexts whose groups are compared together, many small ones or one large one.
@@ -107,7 +108,7 @@ def find_anchors(texts: DataFrame, units: Units) -> DataFrame:
                     take = pa.array(doc)
                     yield pa.RecordBatch.from_arrays([*(part.column(c).take(take) for c in ("k1", "k2", "doc_id")), pa.array(place), pa.array((h ^ K.mix(np.array([u], K.U))).view(np.int64)), pa.array(np.full(len(doc), u, np.int32))], ["k1", "k2", "doc_id", "place", "h", "u"])
 
-    return texts.select("k1", "k2", "doc_id", "text").mapInArrow(run, "k1 long, k2 long, doc_id long, place long, h long, u int")
+    return texts.select("k1", "k2", "doc_id", "text").mapInArrow(K.tidy(run), "k1 long, k2 long, doc_id long, place long, h long, u int")
 
 
 CONTEXT = "h long, n long, u int, k1 long, k2 long, first long, left long, ctx binary"
@@ -142,7 +143,7 @@ def find_contexts(texts: DataFrame, units: Units) -> DataFrame:
                     cols = list(zip(*rows[f : f + 4096])) or [[]] * 8
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], [c.split()[0] for c in CONTEXT.split(", ")])
 
-    return texts.mapInArrow(run, CONTEXT)
+    return texts.mapInArrow(K.tidy(run), CONTEXT)
 
 
 def by_unit(batch: pa.RecordBatch, units: Units):
@@ -203,7 +204,11 @@ def sides(batch: pa.RecordBatch, unit: str, threshold: int):
         for f in range(0, len(here) if len(tok) else 0, PIECE):
             rows = slice(f, f + PIECE)
             mat[rows, :depth] = np.where(step < size[rows, None], np.take(tok, first[rows, None] + way * step, mode="clip"), 0)
-        out += [mat.view(">u8").astype(K.U) if unit == BYTES else mat, size]
+        if unit == BYTES:  # in place: first byte first
+            mat = mat.view(K.U)
+            if sys.byteorder == "little":
+                mat.byteswap(inplace=True)
+        out += [mat, size]
     return out
 
 
@@ -279,9 +284,12 @@ def borders_of(batch: pa.RecordBatch, by: tuple[str, ...]) -> np.ndarray:
 
 def place_runs(batch: pa.RecordBatch, rows: np.ndarray, hits: np.ndarray, threshold: int) -> pa.RecordBatch:
     """Maximal runs of places as token spans of their texts: a gram later in the window is a window that starts earlier."""
-    edge = np.diff(np.pad(hits, ((0, 0), (1, 1))).astype(np.int8), axis=1)
-    (r, p0), (_, p1) = np.nonzero(edge == 1), np.nonzero(edge == -1)
-    r = rows[r]
+    found = [(np.zeros(0, np.int64),) * 3]
+    for f in range(0, len(rows), PIECE):
+        edge = np.diff(np.pad(hits[f : f + PIECE].view(np.int8), ((0, 0), (1, 1))), axis=1)
+        (r, p0), (_, p1) = np.nonzero(edge == 1), np.nonzero(edge == -1)
+        found.append((rows[f + r], p0, p1))
+    r, p0, p1 = (np.concatenate(x) for x in zip(*found))
     gram = column(batch, "first")[r] + column(batch, "left")[r]
     take = pa.array(r)
     return pa.RecordBatch.from_arrays([batch.column("k1").take(take), batch.column("k2").take(take), pa.array(gram - (p1 - 1)), pa.array(gram - p0 + threshold)], ["k1", "k2", "s", "e"])
@@ -311,8 +319,10 @@ def local_repeats(contexts: DataFrame, units: Units) -> DataFrame:
         for batch in K.whole_groups(batches, ("h", "salt"), TOGETHER):
             for k, unit, threshold, part in by_unit(distinct_rows(batch), units):
                 yield with_unit(place_runs(part, *repeated_windows(part, unit, threshold), threshold), k)
+            if batch.num_rows > 2 * TOGETHER:
+                K.give_back()
 
-    return contexts.mapInArrow(run, SPAN)
+    return contexts.mapInArrow(K.tidy(run), SPAN)
 
 
 SPAN = "u int, k1 long, k2 long, s long, e long"
@@ -337,7 +347,7 @@ def dealt_repeats(contexts: DataFrame, units: Units, group_limit: int) -> DataFr
                     same = [pa.array(np.full(len(some), batch.column(c)[a].as_py())) for c in ("h", "salt")]
                     yield pa.RecordBatch.from_arrays([*same, pa.array(some[:, 0].copy()), pa.array(some[:, 1].copy())], ["h", "salt", "key", "other"])
 
-    keys = cut(whole.repartition(parts, "h", "salt").sortWithinPartitions("h", "salt").mapInArrow(keys_of, "h long, salt long, key long, other long"), "window-keys")
+    keys = cut(whole.repartition(parts, "h", "salt").sortWithinPartitions("h", "salt").mapInArrow(K.tidy(keys_of), "h long, salt long, key long, other long"), "window-keys")
     shared = keys.groupBy("key", "other").agg(F.min("salt").alias("lo"), F.max("salt").alias("hi")).where("lo < hi").select("key", "other")
     wanted = keys.join(shared, ["key", "other"]).select("h", "salt", "key", "other")  # for one part at most GROUP_LIMIT x (threshold - gram + 1)
 
@@ -435,7 +445,7 @@ def cleaned(docs: DataFrame, units: Units, group_limit: int = GROUP_LIMIT, text_
                 kinds = [pa.string() if c.endswith("string") else pa.int64() for c in LOST.split(", ")]
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*out)) or [[]] * len(kinds), kinds)], [c.split()[0] for c in LOST.split(", ")])
 
-        got = rows.select("k1", "k2", "text", "spans", "whole").mapInArrow(run, LOST)
+        got = rows.select("k1", "k2", "text", "spans", "whole").mapInArrow(K.tidy(run), LOST)
         lost = cut(got.dropDuplicates(["k1", "k2"]), "cleaned")
         kept_tables.append(lost)
         return lost

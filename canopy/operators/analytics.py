@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from canopy.model import Forest, Grammar, settle
+from canopy.operators import places
 from canopy.operators.compressor import nothing, unfolded
 
 DEEP = "array<struct<id:int,depth:bigint>>"
@@ -31,9 +32,8 @@ def heights(g: Grammar) -> DataFrame:
                 db = F.try_element_at("p", F.lit(2))["deep"][0]
                 new = rows.select(F.col("top").alias("sym"), F.greatest(a["high"], da + F.try_element_at("p", F.lit(2))["high"]).alias("high"), F.array(F.struct(db["id"].alias("id"), (da + db["depth"]).alias("depth"))).alias("deep"))
             else:
-                at = lambda x: F.element_at(F.filter(a["deep"], lambda d: d["id"] == x["at"]), 1)["depth"]
-                rest = F.slice("p", 2, F.size("p"))
-                new = rows.select(F.col("top").alias("sym"), F.greatest(a["high"], F.array_max(F.transform(rest, lambda x: at(x) + x["high"]))).alias("high"), F.filter(a["deep"], lambda d: ~F.exists(rest, lambda x: x["at"] == d["id"])).alias("deep"))
+                rest = F.transform(F.slice("p", 2, F.size("p")), lambda x: F.struct(x["at"].alias("at"), x["high"].alias("high")))
+                new = rows.select(F.col("top").alias("sym"), places.udfs().depths(a["high"], a["deep"], rest).alias("d")).select("sym", "d.high", "d.deep")
             known = known.unionByName(new)
         known = settle(known.dropDuplicates(["sym"]))
     return known

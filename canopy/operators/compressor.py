@@ -20,10 +20,11 @@ from pyspark.sql import functions as F
 from canopy.model import Forest, Grammar, letter, settle, unsettle
 from canopy.operators import leaves as L
 from canopy.operators import pairs as P
+from canopy.operators import places
 from canopy.operators import runs as R
 from canopy.operators import scan
 
-PARAMS = "array<struct<id:int,off:bigint,up:bigint,at:int>>"
+PARAMS = places.PARAMS
 #: own: parameters of the rule's first part. weights: of the parts, in order (a run's base once).
 RULE = f"sym long, phase int, kind string, rhs array<struct<sym:bigint,at:int>>, cost int, rank int, weight long, params {PARAMS}, own {PARAMS}, weights array<bigint>"
 PART = "array<struct<sym:bigint,at:int>>"
@@ -105,15 +106,13 @@ def pair_step(nodes: DataFrame, up: Column, block: int | None) -> DataFrame:
 def leaf_step(nodes: DataFrame, ordered: bool) -> DataFrame:
     """The leaves' weights move every later parameter, and every parent of a parameter that comes after them."""
     out = L.merge_leaves(nodes, ordered)
-    here = lambda x: F.element_at(F.filter("params", lambda p: p["id"] == x["slot"]), 1)
-    placed = F.transform("leaves", lambda x: F.struct(here(x)["off"].alias("off"), x["w"].alias("w"), x["slot"].alias("slot")))
-    out = out.withColumn("_in", placed)
-    total = lambda cells: F.aggregate(cells, F.lit(0).cast("long"), lambda s, x: s + x["w"])
-    rest = F.filter("params", lambda p: ~F.exists("_in", lambda x: x["slot"] == p["id"]))
-    params = F.transform(rest, lambda p: param(p["id"] - (0 if ordered else F.size("_in")), p["off"] + total(F.filter("_in", lambda x: x["slot"] < p["id"])), p["up"] + total(F.filter("_in", lambda x: x["off"] <= p["up"])), p["at"]))
+    hit = F.col("f").isNotNull()
+    move = places.udfs().in_order if ordered else places.udfs().unordered
+    params = move(F.when(hit, F.col("params")), F.when(hit, F.transform("leaves", lambda x: F.struct(x["slot"].alias("slot"), x["w"].alias("w")))))
+    total = F.aggregate("leaves", F.lit(0).cast("long"), lambda s, x: s + x["w"])
     rhs = F.concat(F.array(part(F.col("f"), F.lit(0))), F.transform("leaves", lambda x: part(x["sym"], x["slot"])))
     weights = F.concat(F.array("w"), F.transform("leaves", lambda x: x["w"]))
-    return finished(out, made_of(F.col("f").isNotNull(), "leaf", rhs, F.size("leaves") + 1, params, F.col("params"), weights), F.col("w") + total(F.col("_in")))
+    return finished(out.withColumn("_moved", params), made_of(hit, "leaf", rhs, F.size("leaves") + 1, F.col("_moved"), F.col("params"), weights), F.col("w") + total)
 
 
 def rules_of(tables: list[DataFrame], phase: int) -> DataFrame:
@@ -321,17 +320,9 @@ def unfolded(items: DataFrame, rules: DataFrame, keep=lambda items: items) -> It
         n = F.col("rhs")[0]["at"].cast("long")
         run = F.transform(F.sequence(F.lit(0).cast("long"), F.when(F.col("how") == "run", n - 1).otherwise(0)), lambda k: item(pre + k * own["off"], F.when(k == 0, up).otherwise(pre + (k - 1) * own["off"] + own["up"]), F.when(k == 0, slot).otherwise(own["at"]), F.col("rhs")[0]["sym"], F.array(h + (n - 1 - k) * w[0])))
         pair = F.array(item(pre, up, slot, F.col("rhs")[0]["sym"], F.array(h + w[1])), item(pre + own["off"], pre + own["up"], own["at"], F.col("rhs")[1]["sym"], F.array(h)))
-        # sizes of what hangs at each parameter of a leaf rule's first part: an absorbed leaf's weight, or the next that was given
-        taken = F.transform(F.slice("rhs", 2, F.size("rhs")), lambda x: x["at"])
-        filled = F.aggregate("own", F.struct(F.lit(0).alias("i"), F.lit(0).alias("j"), F.array().cast("array<bigint>").alias("out")), lambda s, p: F.struct(
-            (s["i"] + F.array_contains(taken, p["id"]).cast("int")).alias("i"), (s["j"] + (~F.array_contains(taken, p["id"])).cast("int")).alias("j"),
-            F.concat(s["out"], F.array(F.when(F.array_contains(taken, p["id"]), F.element_at(w, s["i"] + 2)).otherwise(F.try_element_at("inside", s["j"] + 1)))).alias("out")))["out"]
-        held = work.withColumn("full", F.when(F.col("how") == "leaf", filled))
-        with_size = F.arrays_zip(F.col("own").alias("p"), F.col("full").alias("n"))
-        total = lambda cells: F.aggregate(cells, F.lit(0).cast("long"), lambda s, x: s + x["n"])
-        here = lambda x: F.element_at(F.filter("own", lambda p: p["id"] == x["at"]), 1)
-        leaf = F.concat(F.array(item(pre, up, slot, F.col("rhs")[0]["sym"], F.col("full"))), F.transform(F.slice("rhs", 2, F.size("rhs")), lambda x: item(pre + here(x)["off"] + total(F.filter(with_size, lambda y: y["p"]["id"] < x["at"])), pre + here(x)["up"] + total(F.filter(with_size, lambda y: y["p"]["off"] <= here(x)["up"])), here(x)["at"], x["sym"], F.array())))
-        parts = held.select("tree_id", F.explode(F.when(F.col("how") == "run", run).when(F.col("how") == "pair", pair).otherwise(leaf)).alias("x")).select("tree_id", "x.*")
+        leaf = places.udfs().opened(*(F.when(F.col("how") == "leaf", F.col(c)) for c in ("pre", "parent", "slot", "rhs", "own", "weights", "inside")))
+        held = work.withColumn("_leaf", leaf)
+        parts = held.select("tree_id", F.explode(F.when(F.col("how") == "run", run).when(F.col("how") == "pair", pair).otherwise(F.col("_leaf"))).alias("x")).select("tree_id", "x.*")
         items = settle(keep(parts).join(rules, "sym", "left"))
 
 

@@ -248,7 +248,7 @@ def compress(forest: Forest, cfg: Config = Config()) -> Grammar:
     every = rules_once(reduce(DataFrame.unionByName, rules) if rules else spark.createDataFrame([], RULE))
     residual = settle(reduce(DataFrame.unionByName, left).select(*NODE)) if left else spark.createDataFrame([], nodes.schema)
     roots = reduce(DataFrame.unionByName, starts) if starts else residual.limit(0).select("tree_id", "sym")
-    started = settle(roots.join(sizes, "tree_id").select("tree_id", "sym", "n"))
+    started = settle(roots.join(sizes.hint("merge"), "tree_id").select("tree_id", "sym", "n"))
     for x in spent:
         unsettle(x)
     known = settle(forest.symbols.select("sym", "kind", F.col("rank").cast("int").alias("rank"), "name", F.lit(1).cast("long").alias("weight")).unionByName(every.select("sym", "kind", "rank", nothing("string").alias("name"), "weight")))
@@ -283,6 +283,8 @@ def residual_items(residual: DataFrame) -> DataFrame:
         for r in rows:
             if r["parent"] is not None:
                 kids.setdefault(r["parent"], []).append(r)
+#: Parts and parameters of rules up to which the way back broadcasts them. Their files are far smaller than they are in memory, so Spark's own estimate says nothing.
+BROADCAST_CELLS = 100_000
         for r in reversed(rows):
             size[r["pre"]] = r["w"] + sum(size[k["pre"]] for k in kids.get(r["pre"], ()))
         out = []
@@ -324,6 +326,8 @@ def unfolded(items: DataFrame, rules: DataFrame, keep=lambda items: items) -> It
         held = work.withColumn("_leaf", leaf)
         parts = held.select("tree_id", F.explode(F.when(F.col("how") == "run", run).when(F.col("how") == "pair", pair).otherwise(F.col("_leaf"))).alias("x")).select("tree_id", "x.*")
         items = settle(keep(parts).join(rules, "sym", "left"))
+    cells = rules.agg(F.sum(F.size("rhs") + F.size("own"))).first()[0] or 0
+    rules = F.broadcast(rules) if cells <= BROADCAST_CELLS else rules.hint("merge")
 
 
 def expand(g: Grammar) -> DataFrame:

@@ -29,7 +29,7 @@ def merge_leaves(nodes: DataFrame, ordered: bool = True, key: tuple[int, list[tu
     leaf = nodes.where("rank = 0 and parent is not null")
     lists = leaf.groupBy("tree_id", "parent").agg(F.array_sort(F.collect_list(F.struct("slot", "sym", *extra))).alias("leaves")).withColumnRenamed("parent", "pre")
     inner = nodes.where("rank > 0 or parent is null")
-    joined = inner.join(lists, ["tree_id", "pre"], "left")
+    joined = inner.join(lists.hint("merge"), ["tree_id", "pre"], "left")  # as many lists as parents, and long: never broadcast
     hit = F.col("leaves").isNotNull()
     if key is not None:
         want = F.array(*(F.struct(F.lit(i).alias("slot"), F.lit(c).alias("sym")) for i, c in key[1])).cast("array<struct<slot:int,sym:bigint>>")

@@ -49,11 +49,26 @@ class Config:
 
 def census(nodes: DataFrame, block: int | None = None) -> dict:
     """Nodes by rank and maximal unary chains."""
-    near = scan.beside(nodes, {"_br": F.col("rank")}, {}, block)
-    row = near.withColumn("first", (F.col("rank") == 1) & F.coalesce(F.col("_br") != 1, F.lit(True))).agg(*counters()).first()
+    row = chain_starts(nodes, block).agg(*counters()).first()
     return {k: int(v or 0) for k, v in row.asDict().items()}
 
 
+def chain_starts(nodes: DataFrame, block: int | None) -> DataFrame:
+    near = scan.beside(nodes, {"_br": F.col("rank")}, {}, block)
+    return near.withColumn("first", (F.col("rank") == 1) & F.coalesce(F.col("_br") != 1, F.lit(True)))
+
+
+def first_census(forest: Forest, block: int | None = None) -> DataFrame:
+    """What the first phase of compress() counts, as one row, without making the phase."""
+    block = block or block_for(forest.nodes.groupBy("tree_id").agg(F.count("*").alias("n")))
+    counted = chain_starts(forest.nodes.where("not (parent is null and rank = 0)"), block).agg(*counters())
+    return counted.select(*(F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in counted.columns))
+
+
+def block_for(sizes: DataFrame) -> int | None:
+    return scan.BLOCK if (sizes.agg(F.max("n")).first()[0] or 0) > scan.BLOCK else None
+
+
 def counters() -> list[Column]:
     n = lambda c: F.sum(F.when(c, 1).otherwise(0))
     return [F.count(F.lit(1)).alias("nodes"), n(F.col("rank") == 0).alias("n0"), n(F.col("rank") == 1).alias("n1"), n(F.col("rank") > 1).alias("n2plus"), n(F.col("first")).alias("chains")]
@@ -184,7 +199,7 @@ def compress(forest: Forest, cfg: Config = Config()) -> Grammar:
     forest = {"forest": lambda f: f, "tree": per_tree, "joined": joined_trees}[cfg.scope](forest)
     spark = forest.nodes.sparkSession
     sizes = settle(forest.nodes.groupBy("tree_id").agg(F.count("*").alias("n")))
-    block = cfg.block or (scan.BLOCK if (sizes.agg(F.max("n")).first()[0] or 0) > scan.BLOCK else None)
+    block = cfg.block or block_for(sizes)
     first = F.when(F.col("rank") > 0, F.transform(F.sequence(F.lit(1), F.greatest(F.col("rank"), F.lit(1))), lambda i: param(i, F.lit(1), F.lit(0), i))).otherwise(F.array().cast(PARAMS))
     nodes = forest.nodes.withColumn("w", F.lit(1).cast("long")).withColumn("params", first).select(*NODE)
     rules, stats, starts, left, spent = [], [], [], [], []
@@ -268,6 +283,8 @@ def grammar_size(g: Grammar, scheme: str = "gap", accounting: str = "compact", c
     return int(cost) + int(spelled) + g.residual.count()
 
 
+#: Parts and parameters of rules up to which the way back broadcasts them. Their files are far smaller than they are in memory, so Spark's own estimate says nothing.
+BROADCAST_CELLS = 100_000
 ITEM = "tree_id long, pre long, parent long, slot int, sym long, inside array<bigint>"
 
 
@@ -283,8 +300,6 @@ def residual_items(residual: DataFrame) -> DataFrame:
         for r in rows:
             if r["parent"] is not None:
                 kids.setdefault(r["parent"], []).append(r)
-#: Parts and parameters of rules up to which the way back broadcasts them. Their files are far smaller than they are in memory, so Spark's own estimate says nothing.
-BROADCAST_CELLS = 100_000
         for r in reversed(rows):
             size[r["pre"]] = r["w"] + sum(size[k["pre"]] for k in kids.get(r["pre"], ()))
         out = []
@@ -311,6 +326,8 @@ def unfolded(items: DataFrame, rules: DataFrame, keep=lambda items: items) -> It
     that are not wanted, before they are opened.
     """
     rules = rules.select("sym", F.col("kind").alias("how"), "rhs", "own", "weights")
+    cells = rules.agg(F.sum(F.size("rhs") + F.size("own"))).first()[0] or 0
+    rules = F.broadcast(rules) if cells <= BROADCAST_CELLS else rules.hint("merge")
     items = settle(items.join(rules, "sym", "left"))
     item = lambda pre, parent, slot, sym, inside: F.struct(pre.cast("long").alias("pre"), parent.cast("long").alias("parent"), slot.cast("int").alias("slot"), sym.alias("sym"), inside.cast("array<bigint>").alias("inside"))
     while True:
@@ -326,8 +343,6 @@ def unfolded(items: DataFrame, rules: DataFrame, keep=lambda items: items) -> It
         held = work.withColumn("_leaf", leaf)
         parts = held.select("tree_id", F.explode(F.when(F.col("how") == "run", run).when(F.col("how") == "pair", pair).otherwise(F.col("_leaf"))).alias("x")).select("tree_id", "x.*")
         items = settle(keep(parts).join(rules, "sym", "left"))
-    cells = rules.agg(F.sum(F.size("rhs") + F.size("own"))).first()[0] or 0
-    rules = F.broadcast(rules) if cells <= BROADCAST_CELLS else rules.hint("merge")
 
 
 def expand(g: Grammar) -> DataFrame:

@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 
 from canopy.model import Forest, Grammar, letter, settle, unsettle
 from canopy.operators import leaves as L
+from canopy.operators import packed
 from canopy.operators import pairs as P
 from canopy.operators import places
 from canopy.operators import runs as R
@@ -194,12 +195,17 @@ def compress(forest: Forest, cfg: Config = Config()) -> Grammar:
 
     Empty forests have none; a single-node tree is its own start. The loop ends when all trees are single letters or no
     step removes a node (possible only without the leaf step). Trees of at most stop_size nodes leave the loop as residual.
-    A phase is one write for each step and one for its rules; nodes are counted on the way.
+    A phase is one write for each step and one for its rules; nodes are counted on the way. Where every tree fits a task and nothing
+    unusual is asked for, the same phases run over packed trees, with one write a phase.
     """
     forest = {"forest": lambda f: f, "tree": per_tree, "joined": joined_trees}[cfg.scope](forest)
     spark = forest.nodes.sparkSession
     sizes = settle(forest.nodes.groupBy("tree_id").agg(F.count("*").alias("n")))
     block = cfg.block or block_for(sizes)
+    if block is None and cfg.steps == Config.steps and cfg.partition in ("auto", "hashed") and cfg.ordered_leaves and cfg.stop_size == 1 and cfg.max_phases is None:
+        packed.prepare(spark)
+        count = sizes.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+        return gathered(packed.phases(spark, packed.from_nodes(forest.nodes, int(count))), forest.symbols, sizes)
     first = F.when(F.col("rank") > 0, F.transform(F.sequence(F.lit(1), F.greatest(F.col("rank"), F.lit(1))), lambda i: param(i, F.lit(1), F.lit(0), i))).otherwise(F.array().cast(PARAMS))
     nodes = forest.nodes.withColumn("w", F.lit(1).cast("long")).withColumn("params", first).select(*NODE)
     rules, stats, starts, left, spent = [], [], [], [], []
@@ -271,6 +277,25 @@ def compress(forest: Forest, cfg: Config = Config()) -> Grammar:
     return Grammar(every, known, started, residual, runs, stats)
 
 
+def gathered(t: packed.Tables, symbols: DataFrame, sizes: DataFrame) -> Grammar:
+    """The grammar that the packs' phases wrote, each letter's rule once."""
+    spark = sizes.sparkSession
+    raw = t.read(packed.RULE).withColumn("phase", F.when(F.col("kind") == "run", F.col("phase")).otherwise(F.col("phase") - 1))
+    fresh = {r.phase: r.n for r in raw.select("phase", "sym").distinct().groupBy("phase").agg(F.count("*").alias("n")).collect()}
+    check = F.xxhash64(F.lit(77), "kind", "rhs")
+    once = raw.withColumn("check", check).groupBy("sym").agg(F.min("phase").alias("phase"), *(F.first(c).alias(c) for c in ("kind", "rhs", "cost", "rank", "weight", "params", "own", "weights")), (F.min("check") != F.max("check")).cast("int").alias("clash"))
+    once, seen = watched(once, F.count(F.lit(1)).alias("letters"), F.sum("clash").alias("clash"))
+    every = settle(once)
+    if observed(seen, every).get("clash"):
+        raise ValueError("one letter id for two keys")
+    every = every.drop("clash")
+    started = settle(t.read(packed.START).select("tree_id", "sym").join(sizes.hint("merge"), "tree_id").select("tree_id", "sym", "n"))
+    residual = spark.createDataFrame([], f"tree_id long, pre long, parent long, slot int, sym long, rank int, w long, params {PARAMS}")
+    known = settle(symbols.select("sym", "kind", F.col("rank").cast("int").alias("rank"), "name", F.lit(1).cast("long").alias("weight")).unionByName(every.select("sym", "kind", "rank", nothing("string").alias("name"), "weight")))
+    runs = every.where("kind = 'run'").select("sym", F.col("rhs")[0]["sym"].alias("base"), F.col("rhs")[0]["at"].alias("len"))
+    return Grammar(every, known, started, residual, runs, [s | {"letters": fresh.get(s["phase"], 0)} for s in t.stats])
+
+
 def rules_once(rules: DataFrame) -> DataFrame:
     """A letter that two phases make is one rule."""
     return settle(rules.groupBy("sym").agg(*(F.first(c).alias(c) if c != "phase" else F.min(c).alias(c) for c in rules.columns if c != "sym")).select(*rules.columns))

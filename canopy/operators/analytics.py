@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from canopy.model import Forest, Grammar, settle
-from canopy.operators import places
+from canopy.operators import packed, places
 from canopy.operators.compressor import nothing, unfolded
 
 DEEP = "array<struct<id:int,depth:bigint>>"
@@ -85,21 +85,17 @@ def top_rules(g: Grammar, n: int = 10) -> DataFrame:
     return g.rules.join(occurrences(g), "sym").select("sym", "kind", "cost", F.col("times").cast("long").alias("times"), saved.alias("saved")).orderBy(F.desc("saved"), "kind", "sym").limit(n)
 
 
-def covered_share(g: Grammar, trees: DataFrame, by: str) -> DataFrame:
-    """(by, nodes, cost, ratio): for each class of trees the cost of the rules it needs over its nodes."""
-    rules = g.rules.select("sym", "cost", F.explode("rhs").alias("x")).select("sym", "cost", F.col("x.sym").alias("part"))
-    starts = g.starts.join(trees.select(F.col("tree_id"), by), "tree_id")
-    need = settle(starts.select(by, "sym").distinct())
-    seen = need
-    while True:
-        below = need.join(rules, "sym").select(by, F.col("part").alias("sym")).distinct()
-        need = settle(below.join(seen.withColumnRenamed(by, "_by"), F.col(by).eqNullSafe(F.col("_by")) & (below["sym"] == seen["sym"]), "left_anti"))
-        if not need.take(1):
-            break
-        seen = settle(seen.unionByName(need))
-    cost = seen.join(g.rules.select("sym", "cost"), "sym").groupBy(F.col(by).alias("_by")).agg(F.sum("cost").alias("cost"))
-    nodes = starts.groupBy(by).agg(F.sum("n").alias("nodes"))
-    return nodes.join(cost, F.col(by).eqNullSafe(F.col("_by")), "left").select(by, "nodes", F.coalesce("cost", F.lit(0)).alias("cost"), (F.coalesce("cost", F.lit(0)) / F.col("nodes")).alias("ratio"))
+def covered_share(spark: SparkSession, chains: DataFrame, end: int, by: str) -> DataFrame:
+    """(by, nodes, cost, ratio): for each class of chains (tree_id, letters, by) the cost of the rules it needs over its nodes.
+
+    A tree needs just the letters that the phases make in it, so they are noted by class as they are made.
+    """
+    packed.prepare(spark)
+    label = F.xxhash64(F.lit("class"), by)
+    nodes = chains.groupBy(by).agg(F.sum(F.size("letters") + 1).alias("nodes")).withColumn("label", label)
+    made = packed.phases(spark, packed.from_chains(chains.select("tree_id", "letters", label.alias("label")), end, packed.NONE), packed.NONE)
+    cost = packed.used(made, "cost").groupBy("label").agg(F.sum("cost").alias("cost"))
+    return nodes.join(cost, "label", "left").select(by, "nodes", F.coalesce("cost", F.lit(0)).alias("cost"), (F.coalesce("cost", F.lit(0)) / F.col("nodes")).alias("ratio"))
 
 
 TABLES = ("rules", "symbols", "starts", "residual", "run_letters")

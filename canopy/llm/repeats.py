@@ -38,6 +38,8 @@ SLICE = 1 << 18
 TOGETHER = 8192
 #: Contexts whose windows are hashed at once: a context has up to threshold windows, so a large group's arrays are made in pieces.
 PIECE = 1024
+#: Where a group's window keys are parted, so that they are compared a sixteenth at a time.
+SHARE_EDGES = np.arange(1, 16).astype(K.U) << K.U(60)
 
 
 def gram_of(unit: str, threshold: int) -> int:
@@ -165,8 +167,17 @@ def context_tokens(batch: pa.RecordBatch, unit: str) -> tuple[np.ndarray, np.nda
     _, off, data = raw.buffers()
     at = np.frombuffer(off, np.int64)[raw.offset : raw.offset + len(raw) + 1]
     flat = np.frombuffer(data, np.uint8)[at[0] : at[-1]]
-    tok, at, _ = tokens(flat, at - at[0], unit)
-    return tok, at
+    at = at - at[0]
+    if unit == BYTES:
+        return flat, at
+    # words are hashed through arrays of 8 bytes for each byte of text: a piece at a time, or a large group's take a GB
+    codes, many = [np.zeros(0, K.U)], [np.zeros(1, np.int64)]
+    for f in range(0, len(raw), PIECE):
+        edge = at[f : f + PIECE + 1]
+        tok, of, _ = tokens(flat[edge[0] : edge[-1]], edge - edge[0], unit)
+        codes.append(tok)
+        many.append(np.diff(of))
+    return np.concatenate(codes), np.cumsum(np.concatenate(many))
 
 
 def column(batch: pa.RecordBatch, name: str) -> np.ndarray:
@@ -338,14 +349,16 @@ def dealt_repeats(contexts: DataFrame, units: Units, group_limit: int) -> DataFr
             edge = np.concatenate(([0], np.flatnonzero(borders_of(batch, ("h", "salt"))) + 1, [batch.num_rows]))
             for a, b in zip(edge[:-1].tolist(), edge[1:].tolist()):
                 unit, threshold = units[batch.column("u")[a].as_py()]
-                got = [np.zeros((0, 2), K.U)]
+                got = []
                 for f in range(a, b, PIECE):
-                    got.append(np.unique(np.stack(window_keys(batch.slice(f, min(PIECE, b - f)), unit, threshold)[2:], 1), axis=0))
-                keys = np.unique(np.concatenate(got), axis=0).view(np.int64)
-                for f in range(0, len(keys), 1 << 16):
-                    some = keys[f : f + (1 << 16)]
-                    same = [pa.array(np.full(len(some), batch.column(c)[a].as_py())) for c in ("h", "salt")]
-                    yield pa.RecordBatch.from_arrays([*same, pa.array(some[:, 0].copy()), pa.array(some[:, 1].copy())], ["h", "salt", "key", "other"])
+                    found = np.unique(np.stack(window_keys(batch.slice(f, min(PIECE, b - f)), unit, threshold)[2:], 1), axis=0)
+                    got.append(np.split(found, np.searchsorted(found[:, 0], SHARE_EDGES)))
+                for share in zip(*got):  # keys are sorted, so a share of them is as large as another and ends for all pieces at one key
+                    keys = np.unique(np.concatenate(share), axis=0).view(np.int64)
+                    for f in range(0, len(keys), 1 << 16):
+                        some = keys[f : f + (1 << 16)]
+                        same = [pa.array(np.full(len(some), batch.column(c)[a].as_py())) for c in ("h", "salt")]
+                        yield pa.RecordBatch.from_arrays([*same, pa.array(some[:, 0].copy()), pa.array(some[:, 1].copy())], ["h", "salt", "key", "other"])
 
     keys = cut(whole.repartition(parts, "h", "salt").sortWithinPartitions("h", "salt").mapInArrow(K.tidy(keys_of), "h long, salt long, key long, other long"), "window-keys")
     shared = keys.groupBy("key", "other").agg(F.min("salt").alias("lo"), F.max("salt").alias("hi")).where("lo < hi").select("key", "other")
@@ -434,7 +447,7 @@ def cleaned(docs: DataFrame, units: Units, group_limit: int = GROUP_LIMIT, text_
         rows = maybe_among(texts, "k1", todo).join(todo, ["k1", "k2", "doc_id"])
 
         def run(batches):
-            for batch in batches:
+            for batch in (part for b in batches for part in K.slices(b, "text", 1 << 20)):
                 out = []
                 for k1, k2, text, found, whole in zip(*(batch.column(c).to_pylist() for c in ("k1", "k2", "text", "spans", "whole"))):
                     raw = text.encode()

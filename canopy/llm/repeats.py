@@ -203,6 +203,37 @@ def window_keys(batch: pa.RecordBatch, unit: str, threshold: int):
     return row, start, *halves
 
 
+def cell_width(threshold: int) -> int:
+    """Places that are looked at together before single windows are."""
+    return max(1, threshold // 16)
+
+
+def cell_keys(batch: pa.RecordBatch, unit: str, threshold: int):
+    """Row, cell and both halves of the key of every cell of places: the tokens that all windows with the gram at these places share.
+
+    Windows can only be equal where these are, and there are about a twentieth as many.
+    """
+    flat, at = context_tokens(batch, unit)
+    left, reach, wide = column(batch, "left"), threshold - gram_of(unit, threshold), cell_width(threshold)
+    here = at[:-1] + left
+    low = np.arange(0, reach + 1, wide)
+    high = np.minimum(low + wide - 1, reach)
+    row, cell = np.nonzero(np.maximum(low, (threshold - (at[1:] - here))[:, None]) <= np.minimum(high, left[:, None]))
+    begin, end = here[row] - low[cell], here[row] + threshold - high[cell]
+    halves = []
+    with np.errstate(over="ignore"):
+        place = K.mix(column(batch, "h").view(K.U))[row] ^ K.mix(cell.astype(K.U) + K.U(1 << 40))
+        for codes in (code_of(flat, unit), OTHER_CODE[flat] if unit == BYTES else K.mix(flat + K.U(1))):
+            halves.append(K.span_hash(K.prefix_hash(codes), begin, end) ^ place)
+    return row, cell, *halves
+
+
+def among(mine: np.ndarray, also: np.ndarray, key: np.ndarray, other: np.ndarray) -> np.ndarray:
+    """Whether each key, with its other half, is one of those given, which are sorted."""
+    at = np.minimum(np.searchsorted(key, mine), len(key) - 1)
+    return (key[at] == mine) & (other[at] == also)
+
+
 def sides(batch: pa.RecordBatch, unit: str, threshold: int):
     """Digits and length of what follows each context's gram, gram included, and of what precedes it, read backwards."""
     tok, at = context_tokens(batch, unit)
@@ -340,45 +371,75 @@ SPAN = "u int, k1 long, k2 long, s long, e long"
 
 
 def dealt_repeats(contexts: DataFrame, units: Units, group_limit: int) -> DataFrame:
-    """Repeats between the parts of groups that were dealt over several tasks."""
+    """Repeats between the parts of groups that were dealt over several tasks.
+
+    Cells of places come first, then the windows of those cells that two parts share: most windows reach into a text's own words and are never written.
+    """
     whole = contexts.where(F.col("n") > group_limit)
     parts = int(contexts.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # a number, so that parts of few bytes but many windows stay in tasks of their own
+    names = ("h", "salt", "key", "other")
 
-    def keys_of(batches):
+    def distinct_keys(batch: pa.RecordBatch, keys_of_piece):
+        """Different keys of one part, whose pieces are given by their keys, as rows."""
+        got = []
+        for f in range(0, batch.num_rows, PIECE):
+            found = np.unique(np.stack(keys_of_piece(batch.slice(f, PIECE)), 1), axis=0)
+            got.append(np.split(found, np.searchsorted(found[:, 0], SHARE_EDGES)))
+        for share in zip(*got):  # keys are sorted, so a share of them is as large as another and ends for all pieces at one key
+            keys = np.unique(np.concatenate(share), axis=0).view(np.int64)
+            for f in range(0, len(keys), 1 << 16):
+                some = keys[f : f + (1 << 16)]
+                same = [pa.array(np.full(len(some), batch.column(c)[0].as_py())) for c in ("h", "salt")]
+                yield pa.RecordBatch.from_arrays([*same, pa.array(some[:, 0].copy()), pa.array(some[:, 1].copy())], names)
+
+    def cells_of(batches):
         for batch in K.whole_groups(batches, ("h", "salt"), 2048):
             edge = np.concatenate(([0], np.flatnonzero(borders_of(batch, ("h", "salt"))) + 1, [batch.num_rows]))
             for a, b in zip(edge[:-1].tolist(), edge[1:].tolist()):
                 unit, threshold = units[batch.column("u")[a].as_py()]
-                got = []
-                for f in range(a, b, PIECE):
-                    found = np.unique(np.stack(window_keys(batch.slice(f, min(PIECE, b - f)), unit, threshold)[2:], 1), axis=0)
-                    got.append(np.split(found, np.searchsorted(found[:, 0], SHARE_EDGES)))
-                for share in zip(*got):  # keys are sorted, so a share of them is as large as another and ends for all pieces at one key
-                    keys = np.unique(np.concatenate(share), axis=0).view(np.int64)
-                    for f in range(0, len(keys), 1 << 16):
-                        some = keys[f : f + (1 << 16)]
-                        same = [pa.array(np.full(len(some), batch.column(c)[a].as_py())) for c in ("h", "salt")]
-                        yield pa.RecordBatch.from_arrays([*same, pa.array(some[:, 0].copy()), pa.array(some[:, 1].copy())], ["h", "salt", "key", "other"])
-
-    keys = cut(whole.repartition(parts, "h", "salt").sortWithinPartitions("h", "salt").mapInArrow(K.tidy(keys_of), "h long, salt long, key long, other long"), "window-keys")
-    shared = keys.groupBy("key", "other").agg(F.min("salt").alias("lo"), F.max("salt").alias("hi")).where("lo < hi").select("key", "other")
-    wanted = keys.join(shared, ["key", "other"]).select("h", "salt", "key", "other")  # for one part at most GROUP_LIMIT x (threshold - gram + 1)
+                yield from distinct_keys(batch.slice(a, b - a), lambda piece: cell_keys(piece, unit, threshold)[2:])
 
-    def marked(left: pa.Table, right: pa.Table) -> pa.Table:
-        if not left.num_rows or not right.num_rows:
-            return pa.schema([("u", pa.int32()), *((c, pa.int64()) for c in ("k1", "k2", "s", "e"))]).empty_table()
+    def in_two_parts(keys: DataFrame) -> DataFrame:
+        shared = keys.groupBy("key", "other").agg(F.min("salt").alias("lo"), F.max("salt").alias("hi")).where("lo < hi").select("key", "other")
+        return keys.join(shared, ["key", "other"]).select(*names)
+
+    def opened(left: pa.Table, right: pa.Table):
+        """Contexts of one part with their unit's number, name and threshold, and sorted keys."""
         batch = left.combine_chunks().to_batches()[0]
         k = batch.column("u")[0].as_py()
-        unit, threshold = units[k]
         key = right.column("key").to_numpy().view(K.U)
         order = np.argsort(key)
-        key, other = key[order], right.column("other").to_numpy().view(K.U)[order]
+        return batch, k, *units[k], key[order], right.column("other").to_numpy().view(K.U)[order]
+
+    def windows_of(left: pa.Table, right: pa.Table) -> pa.Table:
+        kind = pa.schema([(c, pa.int64()) for c in names])
+        if not left.num_rows or not right.num_rows:
+            return kind.empty_table()
+        batch, _, unit, threshold, key, other = opened(left, right)
+
+        def of_piece(piece: pa.RecordBatch):
+            row, cell, mine, also = cell_keys(piece, unit, threshold)
+            hit = np.zeros((piece.num_rows, threshold), bool)
+            hit[row, cell] = among(mine, also, key, other)
+            row, start, *halves = window_keys(piece, unit, threshold)
+            kept = hit[row, (column(piece, "left")[row] - start) // cell_width(threshold)]
+            return [x[kept] for x in halves]
+
+        return pa.Table.from_batches(distinct_keys(batch, of_piece), kind)
+
+    cells = cut(whole.repartition(parts, "h", "salt").sortWithinPartitions("h", "salt").mapInArrow(K.tidy(cells_of), "h long, salt long, key long, other long"), "cell-keys")
+    keys = cut(whole.groupBy("h", "salt").cogroup(in_two_parts(cells).groupBy("h", "salt")).applyInArrow(windows_of, "h long, salt long, key long, other long"), "window-keys")
+    wanted = in_two_parts(keys)  # for one part at most GROUP_LIMIT x (threshold - gram + 1)
+
+    def marked(left: pa.Table, right: pa.Table) -> pa.Table:
+        if not left.num_rows or not right.num_rows:
+            return pa.schema([("u", pa.int32()), *((c, pa.int64()) for c in ("k1", "k2", "s", "e"))]).empty_table()
+        batch, k, unit, threshold, key, other = opened(left, right)
         found = []
         for f in range(0, batch.num_rows, PIECE):
             piece = batch.slice(f, PIECE)
             row, start, mine, also = window_keys(piece, unit, threshold)
-            at = np.minimum(np.searchsorted(key, mine), len(key) - 1)
-            found.append(with_unit(runs(piece, row, start, (key[at] == mine) & (other[at] == also), threshold), k))
+            found.append(with_unit(runs(piece, row, start, among(mine, also, key, other), threshold), k))
         return pa.Table.from_batches(found)
 
     return whole.groupBy("h", "salt").cogroup(wanted.groupBy("h", "salt")).applyInArrow(marked, SPAN)

@@ -356,52 +356,66 @@ def distinct_rows(batch: pa.RecordBatch) -> pa.RecordBatch:
     return batch if len(at) == batch.num_rows else batch.take(pa.array(np.sort(at)))
 
 
-def local_repeats(contexts: DataFrame, units: Units) -> DataFrame:
+SPAN = "u int, k1 long, k2 long, s long, e long"
+#: Of dealt groups, beside the spans found in each part: the contexts, and the keys of their cells.
+FOUND = pa.schema([("u", pa.int32()), *((c, pa.int64()) for c in ("k1", "k2", "s", "e", "h", "salt", "n", "first", "left")), ("ctx", pa.binary()), ("key", pa.int64()), ("other", pa.int64())])
+FOUND_SQL = "u int, k1 long, k2 long, s long, e long, h long, salt long, n long, first long, left long, ctx binary, key long, other long"
+
+
+def found_rows(batch: pa.RecordBatch) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([batch.column(f.name) if f.name in batch.schema.names else pa.nulls(batch.num_rows, f.type) for f in FOUND], schema=FOUND)
+
+
+def local_repeats(contexts: DataFrame, units: Units, group_limit: int) -> DataFrame:
+    """Repeats inside each group or part of a group; parts go on with their cells' keys and their contexts, so that these are made and sent but once."""
+
     def run(batches):
         for batch in K.whole_groups(batches, ("h", "salt"), TOGETHER):
             for k, unit, threshold, part in by_unit(distinct_rows(batch), units):
-                yield with_unit(place_runs(part, *repeated_windows(part, unit, threshold), threshold), k)
+                yield found_rows(with_unit(place_runs(part, *repeated_windows(part, unit, threshold), threshold), k))
+                dealt = part.filter(pa.array(column(part, "n") > group_limit))
+                for f in range(0, dealt.num_rows, PIECE):
+                    yield found_rows(dealt.slice(f, PIECE))
+                for one in single_groups(dealt):
+                    for keys in distinct_keys(one, lambda piece: cell_keys(piece, unit, threshold)[2:]):
+                        yield found_rows(keys)
             if batch.num_rows > 2 * TOGETHER:
                 K.give_back()
 
-    return contexts.mapInArrow(K.tidy(run), SPAN)
+    return contexts.mapInArrow(K.tidy(run), FOUND_SQL)
 
 
-SPAN = "u int, k1 long, k2 long, s long, e long"
+def single_groups(batch: pa.RecordBatch):
+    if batch.num_rows:
+        edge = np.concatenate(([0], np.flatnonzero(borders_of(batch, ("h", "salt"))) + 1, [batch.num_rows])).tolist()
+        yield from (batch.slice(a, b - a) for a, b in zip(edge, edge[1:]))
 
 
-def dealt_repeats(contexts: DataFrame, units: Units, group_limit: int) -> DataFrame:
+KEYS = ("h", "salt", "key", "other")
+
+
+def distinct_keys(batch: pa.RecordBatch, keys_of_piece):
+    """Different keys of one part, whose pieces are given by their keys, as rows."""
+    got = []
+    for f in range(0, batch.num_rows, PIECE):
+        found = np.unique(np.stack(keys_of_piece(batch.slice(f, PIECE)), 1), axis=0)
+        got.append(np.split(found, np.searchsorted(found[:, 0], SHARE_EDGES)))
+    for share in zip(*got):  # keys are sorted, so a share of them is as large as another and ends for all pieces at one key
+        keys = np.unique(np.concatenate(share), axis=0).view(np.int64)
+        for f in range(0, len(keys), 1 << 16):
+            some = keys[f : f + (1 << 16)]
+            same = [pa.array(np.full(len(some), batch.column(c)[0].as_py())) for c in ("h", "salt")]
+            yield pa.RecordBatch.from_arrays([*same, pa.array(some[:, 0].copy()), pa.array(some[:, 1].copy())], KEYS)
+
+
+def dealt_repeats(whole: DataFrame, cells: DataFrame, units: Units) -> DataFrame:
     """Repeats between the parts of groups that were dealt over several tasks.
 
     Cells of places come first, then the windows of those cells that two parts share: most windows reach into a text's own words and are never written.
     """
-    whole = contexts.where(F.col("n") > group_limit)
-    parts = int(contexts.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # a number, so that parts of few bytes but many windows stay in tasks of their own
-    names = ("h", "salt", "key", "other")
-
-    def distinct_keys(batch: pa.RecordBatch, keys_of_piece):
-        """Different keys of one part, whose pieces are given by their keys, as rows."""
-        got = []
-        for f in range(0, batch.num_rows, PIECE):
-            found = np.unique(np.stack(keys_of_piece(batch.slice(f, PIECE)), 1), axis=0)
-            got.append(np.split(found, np.searchsorted(found[:, 0], SHARE_EDGES)))
-        for share in zip(*got):  # keys are sorted, so a share of them is as large as another and ends for all pieces at one key
-            keys = np.unique(np.concatenate(share), axis=0).view(np.int64)
-            for f in range(0, len(keys), 1 << 16):
-                some = keys[f : f + (1 << 16)]
-                same = [pa.array(np.full(len(some), batch.column(c)[0].as_py())) for c in ("h", "salt")]
-                yield pa.RecordBatch.from_arrays([*same, pa.array(some[:, 0].copy()), pa.array(some[:, 1].copy())], names)
-
-    def cells_of(batches):
-        for batch in K.whole_groups(batches, ("h", "salt"), 2048):
-            edge = np.concatenate(([0], np.flatnonzero(borders_of(batch, ("h", "salt"))) + 1, [batch.num_rows]))
-            for a, b in zip(edge[:-1].tolist(), edge[1:].tolist()):
-                unit, threshold = units[batch.column("u")[a].as_py()]
-                yield from distinct_keys(batch.slice(a, b - a), lambda piece: cell_keys(piece, unit, threshold)[2:])
-
     def in_two_parts(keys: DataFrame) -> DataFrame:
         shared = keys.groupBy("key", "other").agg(F.min("salt").alias("lo"), F.max("salt").alias("hi")).where("lo < hi").select("key", "other")
-        return keys.join(shared, ["key", "other"]).select(*names)
+        return keys.join(shared, ["key", "other"]).select(*KEYS)
 
     def opened(left: pa.Table, right: pa.Table):
         """Contexts of one part with their unit's number, name and threshold, and sorted keys."""
@@ -412,7 +426,7 @@ def dealt_repeats(contexts: DataFrame, units: Units, group_limit: int) -> DataFr
         return batch, k, *units[k], key[order], right.column("other").to_numpy().view(K.U)[order]
 
     def windows_of(left: pa.Table, right: pa.Table) -> pa.Table:
-        kind = pa.schema([(c, pa.int64()) for c in names])
+        kind = pa.schema([(c, pa.int64()) for c in KEYS])
         if not left.num_rows or not right.num_rows:
             return kind.empty_table()
         batch, _, unit, threshold, key, other = opened(left, right)
@@ -427,7 +441,6 @@ def dealt_repeats(contexts: DataFrame, units: Units, group_limit: int) -> DataFr
 
         return pa.Table.from_batches(distinct_keys(batch, of_piece), kind)
 
-    cells = cut(whole.repartition(parts, "h", "salt").sortWithinPartitions("h", "salt").mapInArrow(K.tidy(cells_of), "h long, salt long, key long, other long"), "cell-keys")
     keys = cut(whole.groupBy("h", "salt").cogroup(in_two_parts(cells).groupBy("h", "salt")).applyInArrow(windows_of, "h long, salt long, key long, other long"), "window-keys")
     wanted = in_two_parts(keys)  # for one part at most GROUP_LIMIT x (threshold - gram + 1)
 
@@ -460,13 +473,13 @@ def repeated_spans(docs: DataFrame, units: Units, group_limit: int = GROUP_LIMIT
     salts = F.ceil(F.col("n") / group_limit)
     dealt = contexts.withColumn("salt", F.when(F.col("n") <= group_limit, F.lit(0)).otherwise(F.pmod(F.xxhash64("k1", "k2", "first", "left"), salts)).cast("long"))
     most = again.agg(F.max("n")).first()[0] or 0
+    grouped = dealt.repartition("h", "salt").sortWithinPartitions("h", "salt")
     if most <= group_limit:
-        return texts, gathered(local_repeats(dealt.repartition("h", "salt").sortWithinPartitions("h", "salt"), units))
-    frequent = cut(dealt.where(F.col("n") > group_limit), "contexts")  # only these are read more than once
-    every = dealt.where(F.col("n") <= group_limit).unionByName(frequent)
-    spans = local_repeats(every.repartition("h", "salt").sortWithinPartitions("h", "salt"), units)
-    spans = spans.union(dealt_repeats(frequent, units, group_limit))
-    return texts, gathered(spans)
+        return texts, gathered(local_repeats(grouped, units, group_limit))
+    found = cut(local_repeats(grouped, units, group_limit), "found")
+    frequent = found.where("ctx is not null").select("u", "k1", "k2", "h", "salt", "n", "first", "left", "ctx")
+    spans = found.where("s is not null").select("u", "k1", "k2", "s", "e")
+    return texts, gathered(spans.union(dealt_repeats(frequent, found.where("key is not null").select(*(F.col(c).alias(f"{c}_") for c in KEYS)).toDF(*KEYS), units)))  # names of their own, or Spark takes the two for one table
 
 
 def gathered(spans: DataFrame) -> DataFrame:

@@ -14,7 +14,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from canopy.model import letter, settle
+from canopy.operators import chain_packs, packed
 from canopy.operators import pairs as P
+from canopy.sources import relational as S
 
 ITEM = "array<struct<sym:bigint,n:bigint,var:boolean>>"
 KEYS = "sym long, kind string, a long, b long"
@@ -31,11 +33,15 @@ class ChainGrammar:
 
 @dataclass
 class Recompressed:
-    """keys(sym, kind, a, b): run letters (base, length) and pair letters; starts(tree_id, sym): null for an empty chain; one dict of counts a phase."""
+    """keys(sym, kind, a, b): run letters (base, length) and pair letters; starts(tree_id, sym): null for an empty chain; one dict of counts a phase.
+
+    by_pack: the rules (label, sym, kind, rhs) and starts (label, tree_id, sym) of each pack, where packs made the letters.
+    """
 
     keys: DataFrame
     starts: DataFrame
     stats: list[dict] = field(default_factory=list)
+    by_pack: tuple[DataFrame, DataFrame] | None = None
 
 
 def item(sym, n=1, var=False) -> "F.Column":
@@ -265,8 +271,29 @@ def recompress(g: ChainGrammar, partition: str = "auto", counts: str = "tree", m
     return Recompressed(settle(reduce(DataFrame.unionByName, keys).distinct()), settle(ends), stats)
 
 
+def recompress_texts(texts: DataFrame, key: str, text: str, counts: str = "tree", max_phases: int = 200) -> tuple[Recompressed, DataFrame]:
+    """The bisection grammar of texts, recompressed, and the names of its input letters: packs of texts at once, one write a phase.
+
+    Letters and counts are those of recompress(bisection_grammar()), which takes texts too long for one task.
+    """
+    if (texts.agg(F.max(F.length(text))).first()[0] or 0) > chain_packs.LONGEST:
+        g = bisection_grammar(texts, key, text)
+        return recompress(g, "auto", counts, max_phases), g.names
+    names = settle(texts.select(F.explode(F.array_distinct(S.string_parts(text, "char"))).alias("name")).distinct().select(unary(F.col("name")).alias("sym"), "name"))
+    t, ends, stats = chain_packs.recompress(texts.sparkSession, S.letters_of(texts, key, text, "char"), counts, max_phases)
+    rules = t.read(packed.RULE).select("label", "sym", "kind", "rhs")
+    first, second = F.col("rhs")[0], F.try_element_at("rhs", F.lit(2))
+    keys = rules.select("sym", "kind", first["sym"].alias("a"), F.when(F.col("kind") == "run", first["at"].cast("long")).otherwise(second["sym"]).alias("b"))
+    return Recompressed(keys.distinct(), ends.select("tree_id", "sym"), stats, (rules, ends)), names
+
+
 def unfold(r: Recompressed, names: DataFrame, max_rounds: int = 1000) -> DataFrame:
-    """(tree_id, text): the chains that recompressed letters stand for. Each letter's text is built once, from the letters below it."""
+    """(tree_id, text): the chains that recompressed letters stand for. Each letter's text is built once, from the letters below it; of packs, a pack at a time."""
+    if r.by_pack is not None:
+        rules, starts = r.by_pack
+        points = {x.sym: ord(x.name) for x in names.collect()}  # no more than there are characters
+        empty = chain_packs.EMPTY
+        return packed.texts_of(rules, starts.select("label", "tree_id", F.coalesce("sym", F.lit(empty)).alias("sym")), points | {empty: -1})
     known = settle(names.select("sym", "name"))
     left = r.keys
     for _ in range(max_rounds):

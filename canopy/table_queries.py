@@ -22,8 +22,7 @@ def sign_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
 def recompressed(spark: SparkSession, sf_dir: str, counts: str) -> tuple[C.Recompressed, DataFrame]:
     key = (spark.sparkContext.applicationId, sf_dir, counts)
     if key not in _recompressed:
-        g = C.bisection_grammar(sign_texts(spark, sf_dir), "vec_id", "signs")
-        _recompressed[key] = (C.recompress(g, "auto", counts), g.names)
+        _recompressed[key] = C.recompress_texts(sign_texts(spark, sf_dir), "vec_id", "signs", counts)
     return _recompressed[key]
 
 

@@ -189,7 +189,7 @@ class Rules:
             x = self.out.pop(0)
             yield from (x.slice(f, packed.ROWS) for f in range(0, x.num_rows, packed.ROWS))
         tally = [occurrences, moved, self.size(), *before, *self.covered(counts)]
-        yield rows_of(STATE, 1, state=pa.array([self.dump()], pa.binary()), tally=pa.array([tally], pa.list_(pa.int64())))
+        yield rows_of(STATE, 1, label=[0], state=pa.array([self.dump()], pa.binary()), tally=pa.array([tally], pa.list_(pa.int64())))
 
     def ends(self) -> pa.RecordBatch:
         """(label, tree_id, sym): the letter of each text, null for an empty one."""
@@ -318,7 +318,7 @@ def recompress(spark, chains: DataFrame, counts: str, max_phases: int) -> tuple[
     packed.prepare(spark)
     t.write(from_letters(chains), 0)
     with packed.one_by_one(spark):
-        tally = t.write(first_phase(t.read(STATE, 0), t.read(USE, 0), weigh(1)), 1)
+        tally = t.write(first_phase(t.read(STATE, 0), t.read(USE, 0), weigh(1)), 1).get(0)
     stats, phase = [], 1
     while True:
         n = dict(zip(COUNTS, tally or [0] * len(COUNTS)))
@@ -333,7 +333,7 @@ def recompress(spark, chains: DataFrame, counts: str, max_phases: int) -> tuple[
         if colour is None:
             break
         with packed.one_by_one(spark):
-            tally = t.write(next_phase(states, colour, weigh(phase + 1)), phase + 1)
+            tally = t.write(next_phase(states, colour, weigh(phase + 1)), phase + 1).get(0)
         phase += 1
     with packed.one_by_one(spark):
         got = settle(ends(t.read(STATE, phase)))

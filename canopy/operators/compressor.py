@@ -277,6 +277,46 @@ def compress(forest: Forest, cfg: Config = Config()) -> Grammar:
     return Grammar(every, known, started, residual, runs, stats)
 
 
+def measured(spark, forests: dict[str, Forest], runs: list[tuple[str, int]]) -> tuple[dict[tuple[str, int], dict], dict[str, DataFrame]]:
+    """For each forest and stop size what compress() and grammar_size() would count, and the forests' nodes, written.
+
+    Counts are nodes and rank of the forest, stats of the phases, the rules' highest rank and the grammar's size. All share one loop of
+    phases over packs, each with letters and colourings of its own; a forest with a tree too large for one task is compressed by itself.
+    """
+    names = list(forests)
+    every = settle(reduce(DataFrame.unionByName, [forests[w].nodes.withColumn("forest", F.lit(i)) for i, w in enumerate(names)]))
+    nodes = {w: every.where(F.col("forest") == i).drop("forest") for i, w in enumerate(names)}
+    trees = every.groupBy("forest", "tree_id").agg(F.count("*").alias("n"), F.max("rank").alias("r"))
+    facts = {names[x.forest]: x for x in trees.groupBy("forest").agg(F.sum("n").alias("nodes"), F.max("n").alias("largest"), F.max("r").alias("rank")).collect()}
+    out, begun = {}, []
+    packed.prepare(spark)
+    for i, (w, stop) in enumerate(runs):
+        x = facts.get(w)
+        held = out[w, stop] = {"nodes": int(x.nodes) if x else 0, "rank": int(x["rank"]) if x else 0, "stats": [], "most": 0, "size": 0}
+        if x and x.largest > scan.BLOCK:
+            g = compress(Forest(nodes[w], forests[w].symbols), Config(stop_size=stop))
+            held |= {"stats": g.stats, "most": g.rules.agg(F.coalesce(F.max("rank"), F.lit(0))).first()[0], "size": grammar_size(g)}
+        elif x:
+            begun.append(packed.from_nodes(nodes[w], held["nodes"], packed.LEAN, i, stop))
+    if begun:
+        t = packed.phases(spark, reduce(DataFrame.unionByName, begun), packed.LEAN)
+        check = F.xxhash64(F.lit(77), "kind", "rhs")
+        once = t.read(packed.RULE).groupBy("label", "sym").agg(F.first("kind").alias("kind"), F.first(F.col("rhs")[0]).alias("part"), F.max("cost").alias("cost"), F.max("rank").alias("rank"), (F.min(check) != F.max(check)).alias("clash"))
+        once = settle(once)
+        lengths = once.where("kind = 'run'").select(F.struct("label", "part.sym").alias("base"), F.col("part.at").alias("len"))
+        spelled = R.represent_runs(lengths).select(F.col("base.label").alias("label"), "cost")
+        left = t.read(packed.START).where("weight is not null").select("label", F.col("weight").alias("cost"))
+        for x in once.groupBy("label").agg(F.max("rank").alias("most"), F.max("clash").alias("clash")).collect():
+            if x.clash:
+                raise ValueError("one letter id for two keys")
+            out[runs[x.label]]["most"] = x.most
+        for x in once.where("kind <> 'run'").select("label", F.col("cost").cast("long").alias("cost")).unionByName(spelled.withColumn("cost", F.col("cost").cast("long"))).unionByName(left).groupBy("label").agg(F.sum("cost").alias("size")).collect():
+            out[runs[x.label]]["size"] = int(x["size"])
+        for i, stats in t.by_group.items():
+            out[runs[i]]["stats"] = stats
+    return out, nodes
+
+
 def gathered(t: packed.Tables, symbols: DataFrame, sizes: DataFrame) -> Grammar:
     """The grammar that the packs' phases wrote, each letter's rule once."""
     spark = sizes.sparkSession
